@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from lakeadapt.llm import mixing, quality, sharding, urlfilter, warc
+from lakeadapt.llm import bpe, mixing, planes, quality, sharding, urlfilter, warc
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
@@ -15,6 +15,8 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op2_warc_archive": warc.op2_warc_archive,
         "op4_mix_sources": mixing.op4_mix_sources,
+        "op5_byte_bpe": bpe.op5_byte_bpe,
+        "op6_bit_planes": planes.op6_bit_planes,
         "op7_url_filters": urlfilter.op7_url_filters,
         "op8_feistel_shards": sharding.op8_feistel_shards,
         "op9_line_first_quality": quality.op9_line_first_quality,
