@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from lakeadapt.llm import bpe, mixing, planes, quality, sharding, urlfilter, warc
+from lakeadapt.llm import ann, bpe, mixing, planes, quality, sharding, urlfilter, warc
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
@@ -20,6 +20,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op7_url_filters": urlfilter.op7_url_filters,
         "op8_feistel_shards": sharding.op8_feistel_shards,
         "op9_line_first_quality": quality.op9_line_first_quality,
+        "op10_ivf_pq": ann.op10_ivf_pq,
         "pipeline": corpus_pipeline.run,
     }
 
