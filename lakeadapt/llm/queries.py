@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from lakeadapt.llm import ann, bpe, mixing, planes, quality, sharding, urlfilter, warc
+from lakeadapt.llm import ann, bpe, jaccard, mixing, planes, quality, sharding, urlfilter, warc
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
@@ -14,6 +14,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
     return {
         "op2_warc_archive": warc.op2_warc_archive,
+        "op3_jaccard_join": jaccard.op3_jaccard_join,
         "op4_mix_sources": mixing.op4_mix_sources,
         "op5_byte_bpe": bpe.op5_byte_bpe,
         "op6_bit_planes": planes.op6_bit_planes,
