@@ -1,13 +1,14 @@
 """From raw documents to encoded training text: rules, line copies, near duplicates, mixture, token ids.
 
-Each stage works on what the one before wrote. All but the last return the columns of documents.
+Each stage works on all that the one before wrote. All but the last return the columns of documents; the last returns
+doc_id, n_tokens, ids_sha256, decoded_sha256 and the ids.
 """
 
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from lakeadapt.llm import mixing, quality
+from lakeadapt.llm import bpe, jaccard, linededup, mixing, quality
 from lakeadapt.llm.common import materialize
 
 
@@ -16,17 +17,35 @@ def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
     return quality.clean_documents(docs)
 
 
+def line_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Operator 1: lines equal or near to an earlier one go, and documents left without a line."""
+    return linededup.without_repeated_lines(docs)
+
+
+def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Operator 3: the smallest doc_id of each component of linked documents stays."""
+    return jaccard.without_near_copies(docs)
+
+
 def source_mixture(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Operator 4: each leaf gives its quota; a document taken in two epochs is there twice."""
     return mixing.mixed(docs)
 
 
+def token_ids(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Operator 5: ids of every text, and what they decode to."""
+    return bpe.encode_documents(docs, bpe.ranks_file(), with_ids=True)
+
+
 STAGES = [
     ("quality_rules", quality_rules),
+    ("line_copies", line_copies),
+    ("near_duplicates", near_duplicates),
     ("source_mixture", source_mixture),
+    ("token_ids", token_ids),
 ]
 
-#: Byte-level encoding has no SQL form; tests/llm compares every stage with a brute-force version instead.
+#: Byte-level encoding and the edit join have no SQL form; tests/llm compares the stages with brute-force versions.
 ORACLE_SQL = None
 
 

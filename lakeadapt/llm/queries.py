@@ -6,13 +6,14 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from lakeadapt.llm import ann, bpe, jaccard, mixing, planes, quality, sharding, urlfilter, warc
+from lakeadapt.llm import ann, bpe, jaccard, linededup, mixing, planes, quality, sharding, urlfilter, warc
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     import corpus_pipeline
 
     return {
+        "op1_line_dedup": linededup.op1_line_dedup,
         "op2_warc_archive": warc.op2_warc_archive,
         "op3_jaccard_join": jaccard.op3_jaccard_join,
         "op4_mix_sources": mixing.op4_mix_sources,
