@@ -49,6 +49,8 @@ class JaccardParams:
 
 
 PRODUCTION = JaccardParams()
+#: Bits of the map that keeps texts of no candidate from being cut into shingles again: 8 MB.
+BITS = 1 << 26
 _MUL = np.uint64(0x9E3779B97F4A7C15)
 
 
@@ -80,19 +82,28 @@ class Shingler:
                 return k
 
         seen = Seen()
-        rows = [[] if not t else list(map(seen.__getitem__, t.encode("utf-8", "surrogatepass").lower().split())) for t in texts]
-        hashes = np.fromiter((xxhash.xxh3_64_intdigest(w) for w in seen), np.uint64, len(seen))
+        look = seen.__getitem__
+        rows = [t.encode("utf-8", "surrogatepass").lower().split() if t else [] for t in texts]
+        sizes = np.fromiter(map(len, rows), np.int64, len(rows))
+        codes = np.fromiter((look(w) for row in rows for w in row), np.int64, int(sizes.sum()))
+        hashes = mix(np.fromiter((xxhash.xxh3_64_intdigest(w) for w in seen), np.uint64, len(seen)))
+        words, starts = hashes[codes] if len(codes) else np.zeros(0, np.uint64), np.cumsum(sizes) - sizes
+        # windows over the whole batch at once; those that reach into the next text are never read
+        n, acc = len(words), np.full(len(words), self.width, np.uint64)
+        for k in range(self.width):
+            acc[: n - k] = (acc[: n - k] ^ (acc[: n - k] >> np.uint64(31))) * _MUL + words[k:]
+        acc = mix(acc)
         out = []
-        for row in rows:
-            n, w = len(row), min(len(row), self.width)
-            if not n:
+        for start, size in zip(starts.tolist(), sizes.tolist()):
+            if size >= self.width:
+                out.append(np.unique(acc[start : start + size - self.width + 1]))
+            elif size:
+                whole = np.uint64(size)
+                for k in range(size):
+                    whole = (whole ^ (whole >> np.uint64(31))) * _MUL + words[start + k]
+                out.append(mix(np.array([whole], np.uint64)))
+            else:
                 out.append(np.zeros(0, np.uint64))
-                continue
-            words = hashes[np.array(row, np.int64)]
-            acc = np.full(n - w + 1, w, np.uint64)
-            for k in range(w):
-                acc = mix(acc * _MUL + words[k : n - w + 1 + k])
-            out.append(np.unique(acc))
         return out
 
 
@@ -218,6 +229,20 @@ def _possible(n1: Column, p1: Column, n2: Column, p2: Column, percent: int) -> C
     return (least <= F.least(n1, n2)) & (least <= 1 + F.least(n1 - p1, n2 - p2) - 1)
 
 
+def among(docs: DataFrame, ids: DataFrame) -> DataFrame:
+    """docs whose doc_id is in ids, and a few others: a bitmap of hashed ids goes to every task, the texts stay where they are.
+
+    The bitmap has BITS bits at most, whatever the number of ids; when it fills up, more texts pass and none is lost.
+    """
+    place = (F.pmod(F.xxhash64("doc_id"), F.lit(BITS)) + 1).cast("long")
+    marks = ids.select(F.bitmap_bucket_number(place).alias("_bucket"), F.bitmap_bit_position(place).alias("_bit"))
+    bitmap = marks.groupBy("_bucket").agg(F.bitmap_construct_agg("_bit").alias("_bits"))
+    at = F.bitmap_bit_position(place).cast("int")
+    byte = F.conv(F.hex(F.substring("_bits", F.floor(at / 8).cast("int") + 1, F.lit(1))), 16, 10).cast("int")
+    hit = docs.withColumn("_bucket", F.bitmap_bucket_number(place)).join(F.broadcast(bitmap), "_bucket")
+    return hit.where(F.call_function("shiftright", byte, at % 8).bitwiseAND(F.lit(1)) == 1).select(*docs.columns)
+
+
 def verified(pairs: DataFrame, docs: DataFrame, p: JaccardParams) -> DataFrame:
     """pairs(a, b) -> those that link, by their full sets."""
     pairs = materialize(pairs, "pairs")
@@ -228,12 +253,11 @@ def verified(pairs: DataFrame, docs: DataFrame, p: JaccardParams) -> DataFrame:
             sets = Shingler(p.shingle).sets(batch.column("text").to_pylist())
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array([_signed(s) for s in sets], pa.list_(pa.int64()))], ["doc_id", "elements"])
 
-    sets = docs.join(ids, "doc_id", "left_semi").mapInArrow(run, "doc_id long, elements array<long>")
-    sets = materialize(sets, "sets")
+    sets = materialize(among(docs, ids).mapInArrow(run, "doc_id long, elements array<long>"), "sets")
     left = sets.select(F.col("doc_id").alias("a"), F.col("elements").alias("x"))
     right = sets.select(F.col("doc_id").alias("b"), F.col("elements").alias("y"))
     both = F.size(F.array_intersect("x", "y"))
-    full = pairs.join(left, "a").join(right, "b").withColumn("_both", both)
+    full = pairs.hint("merge").join(left, "a").hint("merge").join(right, "b").withColumn("_both", both)
     return full.where(F.col("_both") * 100 >= (F.size("x") + F.size("y") - F.col("_both")) * p.percent).select("a", "b").distinct()
 
 
@@ -255,7 +279,7 @@ def jaccard_components(docs: DataFrame, p: JaccardParams = PRODUCTION) -> DataFr
     bound = boundary(sizes, p)
 
     reps = nodes.where("doc_id = rep").select("doc_id")
-    signed = materialize(signatures(rows.where("doc_id IS NOT NULL"), heavy, bound, p).where("n > 0").join(reps, "doc_id", "left_semi"), "signatures")
+    signed = materialize(signatures(rows.where("doc_id IS NOT NULL"), heavy, bound, p).where("n > 0").join(reps.hint("merge"), "doc_id", "left_semi"), "signatures")
     few = signed.where("subsets IS NOT NULL").select("doc_id", "n", F.explode("subsets").alias("s")).select("doc_id", "n", "s.*").distinct()
     by_subset = small_edges(few).select(F.col("doc_id").alias("a"), F.col("other").alias("b"))
 
