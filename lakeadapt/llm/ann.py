@@ -37,8 +37,9 @@ class AnnParams:
     code_slices: int = 16
     train_rounds: int = 8
     target_recall: float = 0.985
-    per_slice: int = 300
-    rerank: int = 800
+    per_slice: int = 200
+    rerank: int = 320
+    floor_errors: float = 2.0
     slice_rows: int = 20_000
     seed: int = 5
 
@@ -172,7 +173,7 @@ def search(vectors: DataFrame, p: AnnParams = PRODUCTION) -> DataFrame:
                 chosen = np.argpartition(-near, model.probes - 1, axis=1)[:, : model.probes]
                 # the k-th best of the sample bounds the result from below; the query itself may be in the sample
                 floor = -np.partition(-(q @ model.sample.T), min(p.k, len(model.sample) - 1), axis=1)[:, min(p.k, len(model.sample) - 1)]
-                floor = floor - 3 * model.error if len(model.sample) > p.k else np.full(len(q), -np.inf)
+                floor = floor - p.floor_errors * model.error if len(model.sample) > p.k else np.full(len(q), -np.inf)
                 hit, at = chosen.ravel(), np.repeat(np.arange(len(q)), model.probes)
                 order = np.argsort(hit, kind="stable")
                 lists, cuts = np.unique(hit[order], return_index=True)
