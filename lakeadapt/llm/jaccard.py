@@ -98,10 +98,10 @@ class Shingler:
             if size >= self.width:
                 out.append(np.unique(acc[start : start + size - self.width + 1]))
             elif size:
-                whole = np.uint64(size)
-                for k in range(size):
-                    whole = (whole ^ (whole >> np.uint64(31))) * _MUL + words[start + k]
-                out.append(mix(np.array([whole], np.uint64)))
+                whole = np.full(1, size, np.uint64)
+                for k in range(start, start + size):
+                    whole = (whole ^ (whole >> np.uint64(31))) * _MUL + words[k : k + 1]
+                out.append(mix(whole))
             else:
                 out.append(np.zeros(0, np.uint64))
         return out
