@@ -20,8 +20,10 @@ import zlib
 from collections.abc import Iterator
 from dataclasses import dataclass
 from functools import lru_cache
+from itertools import chain
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -31,8 +33,13 @@ from lakeadapt.llm.bpe import gather
 from lakeadapt.llm.common import cut_points, new_path, of_type, range_bucket
 
 END_ID = 1
-#: Words a Python worker remembers; the memory starts anew when it is full.
-KNOWN_WORDS = 500_000
+#: Pieces of words that a Python worker remembers; the memory starts anew when it is full.
+KNOWN_PIECES = 600_000
+#: Texts that are cut into words together.
+SLICE = 2_000
+#: ASCII marks that are no part of a word: a run of them after a letter or digit is a token run of its own.
+MARKS = b".,!?;:#$%&*"
+_ALNUM = frozenset(b"abcdefghijklmnopqrstuvwxyz0123456789")
 CHUNK_SCHEMA = (
     "shard int, chunk int, first_id long, n_ids int, width int, planes array<binary>, doc_ids array<long>,"
     " doc_starts array<long>, head_id long, head_start long, open_end boolean"
@@ -40,9 +47,11 @@ CHUNK_SCHEMA = (
 
 
 class WordEncoder:
-    """ids of whole texts through the tokenizer, asked once per word and worker.
+    """ids of whole texts through the tokenizer, asked once per piece of a word and worker.
 
-    The tokenizer drops white space and its rules never look across it, so the ids of a text are those of its words.
+    The tokenizer drops white space, lower-cases, and its rules never look across white space, nor from a letter or digit
+    into the marks behind it; so the ids of a text are those of its words, and a word's those of its body and its marks.
+    Words with a special token's opening are handed over as they are.
     """
 
     def __init__(self, path: str):
@@ -53,21 +62,33 @@ class WordEncoder:
         self.forget()
 
     def forget(self) -> None:
-        self.number: dict[bytes, int] = {}
-        self.flat, self.lengths = np.zeros(0, np.uint32), np.zeros(0, np.int64)
+        self.number: dict[bytes, int] = {b"": 0}
+        self.flat, self.lengths = np.zeros(0, np.uint16), np.zeros(1, np.uint8)
 
     def encode(self, texts: list[str]) -> list[np.ndarray]:
-        if len(self.number) > KNOWN_WORDS:
+        return [ids for k in range(0, len(texts), SLICE) for ids in self._slice(texts[k : k + SLICE])]
+
+    def _slice(self, texts: list[str]) -> list[np.ndarray]:
+        if len(self.number) > KNOWN_PIECES:
             self.forget()
-        number, new = self.number, []
+        number, pairs, new = self.number, [], []
+
+        def piece(raw: bytes) -> int:
+            k = number.get(raw)
+            if k is None:
+                number[raw] = k = len(number)
+                new.append(raw)
+            return k
 
         class Seen(dict):
             def __missing__(self, word: bytes) -> int:
-                k = number.get(word)
-                if k is None:
-                    number[word] = k = len(number)
-                    new.append(word)
-                self[word] = k
+                low = word if b"<|" in word else word.lower()
+                body = low.rstrip(MARKS)
+                if body and len(body) < len(low) and body[-1] in _ALNUM and b"<|" not in word:
+                    pairs.append((piece(body), piece(low[len(body) :])))
+                else:
+                    pairs.append((piece(low), 0))
+                self[word] = k = len(self)
                 return k
 
         look, rows = Seen().__getitem__, []
@@ -76,13 +97,17 @@ class WordEncoder:
             rows.append(np.fromiter(map(look, words), np.int64, len(words)))
         if new:
             batch = getattr(self.tokenizer, "encode_batch_fast", self.tokenizer.encode_batch)
-            ids = []
+            ids: list[list[int]] = []
             for k in range(0, len(new), 20_000):
                 ids += [e.ids for e in batch([w.decode("utf-8", "replace") for w in new[k : k + 20_000]], add_special_tokens=False)]
-            self.lengths = np.concatenate([self.lengths, np.fromiter(map(len, ids), np.int64, len(ids))])
-            self.flat = np.concatenate([self.flat, np.array([x for y in ids for x in y], np.uint32)])
-        starts = np.cumsum(self.lengths) - self.lengths
-        return [gather(self.flat, starts, self.lengths, r) for r in rows]
+            lengths = np.fromiter(map(len, ids), np.int64, len(ids))
+            flat = np.fromiter(chain.from_iterable(ids), np.int64, int(lengths.sum()))
+            wide = np.result_type(self.flat.dtype, np.min_scalar_type(int(flat.max(initial=0))))
+            deep = np.result_type(self.lengths.dtype, np.min_scalar_type(int(lengths.max(initial=0))))
+            self.flat, self.lengths = np.concatenate([self.flat, flat], dtype=wide, casting="unsafe"), np.concatenate([self.lengths, lengths], dtype=deep, casting="unsafe")
+        lengths = self.lengths.astype(np.int64)
+        starts, parts = np.cumsum(lengths) - lengths, np.array(pairs, np.int64).reshape(-1, 2)
+        return [gather(self.flat, starts, lengths, parts[r].ravel()).astype(np.uint32) for r in rows]
 
 
 @lru_cache(maxsize=2)
@@ -122,16 +147,25 @@ def _gf2(matrix: list[int], vector: int) -> int:
     return out
 
 
+@lru_cache(maxsize=64)
+def _zero_bytes(power: int) -> tuple[int, ...]:
+    """What 2**power zero bytes do to a crc32, as a matrix over GF(2)."""
+    if power == 0:
+        step = [0xEDB88320, *(1 << k for k in range(31))]  # one zero bit
+        for _ in range(3):
+            step = [_gf2(step, x) for x in step]
+        return tuple(step)
+    half = _zero_bytes(power - 1)
+    return tuple(_gf2(half, x) for x in half)
+
+
 def crc32_join(first: int, second: int, n_bytes: int) -> int:
     """The crc32 of two byte strings end to end, from theirs and the length of the second."""
-    step = [0xEDB88320, *(1 << k for k in range(31))]  # one zero bit, as a matrix over GF(2)
-    for _ in range(3):
-        step = [_gf2(step, x) for x in step]
-    while n_bytes:
-        if n_bytes & 1:
-            first = _gf2(step, first)
-        step = [_gf2(step, x) for x in step]
-        n_bytes >>= 1
+    power = 0
+    while n_bytes >> power:
+        if n_bytes >> power & 1:
+            first = _gf2(_zero_bytes(power), first)
+        power += 1
     return first ^ second
 
 
@@ -154,7 +188,7 @@ def write_tokens(docs: DataFrame, tokenizer_path: str, chunk_ids: int = 65_536,
     shards = shards or int(spark.conf.get("spark.sql.shuffle.partitions"))
     docs = of_type(docs, {"doc_id": "long", "text": "string"})
     ranged = docs.withColumn("shard", range_bucket(F.col("doc_id"), cut_points(docs, "doc_id", shards)).cast("int"))
-    ordered = ranged.repartition(shards, "shard").sortWithinPartitions("shard", F.col("doc_id").asc_nulls_first(), F.xxhash64("text"))
+    ordered = ranged.repartitionById(shards, F.col("shard")).sortWithinPartitions("shard", F.col("doc_id").asc_nulls_first(), F.xxhash64("text"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         encoder, schema = _encoder(tokenizer_path), None
@@ -255,20 +289,23 @@ def read_pieces(files: TokenFiles) -> DataFrame:
 
 def read_documents(files: TokenFiles) -> DataFrame:
     """doc_id, start, n_tokens, ids_crc32 of every document, from the files alone."""
-    import pandas as pd
-
     pieces = read_pieces(files)
     whole = pieces.where("whole").select("shard", "doc_id", "doc_start", "n", "crc")
 
-    def joined(rows: pd.DataFrame) -> pd.DataFrame:
-        rows = rows.sort_values("chunk")
-        crc = 0
-        for n, c in zip(rows["n"], rows["crc"]):
-            crc = crc32_join(crc, int(c), 4 * int(n))
-        first = rows.iloc[0]
-        return pd.DataFrame({"shard": [first["shard"]], "doc_id": pd.array([first["doc_id"]], "Int64"), "doc_start": [first["doc_start"]], "n": [rows["n"].sum()], "crc": [crc]})
+    @F.pandas_udf("long")
+    def joined(parts: pd.Series) -> pd.Series:
+        def one(rows) -> int:
+            crc = 0
+            for x in rows:
+                crc = crc32_join(crc, int(x["crc"]), 4 * int(x["n"]))
+            return crc
+
+        return parts.map(one)
 
-    cut = pieces.where("NOT whole").drop("whole").groupBy("shard", "doc_start").applyInPandas(joined, "shard int, doc_id long, doc_start long, n long, crc long")
+    # the pieces of one document: as many as the chunks that it fills
+    cut = pieces.where("NOT whole").groupBy("shard", "doc_start").agg(
+        F.first("doc_id").alias("doc_id"), F.sum("n").alias("n"), F.array_sort(F.collect_list(F.struct("chunk", "n", "crc"))).alias("parts")
+    ).select("shard", "doc_id", "doc_start", "n", joined("parts").alias("crc"))
     starts = files.index().where("chunk = 0").select("shard", F.col("start").alias("_before"))
     return whole.unionByName(cut).join(F.broadcast(starts), "shard").select(
         "doc_id", (F.col("_before") + F.col("doc_start")).alias("start"), F.col("n").alias("n_tokens"), F.col("crc").alias("ids_crc32")
