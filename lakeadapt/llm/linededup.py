@@ -20,6 +20,7 @@ from dataclasses import dataclass
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
 from lakeadapt.llm.common import materialize, of_type
 
@@ -31,6 +32,9 @@ class LineParams:
 
 
 PRODUCTION = LineParams()
+#: Letters whose counts are compared, and from how many pairs of one key on.
+LETTERS = "abcdefghijklmnopqrstuvwxyz"
+LONG_LIST = 64
 
 
 def segment_keys(p: LineParams) -> tuple[list[str], list[str]]:
@@ -153,6 +157,46 @@ def within_edits(pairs: DataFrame, edits: int) -> DataFrame:
     return pairs.where(edit_distance(F.col("x"), F.col("y"), edits) <= edits)
 
 
+def texts_at(rows: DataFrame, places: DataFrame) -> DataFrame:
+    """doc_id, line_no, line of some places; the line numbers of a document travel as one set."""
+    wanted = places.distinct().groupBy("doc_id").agg(F.collect_set("line_no").alias("wanted"))
+    fetched = rows.join(wanted, "doc_id").select("doc_id", F.explode("wanted").alias("line_no"), F.split("text", "\n").alias("_all"))
+    return fetched.select("doc_id", "line_no", F.get("_all", F.col("line_no")).alias("line")).distinct()
+
+
+def letter_counts(line: str) -> list[Column]:
+    """How often each of LETTERS occurs, in either case."""
+    return [(F.length(line) - F.length(F.translate(F.col(line), c + c.upper(), ""))).alias(f"n_{c}") for c in LETTERS]
+
+
+def candidates(rows: DataFrame, listed: DataFrame, probing: DataFrame, p: LineParams) -> DataFrame:
+    """Pairs (doc_id, line_no) and (p_doc, p_line) of lines that share a key and may be within the edits.
+
+    Keys with more than LONG_LIST possible pairs belong to families of lines that differ in a word: there the letter
+    counts are compared before a pair is made. Each edit changes their sum of differences by two at most, so no link is lost.
+    """
+    apart = F.expr("p_len > len OR (p_len = len AND (p_doc > doc_id OR (p_doc = doc_id AND p_line > line_no)))") & (F.col("p_len") - F.col("len") <= p.edits)
+    tagged = listed.withColumn("probe", F.lit(False)).unionByName(probing.withColumn("probe", F.lit(True)))
+    by_key = Window.partitionBy("key")
+    counted = tagged.withColumn("_own", F.count_if(~F.col("probe")).over(by_key)).withColumn("_probing", F.count_if("probe").over(by_key))
+    # a line always meets itself; keys that only do that are most of all and go here
+    shared = counted.where("_own > 0 AND _probing > 0 AND (_own > 1 OR _probing > 1)").withColumn("long", F.col("_own") * F.col("_probing") > LONG_LIST)
+    shared = materialize(shared.drop("_own", "_probing"), "shared-keys")
+    listed = shared.where("NOT probe").drop("probe")
+    named = shared.where("probe").select(F.col("doc_id").alias("p_doc"), F.col("line_no").alias("p_line"), F.col("len").alias("p_len"), "key", "long")
+    few = listed.where("NOT long").drop("long").join(named.where("NOT long").drop("long"), "key").where(apart)
+
+    members = listed.where("long").select("doc_id", "line_no").union(named.where("long").select("p_doc", "p_line"))
+    counted = materialize(texts_at(rows, members).select("doc_id", "line_no", *letter_counts("line")), "letter-counts")
+    theirs = counted.select(F.col("doc_id").alias("p_doc"), F.col("line_no").alias("p_line"), *[F.col(f"n_{c}").alias(f"p_{c}") for c in LETTERS])
+    a = listed.where("long").drop("long").join(counted, ["doc_id", "line_no"])
+    b = named.where("long").drop("long").join(theirs, ["p_doc", "p_line"])
+    differ = sum((F.abs(F.col(f"n_{c}") - F.col(f"p_{c}")) for c in LETTERS), F.lit(0))
+    many = a.join(b, (a["key"] == b["key"]) & apart & (differ <= 2 * p.edits))
+    out = ["doc_id", "line_no", "p_doc", "p_line"]
+    return few.select(*out).union(many.select(*out)).distinct()
+
+
 def removed_lines(docs: DataFrame, p: LineParams = PRODUCTION) -> DataFrame:
     """documents -> doc_id, line_no, near (false: equal to an earlier line, true: within the edits of one)."""
     rows = of_type(docs, {"doc_id": "long", "text": "string"})
@@ -172,15 +216,10 @@ def removed_lines(docs: DataFrame, p: LineParams = PRODUCTION) -> DataFrame:
     keyed = keyed.groupBy("k1", "k2").agg(F.min(F.struct("id", "len", "keys")).alias("x")).select("x.id.doc_id", "x.id.line_no", "x.len", "x.keys")
     keyed = materialize(keyed, "line-keys")
     listed = keyed.select("doc_id", "line_no", "len", F.explode(F.slice("keys", 1, len(own))).alias("key"))
-    probing = keyed.select(F.col("doc_id").alias("p_doc"), F.col("line_no").alias("p_line"), F.col("len").alias("p_len"), F.explode(F.slice("keys", len(own) + 1, len(probes))).alias("key"))
-    apart = "p_len > len OR (p_len = len AND (p_doc > doc_id OR (p_doc = doc_id AND p_line > line_no)))"
-    pairs = listed.join(probing, "key").where(apart).where(F.col("p_len") - F.col("len") <= p.edits).select("doc_id", "line_no", "p_doc", "p_line").distinct()
-    pairs = materialize(pairs, "line-pairs")
-
-    places = pairs.select("doc_id", "line_no").union(pairs.select("p_doc", "p_line")).distinct()
-    wanted = places.groupBy("doc_id").agg(F.collect_set("line_no").alias("wanted"))
-    fetched = rows.join(wanted, "doc_id").select("doc_id", F.explode("wanted").alias("line_no"), F.split("text", "\n").alias("_all")).select("doc_id", "line_no", F.get("_all", F.col("line_no")).alias("line")).distinct()
-    texts = materialize(fetched, "line-texts")
+    probing = keyed.select("doc_id", "line_no", "len", F.explode(F.slice("keys", len(own) + 1, len(probes))).alias("key"))
+    pairs = materialize(candidates(rows, listed, probing, p), "line-pairs")
+
+    texts = materialize(texts_at(rows, pairs.select("doc_id", "line_no").union(pairs.select("p_doc", "p_line"))), "line-texts")
     left = texts.select("doc_id", "line_no", F.col("line").alias("x"))
     right = texts.select(F.col("doc_id").alias("p_doc"), F.col("line_no").alias("p_line"), F.col("line").alias("y"))
     linked = within_edits(pairs.join(left, ["doc_id", "line_no"]).join(right, ["p_doc", "p_line"]), p.edits)
