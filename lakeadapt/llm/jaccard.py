@@ -49,6 +49,8 @@ class JaccardParams:
 
 
 PRODUCTION = JaccardParams()
+#: Texts that are cut into words together.
+SLICE = 500
 #: Bits of the map that keeps texts of no candidate from being cut into shingles again: 8 MB.
 BITS = 1 << 26
 _MUL = np.uint64(0x9E3779B97F4A7C15)
@@ -70,12 +72,15 @@ def mix(x: np.ndarray) -> np.ndarray:
 
 
 class Shingler:
-    """Sets of a batch of texts; each different word of the batch is hashed once."""
+    """Sets of a batch of texts, some at a time; each different word among them is hashed once."""
 
     def __init__(self, width: int):
         self.width = width
 
     def sets(self, texts: list[str | None]) -> list[np.ndarray]:
+        return [s for k in range(0, len(texts), SLICE) for s in self._slice(texts[k : k + SLICE])]
+
+    def _slice(self, texts: list[str | None]) -> list[np.ndarray]:
         class Seen(dict):
             def __missing__(self, word: bytes) -> int:
                 self[word] = k = len(self)
@@ -88,7 +93,7 @@ class Shingler:
         codes = np.fromiter((look(w) for row in rows for w in row), np.int64, int(sizes.sum()))
         hashes = mix(np.fromiter((xxhash.xxh3_64_intdigest(w) for w in seen), np.uint64, len(seen)))
         words, starts = hashes[codes] if len(codes) else np.zeros(0, np.uint64), np.cumsum(sizes) - sizes
-        # windows over the whole batch at once; those that reach into the next text are never read
+        # windows over all texts at once; those that reach into the next text are never read
         n, acc = len(words), np.full(len(words), self.width, np.uint64)
         for k in range(self.width):
             acc[: n - k] = (acc[: n - k] ^ (acc[: n - k] >> np.uint64(31))) * _MUL + words[k:]
