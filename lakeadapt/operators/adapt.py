@@ -224,7 +224,7 @@ class ArrayLake:
         return drawn([i for i, c in zip(self.train, near) if c in weak and i not in used], n, seed)
 
     def labelled(self, ids: list[str], t: Typer) -> tuple[np.ndarray, np.ndarray]:
-        ids = [i for i in ids if self.y[self.at[i]] in t.index]
+        ids = sorted(i for i in ids if self.y[self.at[i]] in t.index)
         return self.rows(ids), t.encode_types([self.y[self.at[i]] for i in ids])
 
     def valid(self, t: Typer) -> tuple[np.ndarray, np.ndarray]:
