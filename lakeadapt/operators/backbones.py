@@ -13,7 +13,7 @@ from lakeadapt.functions.features import vector_of
 from lakeadapt.functions.vectors import mean_by
 
 
-def sibling_mean(df: DataFrame, value: str) -> Column:
+def sibling_mean(value: str) -> Column:
     """Mean of a number over the other columns of the table; 0 without siblings."""
     w = Window.partitionBy("table_id")
     n = F.count("*").over(w)

@@ -55,7 +55,7 @@ def knowledge_judge(columns: DataFrame, label: str = "pred", kb: DataFrame | Non
     kb = knowledge_table(columns.sparkSession) if kb is None else kb
     cells = columns.select("column_id", F.col(label).alias("_label"), F.explode_outer("cells").alias("cell"))
     tested = cells.crossJoin(F.broadcast(kb))  # the knowledge table is fixed and small
-    share = F.avg(F.when(F.coalesce(F.col("cell"), F.lit("")).rlike(F.col("pattern")), 1.0).otherwise(0.0))
+    share = F.avg(F.when(F.rlike(F.coalesce(F.col("cell"), F.lit("")), F.col("pattern")), 1.0).otherwise(0.0))
     fits = tested.groupBy("column_id", "_label", "type_name", "min_share").agg(share.alias("share")).withColumn("ok", F.col("share") >= F.col("min_share"))
     verdict = fits.groupBy("column_id", "_label").agg(
         F.bool_or((F.col("type_name") == F.col("_label")) & F.col("ok")).alias("mine"),
