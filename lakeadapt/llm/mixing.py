@@ -21,7 +21,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from lakeadapt.llm.common import SPACE, of_type
+from lakeadapt.llm.common import SPACE, materialize, of_type
 
 
 @dataclass(frozen=True)
@@ -40,6 +40,7 @@ PRODUCTION = Mix()
 
 #: Ranges that a leaf's order is cut into before the last one is sorted: the first three hex digits.
 RANGE_DIGITS = 3
+MAX_SENT = 100_000
 
 
 def _lookup(column: str, values: dict, default) -> Column:
@@ -83,6 +84,13 @@ def leaf_quotas(leaves: DataFrame, mix: Mix) -> DataFrame:
     return _fill(low, ["domain", "lang"], "source", "quota").select("domain", "lang", "source", "tokens", "quota")
 
 
+def bounded(leaf_rows: DataFrame, tag: str) -> DataFrame:
+    """One row per leaf of the tree, written once; sent to every task while there are at most MAX_SENT leaves, so that the
+    texts stay where they are. A larger tree is joined by a shuffle."""
+    stored = materialize(leaf_rows, tag)
+    return F.broadcast(stored) if stored.count() <= MAX_SENT else stored
+
+
 def _order_key(seed: int, epoch: Column, doc_id: str) -> Column:
     return F.md5(F.concat_ws(":", F.lit(str(seed)), epoch.cast("string"), F.coalesce(F.col(doc_id).cast("string"), F.lit("none"))))
 
@@ -104,7 +112,7 @@ def mix_documents(docs: DataFrame, mix: Mix = PRODUCTION, keep: list[str] | None
         F.expr("CASE WHEN tokens > 0 THEN quota % tokens ELSE 0 END").alias("rest"),
     )
     same = F.col("domain").eqNullSafe(F.col("_d")) & F.col("lang").eqNullSafe(F.col("_l")) & F.col("source").eqNullSafe(F.col("_s"))
-    rows = slim.join(plan, same).drop("_d", "_l", "_s")  # one row per leaf of the tree; Spark broadcasts it only while it is small
+    rows = slim.join(bounded(plan, "mix-plan"), same).drop("_d", "_l", "_s")
     rows = rows.withColumn("_h", _order_key(mix.seed, F.col("whole"), "doc_id")).withColumn("_r", F.substring("_h", 1, RANGE_DIGITS))
     # token sums of the hash ranges of each leaf, combined before the shuffle; then the range in which the prefix ends
     leaf = ["domain", "lang", "source"]
@@ -112,7 +120,7 @@ def mix_documents(docs: DataFrame, mix: Mix = PRODUCTION, keep: list[str] | None
     upto = F.sum("_t").over(Window.partitionBy(*leaf).orderBy("_r"))
     ends = ranges.withColumn("_upto", upto).where("_upto > rest").groupBy(*leaf).agg(F.min(F.struct("_r", (F.col("_upto") - F.col("_t")).alias("_before"))).alias("_end"))
     ends = ends.select(F.col("domain").alias("_d"), F.col("lang").alias("_l"), F.col("source").alias("_s"), F.col("_end._r").alias("_end"), F.col("_end._before").alias("_before"))
-    rows = rows.join(ends, same, "left").drop("_d", "_l", "_s")
+    rows = rows.join(bounded(ends, "mix-ends"), same, "left").drop("_d", "_l", "_s")
     # only the rows of that range need an order
     last = rows.where("_r = _end").withColumn("_sum", F.sum("n_tokens").over(Window.partitionBy(*leaf).orderBy("_h")))
     last = last.withColumn("_in", F.col("_before") + F.col("_sum") <= F.col("rest")).drop("_sum")
