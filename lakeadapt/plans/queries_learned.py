@@ -15,7 +15,7 @@ from lakeadapt.operators.typer import Typer, fit_to_plateau, realign, score
 from lakeadapt.session import REGISTRY
 from lakeadapt.sources import catalog, lake
 from lakeadapt.sources.store import written
-from lakeadapt.workloads import experiments
+from lakeadapt.workloads import checks, experiments
 
 FAST = Config(iterations=3, budget=200, warm_tables=8, kmeans_rounds=2)
 
@@ -56,3 +56,7 @@ SMALL = {"points": (5, 20), "shares": (0.5,)}
 for _name in ("W1", "W2", "W3", "W4", "W5", "W6", "W7", "W8", "W9", "W11", "W12", "W14", "W16", "W18", "V13", "V14"):
     REGISTRY.add(f"{_name.lower()}_results", lambda s, d, n=_name: experiments.run(n, s, d, **SMALL))
 REGISTRY.add("w22_families", experiments.families)
+REGISTRY.add("w13_silhouette_k", checks.silhouette_k)
+REGISTRY.add("w19_worked_example", checks.worked_example)
+REGISTRY.add("w20_complexity", checks.complexity)
+REGISTRY.add("w23_documents", checks.documents_as_units)
