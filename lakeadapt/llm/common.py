@@ -4,7 +4,9 @@ from __future__ import annotations
 
 import tempfile
 import uuid
+from collections.abc import Iterator
 
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
@@ -116,3 +118,10 @@ def components(edges: DataFrame) -> DataFrame:
 def of_type(df: DataFrame, wanted: dict[str, str]) -> DataFrame:
     """Only the named columns, each cast to its type: extra columns of any name are out of the way."""
     return df.select(*[F.col(f"`{c}`").cast(t).alias(c) for c, t in wanted.items()])
+
+
+def sliced(batches: Iterator[pa.RecordBatch], rows: int = 1000) -> Iterator[pa.RecordBatch]:
+    """The same rows in smaller batches: what a worker holds at a time."""
+    for batch in batches:
+        for k in range(0, batch.num_rows, rows):
+            yield batch.slice(k, rows)

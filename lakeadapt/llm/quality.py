@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from lakeadapt.llm.common import of_type
+from lakeadapt.llm.common import of_type, sliced
 
 #: ASCII white space, symbols of the contract, marks that end a sentence or a quotation.
 SPACES = b" \t\n\x0b\x0c\r"
@@ -139,7 +139,7 @@ def judge_documents(docs: DataFrame, rules: Rules = PRODUCTION, with_text: bool
     out = names if with_text else names[:-1]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in sliced(batches):
             rows = [judge_text(t, rules) for t in batch.column("text").to_pylist()]
             cols = list(zip(*rows)) if rows else [[] for _ in names]
             kinds = [pa.int64()] * 5 + [pa.bool_()] * 2 + [pa.int64(), pa.string()]
@@ -155,7 +155,7 @@ def clean_documents(docs: DataFrame, rules: Rules = PRODUCTION) -> DataFrame:
     spec = docs.select(F.col("text").cast("string").alias("text"), *[F.col(f"`{c}`") for c in docs.columns if c != "text"]).schema
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in sliced(batches):
             rows = [judge_text(t, rules) for t in batch.column("text").to_pylist()]
             keep = pa.array([r[6] for r in rows], pa.bool_())
             at = batch.schema.get_field_index("text")
