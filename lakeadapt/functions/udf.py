@@ -29,7 +29,7 @@ def column_type(spark: SparkSession, typer: Typer):
     return col_type
 
 
-@F.pandas_udf("array<double>")
+@F.pandas_udf(T.ArrayType(T.DoubleType()))
 def vec_mean(vectors: pd.Series) -> list[float]:
     """Mean of vectors; groups are gathered, so use functions.vectors.mean_by for large ones."""
     return np.stack(vectors).mean(axis=0).tolist()
