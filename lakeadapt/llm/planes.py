@@ -25,21 +25,21 @@ from itertools import chain
 import numpy as np
 import pandas as pd
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from lakeadapt.llm.bpe import gather
-from lakeadapt.llm.common import cut_points, new_path, of_type, range_bucket
+from lakeadapt.llm.common import cut_points, materialize, new_path, of_type, range_bucket
 
 END_ID = 1
 #: Pieces of words that a Python worker remembers; the memory starts anew when it is full.
 KNOWN_PIECES = 600_000
 #: Texts that are cut into words together.
-SLICE = 2_000
+SLICE = 4_000
 #: ASCII marks that are no part of a word: a run of them after a letter or digit is a token run of its own.
-MARKS = b".,!?;:#$%&*"
-_ALNUM = frozenset(b"abcdefghijklmnopqrstuvwxyz0123456789")
+MARKS = ".,!?;:#$%&*"
 CHUNK_SCHEMA = (
     "shard int, chunk int, first_id long, n_ids int, width int, planes array<binary>, doc_ids array<long>,"
     " doc_starts array<long>, head_id long, head_start long, open_end boolean"
@@ -62,52 +62,54 @@ class WordEncoder:
         self.forget()
 
     def forget(self) -> None:
-        self.number: dict[bytes, int] = {b"": 0}
+        self.number: dict[str, int] = {"": 0}
         self.flat, self.lengths = np.zeros(0, np.uint16), np.zeros(1, np.uint8)
 
-    def encode(self, texts: list[str]) -> list[np.ndarray]:
-        return [ids for k in range(0, len(texts), SLICE) for ids in self._slice(texts[k : k + SLICE])]
+    def encode(self, texts: pa.Array) -> list[np.ndarray]:
+        return [ids for k in range(0, len(texts), SLICE) for ids in self._slice(texts.slice(k, SLICE))]
 
-    def _slice(self, texts: list[str]) -> list[np.ndarray]:
+    def _slice(self, texts: pa.Array) -> list[np.ndarray]:
+        """Words are cut, counted and compared by Arrow; Python sees each different piece of the slice once."""
         if len(self.number) > KNOWN_PIECES:
             self.forget()
-        number, pairs, new = self.number, [], []
+        number, new = self.number, []
 
-        def piece(raw: bytes) -> int:
-            k = number.get(raw)
+        def piece(text: str) -> int:
+            k = number.get(text)
             if k is None:
-                number[raw] = k = len(number)
-                new.append(raw)
+                number[text] = k = len(number)
+                new.append(text)
             return k
 
-        class Seen(dict):
-            def __missing__(self, word: bytes) -> int:
-                low = word if b"<|" in word else word.lower()
-                body = low.rstrip(MARKS)
-                if body and len(body) < len(low) and body[-1] in _ALNUM and b"<|" not in word:
-                    pairs.append((piece(body), piece(low[len(body) :])))
-                else:
-                    pairs.append((piece(low), 0))
-                self[word] = k = len(self)
-                return k
-
-        look, rows = Seen().__getitem__, []
-        for text in texts:
-            words = text.encode("utf-8", "surrogatepass").split()
-            rows.append(np.fromiter(map(look, words), np.int64, len(words)))
+        texts = pc.fill_null(texts, "")
+        special = pc.match_substring(texts, "<|")
+        words = pc.ascii_split_whitespace(pc.if_else(special, texts, pc.ascii_lower(texts)))
+        coded = words.flatten().dictionary_encode()
+        different = coded.dictionary
+        body = pc.ascii_rtrim(different, characters=MARKS)
+        cut = pc.and_(pc.match_substring_regex(body, "[a-z0-9]$"), pc.invert(pc.match_substring(different, "<|")))
+        body = pc.if_else(cut, body, different)
+        marks, size = np.zeros(len(different), np.int64), pc.utf8_length(body).to_numpy()
+        marked = np.flatnonzero(size < pc.utf8_length(different).to_numpy())
+        marks[marked] = [piece(w[n:]) for w, n in zip(different.take(pa.array(marked)).to_pylist(), size[marked].tolist())]
+        bodies = body.dictionary_encode()
+        at = np.fromiter(map(piece, bodies.dictionary.to_pylist()), np.int64, len(bodies.dictionary))
+        parts = np.stack([at[bodies.indices.to_numpy()] if len(body) else marks, marks], axis=1)
         if new:
             batch = getattr(self.tokenizer, "encode_batch_fast", self.tokenizer.encode_batch)
             ids: list[list[int]] = []
             for k in range(0, len(new), 20_000):
-                ids += [e.ids for e in batch([w.decode("utf-8", "replace") for w in new[k : k + 20_000]], add_special_tokens=False)]
+                ids += [e.ids for e in batch(new[k : k + 20_000], add_special_tokens=False)]
             lengths = np.fromiter(map(len, ids), np.int64, len(ids))
             flat = np.fromiter(chain.from_iterable(ids), np.int64, int(lengths.sum()))
             wide = np.result_type(self.flat.dtype, np.min_scalar_type(int(flat.max(initial=0))))
             deep = np.result_type(self.lengths.dtype, np.min_scalar_type(int(lengths.max(initial=0))))
             self.flat, self.lengths = np.concatenate([self.flat, flat], dtype=wide, casting="unsafe"), np.concatenate([self.lengths, lengths], dtype=deep, casting="unsafe")
         lengths = self.lengths.astype(np.int64)
-        starts, parts = np.cumsum(lengths) - lengths, np.array(pairs, np.int64).reshape(-1, 2)
-        return [gather(self.flat, starts, lengths, parts[r].ravel()).astype(np.uint32) for r in rows]
+        starts, picks = np.cumsum(lengths) - lengths, coded.indices.to_numpy()
+        every = gather(self.flat, starts, lengths, parts[picks].ravel()).astype(np.uint32)
+        ends = np.concatenate([[0], np.cumsum(lengths[parts].sum(axis=1)[picks])])[words.offsets.to_numpy() - words.offsets[0].as_py()]
+        return [every[i:j] for i, j in zip(ends[:-1].tolist(), ends[1:].tolist())]
 
 
 @lru_cache(maxsize=2)
@@ -237,7 +239,7 @@ def write_tokens(docs: DataFrame, tokenizer_path: str, chunk_ids: int = 65_536,
 
         for batch in batches:
             rows: list[dict] = []
-            ids = encoder.encode([t or "" for t in batch.column("text").to_pylist()])
+            ids = encoder.encode(batch.column("text"))
             for shard, doc_id, own in zip(batch.column("shard").to_pylist(), batch.column("doc_id").to_pylist(), ids):
                 if shard != state["shard"]:
                     rows += close()
@@ -289,7 +291,7 @@ def read_pieces(files: TokenFiles) -> DataFrame:
 
 def read_documents(files: TokenFiles) -> DataFrame:
     """doc_id, start, n_tokens, ids_crc32 of every document, from the files alone."""
-    pieces = read_pieces(files)
+    pieces = materialize(read_pieces(files), "pieces")  # so that the planes are opened once
     whole = pieces.where("whole").select("shard", "doc_id", "doc_start", "n", "crc")
 
     @F.pandas_udf("long")
