@@ -163,3 +163,38 @@ def score(columns: DataFrame, typer: Typer, with_hidden: bool = True) -> DataFra
 
     schema = "column_id string, pred string, phi double" + (", hidden array<double>" if with_hidden else "")
     return columns.select("column_id", "features").mapInArrow(run, schema)
+
+
+def fit_distributed(labelled: DataFrame, t: Typer, steps: int = 20, lr: float = 2e-2) -> Typer:
+    """Full-batch Adam over labelled(features, type_name) of any size: weights out, summed gradients back, each step.
+
+    For source lakes beyond one task; a task sends one gradient (the size of the model), however many rows it reads.
+    """
+    out, adam = t.copy(), Adam(lr)
+    w = out.weights()
+    rows = labelled.where(labelled["type_name"].isin(list(t.types))).select("features", "type_name")
+    spark = labelled.sparkSession
+
+    for _ in range(steps):
+        sent = spark.sparkContext.broadcast(out)
+
+        def run(batches: Iterator[pa.RecordBatch], sent=sent) -> Iterator[pa.RecordBatch]:
+            model, total, n = sent.value, None, 0
+            for batch in batches:
+                flat = batch.column("features")
+                x = flat.flatten().to_numpy(zero_copy_only=False).reshape(len(flat), -1).astype(np.float64)
+                if not len(x):
+                    continue
+                own = gradients(model, x, model.encode_types(batch.column("type_name").to_pylist()))
+                total = {k: v * len(x) + (total[k] if total else 0.0) for k, v in own.items()}
+                n += len(x)
+            if total:
+                yield pa.RecordBatch.from_arrays([pa.array(list(total)), pa.array([v.ravel() for v in total.values()], pa.list_(pa.float64())), pa.array([n] * len(total))], ["name", "sums", "n"])
+
+        parts = rows.mapInArrow(run, "name string, sums array<double>, n long").toArrow().to_pylist()  # one model per task
+        if not parts:
+            break
+        whole = {k: sum(np.array(p["sums"]) for p in parts if p["name"] == k) / sum(p["n"] for p in parts if p["name"] == k) for k in w}
+        adam.update(w, {k: g.reshape(w[k].shape) for k, g in whole.items()})
+        sent.unpersist()
+    return out

@@ -55,6 +55,7 @@ REGISTRY.add("adapt_trace", lambda s, d: s.createDataFrame(adapted(s, d, replace
 SMALL = {"points": (5, 20), "shares": (0.5,)}
 for _name in ("W1", "W2", "W3", "W4", "W5", "W6", "W7", "W8", "W9", "W11", "W12", "W14", "W16", "W18", "V13", "V14"):
     REGISTRY.add(f"{_name.lower()}_results", lambda s, d, n=_name: experiments.run(n, s, d, **SMALL))
+REGISTRY.add("seed_variance", lambda s, d: experiments.seed_variance(s, d, points=(5,)))
 REGISTRY.add("w22_families", experiments.families)
 REGISTRY.add("w13_silhouette_k", checks.silhouette_k)
 REGISTRY.add("w19_worked_example", checks.worked_example)

@@ -75,3 +75,12 @@ def gains(results: DataFrame, base: str, method: str) -> DataFrame:
 
     means = results.groupBy("transfer", "method", "budget").agg(F.avg("sw_f1").alias("value"))
     return avg_gain(means, method, base)
+
+
+def seed_variance(spark: SparkSession, sf_dir: str, name: str = "W5", seeds: tuple[int, ...] = (1, 2, 3), **grid) -> DataFrame:
+    """Mean and standard deviation over seeds of a workload's results."""
+    rows = run(name, spark, sf_dir, seeds=seeds, **grid)
+    return rows.groupBy("workload", "transfer", "method", "budget").agg(
+        F.count("*").alias("seeds"), F.round(F.avg("n_labels"), 1).alias("n_labels"), F.round(F.avg("sw_f1"), 4).alias("sw_f1"), F.round(F.stddev_samp("sw_f1"), 4).alias("sw_sd"),
+        F.round(F.avg("ma_f1"), 4).alias("ma_f1"), F.round(F.stddev_samp("ma_f1"), 4).alias("ma_sd"), F.round(F.avg("ood"), 4).alias("ood"), F.round(F.avg("judge_calls"), 1).alias("judge_calls"),
+    )

@@ -303,3 +303,17 @@ def test_transfers_have_the_three_regimes():
     sizes = {t.name: (len(t.source), len(t.target), len(set(t.source) & set(t.target))) for t in catalog.TRANSFERS}
     assert sizes["TX1"][2] == sizes["TX1"][0] < sizes["TX1"][1]
     assert 0 < sizes["TX2"][2] < 8 and 0 < sizes["TX3"][2] < sizes["TX3"][0]
+
+
+def test_distributed_training_is_full_batch_adam(spark):
+    from lakeadapt.operators.typer import Adam, fit_distributed
+
+    _, start = lake_and_start()
+    cols = columns_of(spark).where("split = 'train'")
+    rows = cols.collect()
+    x, y = np.array([r["features"] for r in rows]), start.encode_types([r["type_name"] for r in rows])
+    want, adam = start.copy(), Adam(2e-2)
+    for _ in range(3):
+        adam.update(want.weights(), gradients(want, x, y))
+    got = fit_distributed(cols.repartition(3), start, steps=3)
+    assert all(np.allclose(a, b, atol=1e-9) for a, b in zip(got.weights().values(), want.weights().values()))
