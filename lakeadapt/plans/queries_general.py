@@ -120,11 +120,11 @@ add("metrics_cube", lambda s, d: _O(s, d).cube("o_orderstatus", "o_orderpriority
 add("phi_quantiles", lambda s, d: scored(s, d).agg(*[F.round(F.percentile("phi", q / 100), 6).alias(f"q{q}") for q in (10, 50, 90)]), core(_PRED, "SELECT round(quantile_cont(phi, 0.1), 6) AS q10, round(quantile_cont(phi, 0.5), 6) AS q50, round(quantile_cont(phi, 0.9), 6) AS q90 FROM pr"))
 add("mode_cell", lambda s, d: table(s, d, "customer").groupBy("c_nationkey", "c_mktsegment").count().groupBy("c_nationkey").agg(F.min(F.struct(-F.col("count"), "c_mktsegment")).alias("m")).select("c_nationkey", F.col("m.c_mktsegment").alias("segment")), "SELECT c_nationkey, arg_min(c_mktsegment, (-n, c_mktsegment)) AS segment FROM (SELECT c_nationkey, c_mktsegment, count(*) AS n FROM customer GROUP BY ALL) GROUP BY c_nationkey")
 add("vector_mean", lambda s, d: table(s, d, "embeddings").select("label", F.posexplode(F.col("embedding").cast("array<double>")).alias("dim", "x")).groupBy("label", "dim").agg(F.round(F.avg("x"), 6).alias("mean")), "SELECT label, CAST(dim AS INTEGER) AS dim, round(avg(x), 6) AS mean FROM (SELECT label, unnest(range(0, 64)) AS dim, unnest(CAST(embedding AS DOUBLE[])) AS x FROM embeddings) GROUP BY ALL")
-_BY = W.partitionBy("c_nationkey").orderBy(F.col("c_acctbal").desc(), "c_custkey")
-add("rank_types", lambda s, d: table(s, d, "customer").select("c_custkey", F.row_number().over(_BY).alias("r"), F.ntile(4).over(_BY).alias("q"), F.round(F.percent_rank().over(_BY), 6).alias("p")), "SELECT c_custkey, CAST(row_number() OVER w AS INTEGER) AS r, CAST(ntile(4) OVER w AS INTEGER) AS q, round(percent_rank() OVER w, 6) AS p FROM customer WINDOW w AS (PARTITION BY c_nationkey ORDER BY c_acctbal DESC, c_custkey)")
-_UT = W.partitionBy("user_id").orderBy("ts", "event_id")
-add("loss_lag", lambda s, d: _E(s, d).select("event_id", F.round(F.col("value") - F.lag("value").over(_UT), 6).alias("change"), F.min("value").over(_UT.rowsBetween(W.unboundedPreceding, -1)).alias("best")), "SELECT event_id, round(value - lag(value) OVER w, 6) AS change, min(value) OVER (w ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS best FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)")
-add("moving_phi", lambda s, d: _E(s, d).select("event_id", F.round(F.avg("value").over(_UT.rowsBetween(-4, 0)), 6).alias("mean5"), F.round(F.sum("value").over(_UT.rowsBetween(W.unboundedPreceding, 0)), 4).alias("running")), "SELECT event_id, round(avg(value) OVER (w ROWS BETWEEN 4 PRECEDING AND CURRENT ROW), 6) AS mean5, round(sum(value) OVER (w ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW), 4) AS running FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)")
+_by = lambda: W.partitionBy("c_nationkey").orderBy(F.col("c_acctbal").desc(), "c_custkey")
+add("rank_types", lambda s, d: table(s, d, "customer").select("c_custkey", F.row_number().over(_by()).alias("r"), F.ntile(4).over(_by()).alias("q"), F.round(F.percent_rank().over(_by()), 6).alias("p")), "SELECT c_custkey, CAST(row_number() OVER w AS INTEGER) AS r, CAST(ntile(4) OVER w AS INTEGER) AS q, round(percent_rank() OVER w, 6) AS p FROM customer WINDOW w AS (PARTITION BY c_nationkey ORDER BY c_acctbal DESC, c_custkey)")
+_ut = lambda: W.partitionBy("user_id").orderBy("ts", "event_id")
+add("loss_lag", lambda s, d: _E(s, d).select("event_id", F.round(F.col("value") - F.lag("value").over(_ut()), 6).alias("change"), F.min("value").over(_ut().rowsBetween(W.unboundedPreceding, -1)).alias("best")), "SELECT event_id, round(value - lag(value) OVER w, 6) AS change, min(value) OVER (w ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS best FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)")
+add("moving_phi", lambda s, d: _E(s, d).select("event_id", F.round(F.avg("value").over(_ut().rowsBetween(-4, 0)), 6).alias("mean5"), F.round(F.sum("value").over(_ut().rowsBetween(W.unboundedPreceding, 0)), 4).alias("running")), "SELECT event_id, round(avg(value) OVER (w ROWS BETWEEN 4 PRECEDING AND CURRENT ROW), 6) AS mean5, round(sum(value) OVER (w ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW), 4) AS running FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)")
 add("topk_hash", lambda s, d: smallest(table(s, d, "part").select("p_partkey"), 50, "top", "p_partkey"), f"SELECT p_partkey FROM part ORDER BY {sql_draw('top', 'p_partkey')}, p_partkey LIMIT 50")
 
 
