@@ -291,7 +291,8 @@ def verified(pairs: DataFrame, docs: DataFrame, p: JaccardParams) -> DataFrame:
 
 
 def jaccard_components(docs: DataFrame, p: JaccardParams = PRODUCTION) -> DataFrame:
-    """documents -> doc_id, n_shingles, component_id (smallest doc_id reachable), n_links (verified links of its node)."""
+    """documents -> doc_id, n_shingles, component_id (smallest doc_id reachable), n_links (links that were verified for its node: stars and what was
+    still apart, not every pair of a group)."""
     spark = docs.sparkSession
     rows = of_type(docs, {"doc_id": "long", "text": "string"})
     sets = materialize(shingle_sets(rows, p), "shingles")
@@ -357,4 +358,22 @@ def without_near_copies(docs: DataFrame, p: JaccardParams = PRODUCTION) -> DataF
 
 
 def op3_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return jaccard_components(spark.read.parquet(f"{sf_dir}/documents.parquet"))
+    return jaccard_components(spark.read.parquet(f"{sf_dir}/documents.parquet")).select("doc_id", "n_shingles", "component_id")
+
+
+ORACLE = r"""
+WITH RECURSIVE w AS (
+  SELECT doc_id, regexp_extract_all(translate(text, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') AS words FROM documents
+), s AS (
+  SELECT DISTINCT doc_id, array_to_string(words[CAST(i AS INTEGER) : CAST(i AS INTEGER) + 3], ' ') AS shingle
+  FROM (SELECT doc_id, words, unnest(range(1, greatest(len(words) - 3, least(len(words), 1)) + 1)) AS i FROM w)
+), n AS (SELECT doc_id, count(*) AS n FROM s GROUP BY doc_id),
+l AS (
+  SELECT x.a, x.b FROM (SELECT p.doc_id AS a, q.doc_id AS b, count(*) AS shared FROM s p JOIN s q ON p.shingle = q.shingle AND p.doc_id <> q.doc_id GROUP BY ALL) x
+  JOIN n na ON na.doc_id = a JOIN n nb ON nb.doc_id = b WHERE 100 * shared >= 85 * (na.n + nb.n - shared)
+), reach AS (
+  SELECT doc_id, doc_id AS other FROM documents UNION SELECT reach.doc_id, l.b FROM reach JOIN l ON l.a = reach.other
+)
+SELECT d.doc_id, CAST(coalesce(any_value(n.n), 0) AS BIGINT) AS n_shingles, min(other) AS component_id
+FROM documents d JOIN reach ON reach.doc_id = d.doc_id LEFT JOIN n ON n.doc_id = d.doc_id GROUP BY d.doc_id
+"""

@@ -30,6 +30,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 def oracle_sql() -> dict[str, str]:
     return {
         "op2_warc_archive": warc.ORACLE,
+        "op3_jaccard_join": jaccard.ORACLE,
         "op4_mix_sources": mixing.ORACLE,
         "op7_url_filters": urlfilter.ORACLE,
     }
