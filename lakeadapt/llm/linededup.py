@@ -202,19 +202,16 @@ def removed_lines(docs: DataFrame, p: LineParams = PRODUCTION) -> DataFrame:
     rows = of_type(docs, {"doc_id": "long", "text": "string"})
     own, probes = segment_keys(p)
     lines = lines_of(rows).withColumn("len", F.length("line")).withColumn("k1", F.xxhash64("line")).withColumn("k2", F.xxhash64(F.lit(1), "line"))
-    occurrences = lines.select("k1", "k2", "doc_id", "line_no").distinct()
+    # one row per different line: its first place, how often it occurs, and its keys if it is long enough for near copies
+    keys = F.when(F.col("len") >= p.min_chars, F.expr(f"array({', '.join(own + probes)})"))
+    every = lines.select("k1", "k2", F.struct(F.struct("doc_id", "line_no").alias("id"), "len", keys.alias("keys")).alias("x"))
+    firsts = materialize(every.groupBy("k1", "k2").agg(F.min("x").alias("x"), F.count("*").alias("m")).select("k1", "k2", "m", "x.id", "x.len", "x.keys"), "lines")
 
-    # exact: the first place of each different line
-    firsts = occurrences.groupBy("k1", "k2").agg(F.min(F.struct("doc_id", "line_no")).alias("f"), F.count("*").alias("m"))
-    repeated = firsts.where("m > 1").select("k1", "k2", "f")
-    equal = occurrences.join(repeated, ["k1", "k2"]).where("doc_id <> f.doc_id OR line_no <> f.line_no").select("doc_id", "line_no", F.lit(False).alias("near"))
+    repeated = firsts.where("m > 1").select("k1", "k2", F.col("id").alias("f"))
+    places = lines.select("k1", "k2", "doc_id", "line_no").join(repeated, ["k1", "k2"])
+    equal = places.where("doc_id <> f.doc_id OR line_no <> f.line_no").select("doc_id", "line_no").distinct().withColumn("near", F.lit(False))
 
-    # near: keys of the different lines, at their first place
-    keyed = lines.where(F.col("len") >= p.min_chars).select(
-        "k1", "k2", F.struct("doc_id", "line_no").alias("id"), "len", F.expr(f"array({', '.join(own + probes)})").alias("keys")
-    )
-    keyed = keyed.groupBy("k1", "k2").agg(F.min(F.struct("id", "len", "keys")).alias("x")).select("x.id.doc_id", "x.id.line_no", "x.len", "x.keys")
-    keyed = materialize(keyed, "line-keys")
+    keyed = firsts.where("keys IS NOT NULL").select("id.doc_id", "id.line_no", "len", "keys")
     listed = keyed.select("doc_id", "line_no", "len", F.explode(F.slice("keys", 1, len(own))).alias("key"))
     probing = keyed.select("doc_id", "line_no", "len", F.explode(F.slice("keys", len(own) + 1, len(probes))).alias("key"))
     pairs = materialize(candidates(rows, listed, probing, p), "line-pairs")
