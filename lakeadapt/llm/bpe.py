@@ -83,8 +83,8 @@ def gather(flat: np.ndarray, starts: np.ndarray, lengths: np.ndarray, picks: np.
     return flat[np.repeat(starts[picks] - (ends - n), n) + np.arange(ends[-1])]
 
 
-def split_block(texts: list[str], pattern) -> tuple[list[str], list[np.ndarray], np.ndarray, np.ndarray]:
-    """Distinct pre-tokens of a block; per text its units; per unit where its pre-tokens are in the flat code array.
+def split_block(texts: list[str], pattern) -> tuple[list[str], list[np.ndarray]]:
+    """The different units of a block, and per text the numbers of its units: chunks between spaces, or pre-tokens.
 
     A text without double spaces is cut at spaces first: no pre-token crosses one, so a chunk with its leading space
     splits the same everywhere and is looked at once per block.
