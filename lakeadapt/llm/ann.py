@@ -2,12 +2,14 @@
 
 The model (centroids, one small codebook per slice of the dimensions) is fitted on a bounded sample: the `sample_rows`
 vectors with the smallest hash, copies left out. All rows are indexed: nearest centroid and 8-bit codes of the residual. A query scores
-the lists it probes with a table of inner products per code (asymmetric: the query is not quantised), keeps the best of
-each list that can reach its result, and the exact inner products of the survivors on the original vectors decide.
+the lists it probes with a table of inner products per code (asymmetric: the query is not quantised), keeps the best
+different vectors of each slice that can reach its result, and their exact inner products on the original vectors, taken
+where the slice lies, decide. Copies of a vector are one entry with its k + 1 smallest ids, which loses nothing: they score
+the same, and ties go to the smaller id.
 
 How many lists a query probes is set on the sample, against its exact neighbours there (`target_recall`), so that it follows the
-data. Lists are cut into slices of at most `slice_rows`, so a vector that fills the corpus is spread over many tasks;
-queries stream past a slice. Nothing but the model is sent to every task, and its size does not grow with the rows.
+data. A query that finds fewer than k rows so scans all lists without a lower bound. Lists are cut into slices of about
+`slice_rows`; queries stream past a slice. Nothing but the model is sent to every task, and its size does not grow with the rows.
 
 Defined cases: vectors that are null, zero, of another length than the sample's, or hold null or non-finite components
 take no part; fewer candidates than k give all of them; ties go to the smaller vec_id; null ids take no part; an
@@ -21,6 +23,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
@@ -37,14 +40,15 @@ class AnnParams:
     code_slices: int = 16
     train_rounds: int = 8
     target_recall: float = 0.985
-    per_slice: int = 200
-    rerank: int = 320
-    floor_errors: float = 2.0
+    per_slice: int = 300
+    floor_errors: float = 3.0
     slice_rows: int = 20_000
     seed: int = 5
 
 
 PRODUCTION = AnnParams()
+#: Results that a scanning task holds before it merges them.
+MERGE = 1 << 19
 
 
 @dataclass(frozen=True)
@@ -131,6 +135,15 @@ def _best(scores: np.ndarray, ids: np.ndarray, n: int, floor: np.ndarray) -> lis
     return out
 
 
+def _merged(found: list[list], k: int) -> list[list]:
+    """The k best of each query among (query_id, vec_id, score) pieces, ties to the smaller vec_id."""
+    ask, ids, scores = (np.concatenate(c) for c in found)
+    order = np.lexsort((ids, -scores, ask))
+    ask, ids, scores = ask[order], ids[order], scores[order]
+    keep = np.arange(len(ask)) - np.searchsorted(ask, ask) < k
+    return [[ask[keep]], [ids[keep]], [scores[keep]]]
+
+
 def search(vectors: DataFrame, p: AnnParams = PRODUCTION) -> DataFrame:
     """embeddings -> query_id, rank, vec_id, score for every vec_id that `query_every` divides."""
     spark = vectors.sparkSession
@@ -148,89 +161,121 @@ def search(vectors: DataFrame, p: AnnParams = PRODUCTION) -> DataFrame:
     def indexed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         model = sent.value
         for batch in batches:
-            x = _matrix(batch.column("embedding"))
+            x = _matrix(batch.column("embedding")) + 0.0  # no negative zeros
             lists = model.assign(x)
-            codes = model.encode(x, lists)
+            codes, raw = model.encode(x, lists), [v.tobytes() for v in x]
             yield pa.RecordBatch.from_arrays(
-                [pa.array(lists, pa.int32()), batch.column("vec_id"), pa.array([c.tobytes() for c in codes], pa.binary())], ["list", "vec_id", "codes"]
+                [
+                    pa.array(lists, pa.int32()), batch.column("vec_id"), pa.array([c.tobytes() for c in codes], pa.binary()),
+                    pa.array(raw, pa.binary()), pa.array([xxhash.xxh3_128_digest(r) for r in raw], pa.binary()),
+                ],
+                ["list", "vec_id", "codes", "x", "sig"],
             )
 
-    index = materialize(rows.mapInArrow(indexed, "list int, vec_id long, codes binary"), "ivf")
-    sizes = {r["list"]: r["n"] for r in index.groupBy("list").agg(F.count("*").alias("n")).collect()}  # one number per list
-    slices = spark.createDataFrame([(k, max(1, -(-n // p.slice_rows))) for k, n in sizes.items()], "list int, slices int")
+    copies = Window.partitionBy("sig").orderBy("vec_id")
+    index = rows.mapInArrow(indexed, "list int, vec_id long, codes binary, x binary, sig binary").withColumn("_r", F.row_number().over(copies)).where(F.col("_r") <= p.k + 1)
+    own = F.min_by(F.struct("list", "vec_id", "codes", "x"), "vec_id").alias("own")
+    index = materialize(index.groupBy("sig").agg(own, F.sort_array(F.collect_list("vec_id")).alias("ids")).select("own.*", "ids"), "ivf")
+    counts = index.groupBy("list").agg(F.count("*").alias("n"), F.sum(F.size("ids")).alias("ids")).collect()  # two numbers per list
+    wanted = min(p.k, sum(r["ids"] for r in counts) - 1)
+    slices = spark.createDataFrame([(r["list"], max(1, -(-r["n"] // p.slice_rows))) for r in counts], "list int, slices int")
     members = index.join(F.broadcast(slices), "list").select(
-        "list", F.expr("cast(pmod(xxhash64(vec_id), slices) AS int)").alias("slice"), F.lit(0).alias("kind"), "vec_id", "codes"
+        "list", F.expr("cast(pmod(xxhash64(vec_id), slices) AS int)").alias("slice"), F.lit(0).alias("kind"), "vec_id", "codes", "x", "ids"
     )
     width = int(shape["dim"])
 
-    def probing(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        model = sent.value
-        for batch in batches:
-            x, ids = _matrix(batch.column("embedding")), batch.column("vec_id").to_numpy()
-            for k in range(0, len(x), 512):
-                q, own = x[k : k + 512], ids[k : k + 512]
-                near = q @ model.centroids.T
-                chosen = np.argpartition(-near, model.probes - 1, axis=1)[:, : model.probes]
-                # the k-th best of the sample bounds the result from below; the query itself may be in the sample
-                floor = -np.partition(-(q @ model.sample.T), min(p.k, len(model.sample) - 1), axis=1)[:, min(p.k, len(model.sample) - 1)]
-                floor = floor - p.floor_errors * model.error if len(model.sample) > p.k else np.full(len(q), -np.inf)
-                hit, at = chosen.ravel(), np.repeat(np.arange(len(q)), model.probes)
-                order = np.argsort(hit, kind="stable")
-                lists, cuts = np.unique(hit[order], return_index=True)
-                groups = np.split(at[order], cuts[1:])
-                payload = [np.hstack([own[g, None].view(np.float64), floor[g, None], near[g, lists[j], None], q[g]]).tobytes() for j, g in enumerate(groups)]
-                yield pa.RecordBatch.from_arrays([pa.array(lists, pa.int32()), pa.array(payload, pa.binary())], ["list", "codes"])
-
-    queries = rows.where(F.col("vec_id") % p.query_every == 0).mapInArrow(probing, "list int, codes binary")
-    queries = queries.join(F.broadcast(slices), "list").select(
-        "list", F.explode(F.sequence(F.lit(0), F.col("slices") - 1)).alias("slice"), F.lit(1).alias("kind"), F.lit(None).cast("long").alias("vec_id"), "codes"
-    )
+    def probing(everywhere: bool):
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            model = sent.value
+            probes = len(model.centroids) if everywhere else model.probes
+            for batch in batches:
+                x, ids = _matrix(batch.column("embedding")), batch.column("vec_id").to_numpy()
+                for k in range(0, len(x), 512):
+                    q, own = x[k : k + 512], ids[k : k + 512]
+                    near = q @ model.centroids.T
+                    chosen = np.argpartition(-near, probes - 1, axis=1)[:, :probes]
+                    floor = np.full(len(q), -np.inf)
+                    if len(model.sample) > p.k and not everywhere:
+                        # the k-th best of the sample bounds the result from below; the query itself may be in the sample
+                        floor = -np.partition(-(q @ model.sample.T), p.k, axis=1)[:, p.k] - p.floor_errors * model.error
+                    hit, at = chosen.ravel(), np.repeat(np.arange(len(q)), probes)
+                    order = np.argsort(hit, kind="stable")
+                    lists, cuts = np.unique(hit[order], return_index=True)
+                    groups = np.split(at[order], cuts[1:])
+                    payload = [np.hstack([own[g, None].view(np.float64), floor[g, None], near[g, lists[j], None], q[g]]).tobytes() for j, g in enumerate(groups)]
+                    yield pa.RecordBatch.from_arrays([pa.array(lists, pa.int32()), pa.array(payload, pa.binary())], ["list", "codes"])
+
+        return run
 
     def scanned(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        model, at, ids, codes = sent.value, None, [], []
+        model, at, entries, names = sent.value, None, [], ["query_id", "vec_id", "score"]
         m = model.books.shape[0]
         held = None
+        found: list[list] = [[], [], []]
         for batch in batches:
-            found: list[list] = [[], [], []]
-            for place, kind, vec_id, raw in zip(
-                zip(batch.column("list").to_pylist(), batch.column("slice").to_pylist()), batch.column("kind").to_pylist(), batch.column("vec_id").to_pylist(), batch.column("codes").to_pylist()
+            for place, kind, vec_id, raw, x, ids in zip(
+                zip(batch.column("list").to_pylist(), batch.column("slice").to_pylist()), *[batch.column(c).to_pylist() for c in ("kind", "vec_id", "codes", "x", "ids")]
             ):
                 if place != at:
-                    at, ids, codes, held = place, [], [], None
+                    at, entries, held = place, [], None
                 if kind == 0:
-                    ids.append(vec_id)
-                    codes.append(raw)
+                    entries.append((vec_id, raw, x, ids))
                     continue
-                if not ids:
+                if not entries:
                     continue
                 if held is None:
-                    held = np.array(ids, np.int64), np.frombuffer(b"".join(codes), np.uint8).reshape(-1, m)
+                    first, codes, vectors, every = zip(*entries)
+                    first, codes = np.array(first, np.int64), np.frombuffer(b"".join(codes), np.uint8).reshape(-1, m)
+                    held = first, codes, np.frombuffer(b"".join(vectors), np.float64).reshape(-1, width), every, np.array([len(e) == 1 for e in every])
+                first, codes, vectors, every, single = held
                 asked = np.frombuffer(raw, np.float64).reshape(-1, width + 3)
                 own, floor, near = asked[:, 0].copy().view(np.int64), asked[:, 1], asked[:, 2]
                 for k in range(0, len(asked), 64):
                     tables = model.tables(asked[k : k + 64, 3:])
-                    scores = np.repeat(near[k : k + 64, None], len(held[0]), axis=1)
+                    scores = np.repeat(near[k : k + 64, None], len(first), axis=1)
                     for j in range(m):
-                        scores += tables[:, j, held[1][:, j]]
-                    scores[own[k : k + 64, None] == held[0][None, :]] = -np.inf
-                    for i, best in enumerate(_best(scores, held[0], p.per_slice, np.maximum(floor[k : k + 64], -1e300))):
-                        found[0].append(np.full(len(best), own[k + i]))
-                        found[1].append(held[0][best])
-                        found[2].append(scores[i, best])
-            if found[0]:
-                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(c)) for c in found], ["query_id", "vec_id", "near"])
+                        scores += tables[:, j, codes[:, j]]
+                    scores[(own[k : k + 64, None] == first[None, :]) & single[None, :]] = -np.inf
+                    for i, best in enumerate(_best(scores, first, p.per_slice, np.maximum(floor[k : k + 64], -1e300))):
+                        exact = vectors[best] @ asked[k + i, 3:]
+                        # one more than k: a query comes first among its own copies, whose order its own id must not settle
+                        top = np.lexsort((first[best], -exact))[: p.k + 1]
+                        rows_of = [every[b] for b in best[top]]
+                        ids = np.array([v for e in rows_of for v in e], np.int64)
+                        exact = np.repeat(exact[top], [len(e) for e in rows_of])
+                        exact, ids = exact[ids != own[k + i]], ids[ids != own[k + i]]
+                        top = np.lexsort((ids, -exact))[: p.k]
+                        found[0].append(np.full(len(top), own[k + i]))
+                        found[1].append(ids[top])
+                        found[2].append(exact[top])
+            # a task holds many slices: only its k best of a query can matter
+            if sum(map(len, found[0])) > MERGE:
+                found = _merged(found, p.k)
+                if 2 * len(found[0][0]) > MERGE:
+                    yield pa.RecordBatch.from_arrays([pa.array(c[0]) for c in found], names)
+                    found = [[], [], []]
+        if found[0]:
+            yield pa.RecordBatch.from_arrays([pa.array(c[0]) for c in _merged(found, p.k)], names)
 
     parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
-    together = members.unionByName(queries).repartition(parts, "list", "slice").sortWithinPartitions("list", "slice", "kind", "vec_id")
-    near = together.mapInArrow(scanned, "query_id long, vec_id long, near double")
-    best = Window.partitionBy("query_id").orderBy(F.col("near").desc(), "vec_id")
-    pool = near.withColumn("_r", F.row_number().over(best)).where(F.col("_r") <= p.rerank).select("query_id", "vec_id")
-    other = rows.select("vec_id", F.col("embedding").alias("_v"))
-    asked = rows.where(F.col("vec_id") % p.query_every == 0).select(F.col("vec_id").alias("query_id"), F.col("embedding").alias("_q"))
-    dot = F.aggregate(F.zip_with("_q", "_v", lambda a, b: a * b), F.lit(0.0), lambda s, x: s + x)
-    scored = pool.join(other, "vec_id").join(asked, "query_id").select("query_id", "vec_id", dot.alias("score"))
-    exact = Window.partitionBy("query_id").orderBy(F.col("score").desc(), "vec_id")
-    return scored.withColumn("rank", F.row_number().over(exact)).where(F.col("rank") <= p.k).select("query_id", "rank", "vec_id", "score")
+    best = Window.partitionBy("query_id").orderBy(F.col("score").desc(), "vec_id")
+
+    def nearest(asked: DataFrame, everywhere: bool) -> DataFrame:
+        queries = asked.mapInArrow(probing(everywhere), "list int, codes binary").join(F.broadcast(slices), "list").select(
+            "list", F.explode(F.sequence(F.lit(0), F.col("slices") - 1)).alias("slice"), F.lit(1).alias("kind"), F.lit(None).cast("long").alias("vec_id"), "codes",
+            F.lit(None).cast("binary").alias("x"), F.lit(None).cast("array<long>").alias("ids"),
+        )
+        together = members.unionByName(queries).repartition(parts, "list", "slice").sortWithinPartitions("list", "slice", "kind", "vec_id")
+        near = together.mapInArrow(scanned, "query_id long, vec_id long, score double")
+        return near.withColumn("rank", F.row_number().over(best)).where(F.col("rank") <= p.k).select("query_id", "rank", "vec_id", "score")
+
+    asked = rows.where(F.col("vec_id") % p.query_every == 0)
+    first = materialize(nearest(asked, False), "near")
+    served = first.groupBy("query_id").agg(F.count("*").alias("n")).where(F.col("n") >= wanted).select(F.col("query_id").alias("vec_id"))
+    short = materialize(asked.join(served, "vec_id", "left_anti").select("vec_id", "embedding"), "short")
+    if short.isEmpty():
+        return first
+    return first.join(short.select(F.col("vec_id").alias("query_id")), "query_id", "left_anti").unionByName(nearest(short, True))
 
 
 def op10_ivf_pq(spark: SparkSession, sf_dir: str) -> DataFrame:

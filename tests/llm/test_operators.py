@@ -375,6 +375,26 @@ def test_ann_recall_and_scores(spark):
     assert sum(len(set(want[q]) & {v for _, v in found[q]}) for q in want) / (20 * len(want)) >= 0.9
 
 
+def test_ann_copies_do_not_hide_other_vectors(spark):
+    rng = np.random.default_rng(1)
+    x = rng.normal(size=(1200, 32))
+    x[20] *= 3
+    x[400:] = x[20] * 0.5  # 788 copies, nearer to query 20 than all but its own kin
+    x[1188:] = x[20] * 0.502 + rng.normal(0, 0.001, (12, 32))  # truly nearer, the same by their codes
+    df = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<double>")
+    got = ann.search(df, ann.AnnParams(sample_rows=50)).where("query_id = 20").orderBy("rank").collect()
+    assert {r["vec_id"] for r in got[:12]} == set(range(1188, 1200)) and [r["vec_id"] for r in got[12:]] == list(range(400, 408))
+
+
+def test_ann_short_queries_scan_all_lists(spark):
+    rng = np.random.default_rng(2)
+    x = rng.normal(size=(400, 16)) + 20 * np.eye(16)[np.arange(400) % 16]
+    x[0] = -x.mean(0)  # its list holds nothing else
+    df = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<double>")
+    got = ann.search(df, ann.AnnParams(target_recall=0.0, floor_errors=-1e6)).groupBy("query_id").count().collect()
+    assert len(got) == 20 and all(r["count"] == 20 for r in got)
+
+
 def test_ann_awkward(spark):
     nan, inf = float("nan"), float("inf")
     rows = [(0, [1.0, 0.0]), (1, [0.5, 0.5]), (2, [0.5, 0.5]), (3, None), (4, [0.0, 0.0]), (5, [nan, 1.0]), (6, [inf, 1.0]), (7, [1.0, None]), (8, [1.0]), (20, [0.0, 1.0]), (None, [1.0, 1.0]), (40, None)]
