@@ -54,6 +54,8 @@ PRODUCTION = JaccardParams()
 SLICE = 500
 #: Bits of the map that keeps texts of no candidate from being cut into shingles again: 8 MB.
 BITS = 1 << 26
+#: Members of a key that are paired in one part.
+SALT = 512
 _MUL = np.uint64(0x9E3779B97F4A7C15)
 
 
@@ -290,9 +292,34 @@ def verified(pairs: DataFrame, docs: DataFrame, p: JaccardParams) -> DataFrame:
     return full.where(F.col("_both") * 100 >= (F.size("x") + F.size("y") - F.col("_both")) * p.percent).select("a", "b").distinct()
 
 
-def jaccard_components(docs: DataFrame, p: JaccardParams = PRODUCTION) -> DataFrame:
-    """documents -> doc_id, n_shingles, component_id (smallest doc_id reachable), n_links (links that were verified for its node: stars and what was
-    still apart, not every pair of a group)."""
+def salted_pairs(members: DataFrame, key: list[str], fits: Column) -> DataFrame:
+    """Every pair (a, b) of members of one key that fits(x, y); a key's left side is dealt over as many parts as it has SALTs of members."""
+    parts = members.groupBy(*key).agg(F.count("*").alias("m")).where("m > 1").select(*key, F.ceil(F.col("m") / SALT).cast("int").alias("parts"))
+    dealt = materialize(members.join(parts, key), "dealt")
+    x = dealt.withColumn("part", F.pmod(F.xxhash64("doc_id"), F.col("parts")).cast("int")).alias("x")
+    y = dealt.withColumn("part", F.explode(F.sequence(F.lit(0), F.col("parts") - 1))).alias("y")
+    same = F.col("x.doc_id") != F.col("y.doc_id")
+    for c in [*key, "part"]:
+        same = same & (F.col(f"x.{c}") == F.col(f"y.{c}"))
+    ends = F.least("x.doc_id", "y.doc_id").alias("a"), F.greatest("x.doc_id", "y.doc_id").alias("b")
+    return x.join(y, same & fits).select(*ends).distinct()
+
+
+def jaccard_components(docs: DataFrame, p: JaccardParams = PRODUCTION, every_link: bool = False) -> DataFrame:
+    """documents -> doc_id, n_shingles, component_id (smallest doc_id reachable).
+
+    With `every_link` all candidate pairs of different sets are verified, also within a component, and n_links is how many
+    other sets link with the document's own; copies are one set. Without it only what the components need is verified.
+    """
+    return _joined(docs, p, every_link)[0]
+
+
+def jaccard_links(docs: DataFrame, p: JaccardParams = PRODUCTION) -> DataFrame:
+    """documents -> a, b (a < b): every link between different sets, each set named by its smallest doc_id."""
+    return _joined(docs, p, True)[1]
+
+
+def _joined(docs: DataFrame, p: JaccardParams, every_link: bool) -> tuple[DataFrame, DataFrame]:
     spark = docs.sparkSession
     rows = of_type(docs, {"doc_id": "long", "text": "string"})
     sets = materialize(shingle_sets(rows, p), "shingles")
@@ -323,6 +350,16 @@ def jaccard_components(docs: DataFrame, p: JaccardParams = PRODUCTION) -> DataFr
     centres = common.groupBy("h").agg(F.count("*").alias("m"), F.min(member).alias("c")).where("m > 1")
     lists = materialize(rare.unionByName(common.join(centres, "h")).select("h", "at", "doc_id", "n", "c"), "lists")
 
+    if every_link:
+        x_n, y_n = F.col("x.n"), F.col("y.n")
+        larger = _possible(x_n, F.col("x.at"), y_n, F.col("y.at"), p.percent) & (F.greatest(x_n, y_n) > bound)
+        pairs = salted_pairs(lists.select("h", "at", "doc_id", "n"), ["h"], larger)
+        smaller = (F.least(x_n, y_n) == F.col("x.lo")) & (F.greatest(x_n, y_n) == F.col("x.hi"))
+        pairs = pairs.union(salted_pairs(few, ["lo", "hi", "key"], smaller)).distinct()
+        links = materialize(verified(plausible(pairs, rows, p), rows, p), "every-link")
+        copied = nodes.where("doc_id <> rep").select(F.col("doc_id").alias("a"), F.col("rep").alias("b"))
+        return _labelled(sets, nodes, links, copied, every_link), links
+
     tried = lists.where(F.col("doc_id") != F.col("c.doc_id")).where(_possible(F.col("n"), F.col("at"), F.col("c.n"), F.col("c.at"), p.percent))
     tried = tried.select(F.least("doc_id", "c.doc_id").alias("a"), F.greatest("doc_id", "c.doc_id").alias("b")).distinct()
     tried = materialize(tried.union(by_subset.select(F.least("a", "b"), F.greatest("a", "b"))).distinct(), "stars")
@@ -342,13 +379,19 @@ def jaccard_components(docs: DataFrame, p: JaccardParams = PRODUCTION) -> DataFr
     second = materialize(verified(plausible(more, rows, p), rows, p), "more-links")
 
     links = first.union(second).distinct()
-    whole = components(links.union(copied))
-    degree = links.select("a").union(links.select("b")).groupBy("a").agg(F.count("*").alias("n_links"))
-    own = nodes.join(degree, F.col("rep") == F.col("a"), "left").groupBy("doc_id").agg(F.max(F.coalesce("n_links", F.lit(0))).alias("n_links"))
-    found = own.join(whole.select(F.col("node").alias("doc_id"), "component"), "doc_id", "left")
-    return sets.select("doc_id", F.col("n").alias("n_shingles")).join(found, "doc_id", "left").select(
-        "doc_id", "n_shingles", F.coalesce("component", "doc_id").alias("component_id"), F.coalesce("n_links", F.lit(0)).alias("n_links")
-    )
+    return _labelled(sets, nodes, links, copied, every_link), links
+
+
+def _labelled(sets: DataFrame, nodes: DataFrame, links: DataFrame, copied: DataFrame, every_link: bool) -> DataFrame:
+    whole = components(links.union(copied)).select(F.col("node").alias("doc_id"), "component")
+    out = sets.select("doc_id", F.col("n").alias("n_shingles")).join(whole, "doc_id", "left")
+    columns = ["doc_id", "n_shingles", F.coalesce("component", "doc_id").alias("component_id")]
+    if every_link:
+        both = links.select(F.col("a").alias("rep"), F.col("b").alias("other")).union(links.select("b", "a"))
+        degree = nodes.join(both, "rep").groupBy("doc_id").agg(F.countDistinct("other").alias("n_links"))
+        out = out.join(degree, "doc_id", "left")
+        columns.append(F.coalesce("n_links", F.lit(0)).alias("n_links"))
+    return out.select(*columns)
 
 
 def without_near_copies(docs: DataFrame, p: JaccardParams = PRODUCTION) -> DataFrame:

@@ -179,6 +179,23 @@ def test_jaccard_components_equal_brute_force(spark, boundary, monkeypatch):
         assert got == plain_components(rows)
 
 
+@pytest.mark.parametrize("boundary", [1, 12])
+def test_jaccard_every_link_equals_brute_force(spark, boundary, monkeypatch):
+    monkeypatch.setattr(jaccard, "boundary", lambda sizes, p: boundary)
+    monkeypatch.setattr(jaccard, "SALT", 2)
+    long, short = words(3, 60).split(), words(4, 14).split()
+    family = [long[:k] + [f"new{k}"] + long[k + 1 :] for k in (0, 1, 58, 59)] + [long] + [short + [f"end{k}"] for k in range(4)] + [short]
+    rows = list(enumerate(" ".join(f) for f in family)) + [(50, " ".join(long)), (51, "")]
+    sets = {i: set(shingles(t)) for i, t in rows}
+    reps = {i: min(j for j in sets if sets[j] == sets[i]) for i in sets}
+    near = lambda a, b: 100 * len(sets[a] & sets[b]) >= 85 * len(sets[a] | sets[b])
+    want = {(a, b) for a in sets for b in sets if a < b and reps[a] == a and reps[b] == b and sets[a] and sets[b] and near(a, b)}
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    assert len(want) >= 14 and {(r["a"], r["b"]) for r in jaccard.jaccard_links(df).collect()} == want
+    got = {r["doc_id"]: r["n_links"] for r in jaccard.jaccard_components(df, every_link=True).collect()}
+    assert got == {i: sum(reps[i] in pair for pair in want) for i in sets}
+
+
 def test_least_overlap_and_boundary():
     for s in range(1, 60):
         for t in range(s, 60):
