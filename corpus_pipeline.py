@@ -11,6 +11,9 @@ from pyspark.sql import DataFrame, SparkSession
 from lakeadapt.llm import bpe, jaccard, linededup, mixing, quality
 from lakeadapt.llm.common import materialize
 
+#: op3's own query asks for four words and 85 %.
+NEAR = jaccard.JaccardParams(shingle=5, percent=80)
+
 
 def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Operator 9: failing lines go, and with them documents that lose too much or fail the base rules."""
@@ -23,8 +26,8 @@ def line_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Operator 3: the smallest doc_id of each component of linked documents stays."""
-    return jaccard.without_near_copies(docs)
+    """Operator 3 on five words and 80 %: the smallest doc_id of each component of linked documents stays."""
+    return jaccard.without_near_copies(docs, NEAR)
 
 
 def source_mixture(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

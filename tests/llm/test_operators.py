@@ -431,6 +431,20 @@ def test_there_are_eleven_queries():
     assert sorted(n.split("_")[0] for n in registry.queries()) == sorted([*(f"op{k}" for k in range(1, 11)), "pipeline"])
 
 
+def test_pipeline_near_duplicates_take_five_words_and_80_percent(spark):
+    import corpus_pipeline as pipeline
+
+    rows, kept = [], set()
+    for k, more in enumerate((5, 18, 22, 24, 25, 40)):
+        base = [f"w{k}x{i}" for i in range(100)]
+        pair = [base, base + [f"new{k}x{i}" for i in range(more)]]
+        five = [{tuple(t[i : i + 5]) for i in range(len(t) - 4)} for t in pair]
+        kept |= {2 * k} | ({2 * k + 1} if 100 * len(five[0] & five[1]) < 80 * len(five[0] | five[1]) else set())
+        rows += [(2 * k + j, " ".join(t)) for j, t in enumerate(pair)]
+    out = pipeline.near_duplicates(spark, spark.createDataFrame(rows, "doc_id long, text string"), SF)
+    assert {r["doc_id"] for r in out.collect()} == kept and len(kept) == 8
+
+
 def test_pipeline_stages_equal_plain_versions(spark):
     import corpus_pipeline as pipeline
 
