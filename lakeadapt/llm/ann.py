@@ -13,7 +13,8 @@ data. A query that finds fewer than k rows so scans all lists without a lower bo
 
 Defined cases: vectors that are null, zero, of another length than the sample's, or hold null or non-finite components
 take no part; fewer candidates than k give all of them; ties go to the smaller vec_id; null ids take no part; an
-empty table gives no rows. vec_id is taken to be unique.
+empty table gives no rows. A vec_id names one vector: rows that repeat it are one candidate and one query, with the
+smallest (in array order) of their vectors that can take part. Extra columns are ignored.
 """
 
 from __future__ import annotations
@@ -35,8 +36,10 @@ from lakeadapt.llm.common import materialize, of_type
 class AnnParams:
     k: int = 20
     query_every: int = 20
+    #: The sample holds `sample_per_list` rows a list, `sample_rows` at least and `most_sample` at most.
     sample_rows: int = 20_000
-    max_lists: int = 1024
+    sample_per_list: int = 16
+    most_sample: int = 262_144
     code_slices: int = 16
     train_rounds: int = 8
     target_recall: float = 0.985
@@ -90,9 +93,18 @@ def _kmeans(x: np.ndarray, k: int, rounds: int, rng: np.random.Generator) -> np.
     return centres
 
 
+def list_count(n_rows: int, p: AnnParams) -> int:
+    """Inverted lists: the square root of the rows, as far as the sample can place centroids."""
+    return int(max(1, min(np.sqrt(n_rows), p.most_sample // p.sample_per_list)))
+
+
+def sample_size(n_rows: int, p: AnnParams) -> int:
+    return int(min(p.most_sample, max(p.sample_rows, p.sample_per_list * list_count(n_rows, p))))
+
+
 def fit(sample: np.ndarray, n_rows: int, p: AnnParams) -> Model:
     rng = np.random.default_rng(p.seed)
-    lists = int(max(1, min(p.max_lists, np.sqrt(n_rows), len(sample))))
+    lists = min(list_count(n_rows, p), len(sample))
     centroids = _kmeans(sample, lists, p.train_rounds, rng)
     m = min(p.code_slices, sample.shape[1])
     d = -(-sample.shape[1] // m)
@@ -120,6 +132,15 @@ def valid(vectors: DataFrame) -> DataFrame:
     return rows.where(F.col("vec_id").isNotNull() & F.col("embedding").isNotNull()).where(sound & F.exists("embedding", lambda x: x != 0))
 
 
+def one_per_id(rows: DataFrame) -> DataFrame:
+    """rows(vec_id, embedding) with each vec_id once. Ids alone are counted; vectors move only where an id repeats."""
+    repeated = materialize(rows.groupBy("vec_id").agg(F.count("*").alias("m")).where("m > 1").select("vec_id"), "repeated-ids")
+    if repeated.isEmpty():
+        return rows
+    again = rows.join(repeated, "vec_id", "left_semi").groupBy("vec_id").agg(F.min("embedding").alias("embedding"))
+    return materialize(rows.join(repeated, "vec_id", "left_anti").unionByName(again), "one-per-id")
+
+
 def _matrix(column: pa.Array) -> np.ndarray:
     return column.flatten().to_numpy(zero_copy_only=False).reshape(len(column), -1)
 
@@ -152,8 +173,8 @@ def search(vectors: DataFrame, p: AnnParams = PRODUCTION) -> DataFrame:
     out_schema = "query_id long, rank int, vec_id long, score double"
     if not shape["n"]:
         return spark.createDataFrame([], out_schema)
-    rows = rows.where(F.size("embedding") == shape["dim"])
-    drawn = rows.orderBy(F.xxhash64("vec_id"), "vec_id").limit(p.sample_rows).select("embedding").toArrow()  # at most sample_rows
+    rows = one_per_id(rows.where(F.size("embedding") == shape["dim"]))
+    drawn = rows.orderBy(F.xxhash64("vec_id"), "vec_id").limit(sample_size(shape["n"], p)).select("embedding").toArrow()  # at most most_sample
     # copies of one vector would take the place of centroids and make the neighbours look easy to find
     model = fit(np.unique(_matrix(drawn.column(0).combine_chunks()), axis=0), shape["n"], p)
     sent = spark.sparkContext.broadcast(model)
