@@ -18,6 +18,7 @@ from __future__ import annotations
 
 import base64
 import hashlib
+import re
 import zlib
 from collections.abc import Iterator
 from functools import lru_cache
@@ -26,11 +27,11 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
-from lakeadapt.llm.common import of_type
+from lakeadapt.llm.common import of_type, task_count
 
-#: Word lists are dealt to so many buckets; the coded texts of a block follow its buckets.
+#: Word lists are dealt to at least so many buckets; the coded texts of a block follow its buckets.
 BUCKETS = 1024
-FRAME = BUCKETS
+FRAME = 1 << 30
 SCHEMA = "block long, part int, payload binary"
 _ARROW = pa.schema([("block", pa.int64()), ("part", pa.int32()), ("payload", pa.binary())])
 
@@ -83,18 +84,23 @@ def gather(flat: np.ndarray, starts: np.ndarray, lengths: np.ndarray, picks: np.
     return flat[np.repeat(starts[picks] - (ends - n), n) + np.arange(ends[-1])]
 
 
+#: White space beside a space.
+_TOUCHED = re.compile(r" \s|\s ")
+
+
 def split_block(texts: list[str], pattern) -> tuple[list[str], list[np.ndarray]]:
     """The different units of a block, and per text the numbers of its units: chunks between spaces, or pre-tokens.
 
-    A text without double spaces is cut at spaces first: no pre-token crosses one, so a chunk with its leading space
-    splits the same everywhere and is looked at once per block.
+    Where no white space stands next to a space, every pre-token that holds a space begins with it, so such a text is
+    cut at its spaces first: a chunk with its leading space splits the same everywhere and is looked at once per block.
+    Any other text goes through the pattern whole.
     """
     units: list[str] = []
     spaced, plain = _Units(units, " "), _Units(units, "")
     rows = []
     for text in texts:
         chunks = text.split(" ")
-        if "" in chunks[1:]:
+        if "" in chunks[1:] or _TOUCHED.search(text):
             picks = [plain[x] for x in pattern.findall(text)]
             rows.append(np.array(picks, np.int64))
             continue
@@ -107,7 +113,7 @@ def split_block(texts: list[str], pattern) -> tuple[list[str], list[np.ndarray]]
     return units, rows
 
 
-def _distinct(units: list[str], pattern) -> tuple[list[str], np.ndarray, np.ndarray, np.ndarray]:
+def _distinct(units: list[str], pattern, n_buckets: int = BUCKETS) -> tuple[list[str], np.ndarray, np.ndarray, np.ndarray]:
     """Words in canonical order (bucket, word) with their buckets, and the codes of each unit, end to end."""
     number: dict[str, int] = {}
     flat, lengths = [], np.empty(len(units), np.int64)
@@ -118,7 +124,7 @@ def _distinct(units: list[str], pattern) -> tuple[list[str], np.ndarray, np.ndar
             flat.append(number.setdefault(w, len(number)))
     words = list(number)
     raw = [w.encode("utf-8", "surrogatepass") for w in words]
-    keyed = sorted(zip((zlib.crc32(r) % BUCKETS for r in raw), raw, range(len(words))))
+    keyed = sorted(zip((zlib.crc32(r) % n_buckets for r in raw), raw, range(len(words))))
     rank = np.empty(len(words), np.int64)
     rank[[k for _, _, k in keyed]] = np.arange(len(words))
     return [r for _, r, _ in keyed], np.array([b for b, _, _ in keyed], np.int32), rank[np.array(flat, np.int64)], lengths
@@ -185,18 +191,18 @@ def _rows(rows: list[tuple[int, int, bytes]]) -> pa.RecordBatch:
 
 def encode_documents(docs: DataFrame, ranks_path: str, block_mb: int = 32, with_ids: bool = False, parts: int | None = None) -> DataFrame:
     """documents -> doc_id, n_tokens, ids_sha256, decoded_sha256 and, if asked for, the ids themselves (array<int>)."""
-    spark = docs.sparkSession
-    parts = parts or int(spark.conf.get("spark.sql.shuffle.partitions"))
+    parts = parts or task_count(docs)
+    n_buckets = max(BUCKETS, 4 * parts)
     docs = of_type(docs, {"doc_id": "long", "text": "string"})
     limit = block_mb << 20
 
     def words_of(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         pattern = _pattern()
         for block, _, texts in _blocks(batches, limit):
-            words, buckets, _, _ = _distinct(split_block(texts, pattern)[0], pattern)
-            cuts = np.searchsorted(buckets, np.arange(BUCKETS + 1))
+            words, buckets, _, _ = _distinct(split_block(texts, pattern)[0], pattern, n_buckets)
+            cuts = np.searchsorted(buckets, np.arange(n_buckets + 1))
             rows = []
-            for b in range(BUCKETS):
+            for b in range(n_buckets):
                 own = words[cuts[b] : cuts[b + 1]]
                 if own:
                     rows.append((block, b, pack(np.array([len(w) for w in own], np.uint32), b"".join(own))))
@@ -230,7 +236,7 @@ def encode_documents(docs: DataFrame, ranks_path: str, block_mb: int = 32, with_
         pattern = _pattern()
         for block, ids, texts in _blocks(batches, limit):
             units, picks = split_block(texts, pattern)
-            words, _, flat, lengths = _distinct(units, pattern)
+            words, _, flat, lengths = _distinct(units, pattern, n_buckets)
             starts = np.cumsum(lengths) - lengths
             codes = [gather(flat, starts, lengths, p) for p in picks]
             sink = pa.BufferOutputStream()

@@ -5,6 +5,7 @@ from __future__ import annotations
 import tempfile
 import uuid
 from collections.abc import Iterator
+from contextlib import contextmanager
 
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -16,28 +17,68 @@ WORD = r"[^\x20\x09-\x0D]+"
 SPACE = r"[\x20\x09-\x0D]+"
 
 _OWN: dict[str, str] = {}
+_RUN: list[str] = []
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share: spark.checkpoint.dir, or an own one where it is unset."""
+    """The folder that driver and executors share: spark.checkpoint.dir; where it is unset, a folder in the warehouse, or a
+    temporary one if everything runs in this process."""
     set_ = spark.conf.get("spark.checkpoint.dir", None)
     if set_:
         return set_.rstrip("/")
+    if not spark.sparkContext.master.startswith("local"):
+        return f"{spark.conf.get('spark.sql.warehouse.dir').rstrip('/')}/_intermediate"
     app = spark.sparkContext.applicationId
     if app not in _OWN:
         _OWN[app] = f"file://{tempfile.mkdtemp(prefix='lakeadapt-')}"
     return _OWN[app]
 
 
+def _path(spark: SparkSession, folder: str):
+    jvm = spark.sparkContext._jvm
+    path = jvm.org.apache.hadoop.fs.Path(folder)
+    return path, path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration())
+
+
 def new_path(spark: SparkSession, tag: str) -> str:
-    return f"{shared_dir(spark)}/lakeadapt/{tag}-{uuid.uuid4().hex}"
+    """A new place for an intermediate table. It goes when the session ends, or before that with its `scratch`."""
+    app = f"{shared_dir(spark)}/lakeadapt/{spark.sparkContext.applicationId}"
+    if app not in _OWN:
+        path, files = _path(spark, app)
+        files.mkdirs(path)
+        files.deleteOnExit(path)
+        _OWN[app] = app
+    return "/".join([app, *_RUN, f"{tag}-{uuid.uuid4().hex}"])
+
+
+@contextmanager
+def scratch(spark: SparkSession, tag: str) -> Iterator[None]:
+    """Intermediates that are written inside are deleted at the end: what is kept must be a table written outside by then."""
+    _RUN.append(f"{tag}-{uuid.uuid4().hex}")
+    try:
+        yield
+    finally:
+        path, files = _path(spark, "/".join([f"{shared_dir(spark)}/lakeadapt/{spark.sparkContext.applicationId}", *_RUN]))
+        _RUN.pop()
+        files.delete(path, True)
+
+
+def store(df: DataFrame, path: str) -> DataFrame:
+    """Write df to path and read it back."""
+    df.write.option("compression", "zstd").parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
 def materialize(df: DataFrame, tag: str) -> DataFrame:
     """Write df to the shared folder and read it back: cuts the lineage and survives lost executors."""
-    spark, path = df.sparkSession, new_path(df.sparkSession, tag)
-    df.write.option("compression", "zstd").parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    return store(df, new_path(df.sparkSession, tag))
+
+
+def task_count(df: DataFrame, mb: int = 256) -> int:
+    """Shuffle partitions, and more where a task would get over `mb` of the input: by the size that the optimizer knows, which
+    is that of the files. A plan without a known size (Spark then assumes the largest number) keeps the setting."""
+    size = int(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes())
+    return max(int(df.sparkSession.conf.get("spark.sql.shuffle.partitions")), -(-size // (mb << 20)) if size < 1 << 60 else 0)
 
 
 def utf8_bytes(text: str | Column) -> Column:
@@ -66,23 +107,26 @@ def range_bucket(column: Column, cuts: list[int]) -> Column:
     return F.when(column.isNull(), F.lit(0)).otherwise(node(0, len(cuts)))
 
 
-def number_rows(df: DataFrame, first: str, ties: list[str], out: str, parts: int) -> tuple[DataFrame, int]:
-    """Dense numbers from 0 in the order (first, ties...), nulls first; also the row count.
+def number_rows(df: DataFrame, order: list[str], out: str, rows_a_range: int = 1_000_000) -> tuple[DataFrame, int]:
+    """Dense numbers from 0 in the order of some columns, nulls first; also the row count. `df` should be slim: it is written.
 
-    Ranges of `first` are numbered side by side; one count per range (at most `parts`) reaches the driver.
+    Ranges of about `rows_a_range` rows are numbered side by side, and one count per range reaches the driver. The row's
+    place in the input comes last in the order, so that a range may begin inside a run of equal rows, however long.
     """
     spark = df.sparkSession
-    ranged = df.withColumn("_range", range_bucket(F.col(first), cut_points(df, first, parts)))
-    sizes = {r["_range"]: r["n"] for r in ranged.groupBy("_range").agg(F.count("*").alias("n")).collect()}
+    ranges = max(int(spark.conf.get("spark.sql.shuffle.partitions")), -(-df.count() // rows_a_range))
+    by = [*[F.col(c).asc_nulls_first() for c in order], F.col("_place").asc()]
+    dealt = df.withColumn("_place", F.monotonically_increasing_id()).repartitionByRange(ranges, *by)
+    dealt = materialize(dealt.withColumn("_range", F.spark_partition_id()), "ranges")
+    sizes = {r["_range"]: r["n"] for r in dealt.groupBy("_range").agg(F.count("*").alias("n")).collect()}
     starts, total = [], 0
     for k in sorted(sizes):
         starts.append((k, total))
         total += sizes[k]
     offsets = spark.createDataFrame(starts or [(0, 0)], "_range int, _start long")
-    order = [F.col(c).asc_nulls_first() for c in (first, *ties)]
-    own = F.row_number().over(Window.partitionBy("_range").orderBy(*order))
-    numbered = ranged.withColumn("_own", own).join(F.broadcast(offsets), "_range")
-    return numbered.withColumn(out, F.col("_start") + F.col("_own") - 1).drop("_range", "_own", "_start"), total
+    own = F.row_number().over(Window.partitionBy("_range").orderBy(*by))
+    numbered = dealt.withColumn("_own", own).join(F.broadcast(offsets), "_range")
+    return numbered.withColumn(out, F.col("_start") + F.col("_own") - 1).drop("_range", "_own", "_start", "_place"), total
 
 
 def components(edges: DataFrame) -> DataFrame:

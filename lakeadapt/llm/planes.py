@@ -31,7 +31,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from lakeadapt.llm.bpe import gather
-from lakeadapt.llm.common import cut_points, materialize, new_path, of_type, range_bucket
+from lakeadapt.llm.common import cut_points, materialize, new_path, of_type, range_bucket, task_count
 
 END_ID = 1
 #: Pieces of words that a Python worker remembers; the memory starts anew when it is full.
@@ -187,7 +187,7 @@ class TokenFiles:
 def write_tokens(docs: DataFrame, tokenizer_path: str, chunk_ids: int = 65_536, bits: bool = True, width: int = 2, shards: int | None = None) -> TokenFiles:
     """Encode documents in ascending doc_id order and write chunks and index to the shared folder."""
     spark = docs.sparkSession
-    shards = shards or int(spark.conf.get("spark.sql.shuffle.partitions"))
+    shards = shards or task_count(docs)
     docs = of_type(docs, {"doc_id": "long", "text": "string"})
     ranged = docs.withColumn("shard", range_bucket(F.col("doc_id"), cut_points(docs, "doc_id", shards)).cast("int"))
     ordered = ranged.repartitionById(shards, F.col("shard")).sortWithinPartitions("shard", F.col("doc_id").asc_nulls_first(), F.xxhash64("text"))
@@ -314,8 +314,10 @@ def read_documents(files: TokenFiles) -> DataFrame:
     )
 
 
-def read_ids(files: TokenFiles, start: int, n: int) -> np.ndarray:
-    """ids start..start+n-1 of the whole corpus: only the chunks that the index names are read."""
+def read_ids(files: TokenFiles, start: int, n: int, most: int = 1 << 27) -> np.ndarray:
+    """ids start..start+n-1 of the whole corpus, on the driver: only the chunks that the index names are read, `most` ids at once."""
+    if n > most:
+        raise ValueError(f"{n} ids asked for at once; read `TokenFiles.chunks` in Spark, or raise `most`")
     hit = files.index().where((F.col("start") < start + n) & (F.col("start") + F.col("n_ids") > start))
     rows = files.chunks().join(F.broadcast(hit.select("shard", "chunk", "start")), ["shard", "chunk"]).select("start", "n_ids", "width", "planes").orderBy("start").collect()
     parts = [from_planes(r["planes"], r["n_ids"], r["width"]) for r in rows]
