@@ -61,7 +61,7 @@ def permute(x: np.ndarray, n: int, seed: int) -> np.ndarray:
     return out
 
 
-def shard_rows(docs: DataFrame, shards: int = 24, seed: int = 7, parts: int = 64) -> DataFrame:
+def shard_rows(docs: DataFrame, shards: int = 24, seed: int = 7) -> DataFrame:
     """documents -> doc_id, size, text_crc32, law, shard, slot, grown_shard, row_no."""
     docs = of_type(docs, {"doc_id": "long", "text": "string"})
     slim = docs.select(
@@ -69,7 +69,7 @@ def shard_rows(docs: DataFrame, shards: int = 24, seed: int = 7, parts: int = 64
         (utf8_bytes("text") + 8).alias("size"),
         F.crc32(F.encode(F.coalesce("text", F.lit("")), "UTF-8")).alias("text_crc32"),
     )
-    numbered, n = number_rows(slim, "doc_id", ["text_crc32", "size"], "row_no", parts)
+    numbered, n = number_rows(slim, ["doc_id", "text_crc32", "size"], "row_no")
 
     @F.pandas_udf("long")
     def place(row_no: pd.Series) -> pd.Series:
