@@ -4,24 +4,29 @@ The token budget flows down the tree by weight. A child that cannot use its shar
 is shared among its siblings by weight before anything goes back to the parent's siblings: at each level this is one
 water-filling, solved in closed form by windows over the (few) tree nodes. A leaf may be repeated for `max_epochs`.
 Inside a leaf each epoch has its own seeded order; whole epochs come first, the last one gives a token-prefix: the
-longest run from its start that fits. Only the hash range where the prefix ends is sorted.
+longest run from its start that fits. Only the hash range where the prefix ends is sorted. Texts are counted once, into a
+slim table; a leaf's plan is three values (whole epochs, rest, last key of the prefix), by which any row is settled alone.
 
-Integer arithmetic throughout, so every engine and every partitioning gives the same rows.
+Tokens and weights are whole numbers and so are all shares; children are put in order by the quotient of two of them, of
+which equal ones stay equal, so every engine and every partitioning gives the same rows.
 
 Defined cases: null languages and sources are leaves of their own under the domain `other`; null and wordless texts
-have 0 tokens and are taken only with a whole epoch; repeated rows share their place in the order; an empty table gives
-no rows; an unknown name has weight `default_weight`.
+have 0 tokens and are taken only with a whole epoch or inside the prefix; repeated rows share their place in the order; an
+empty table gives no rows; an unknown name has weight `default_weight`; whatever has weight 0, or lies below it, gives nothing.
 """
 
 from __future__ import annotations
 
+from collections.abc import Iterator
 from dataclasses import dataclass, field
 
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from lakeadapt.llm.common import SPACE, materialize, of_type
+from lakeadapt.llm.common import materialize, of_type
 
 
 @dataclass(frozen=True)
@@ -50,16 +55,24 @@ def _lookup(column: str, values: dict, default) -> Column:
     return F.coalesce(F.element_at(pairs, F.coalesce(F.col(column), F.lit("\0"))), F.lit(default))
 
 
-def token_count(text: str = "text") -> Column:
-    """Words between ASCII white space."""
-    trimmed = F.regexp_replace(F.coalesce(F.col(text), F.lit("")), f"^{SPACE}|{SPACE}$", "")
-    return F.when(F.length(trimmed) == 0, F.lit(0)).otherwise(F.size(F.split(trimmed, SPACE))).cast("long")
+def counted(docs: DataFrame) -> DataFrame:
+    """documents -> doc_id, lang, source, n_tokens (words between ASCII white space), counted by Arrow a batch at a time."""
+    slim = of_type(docs, {"doc_id": "long", "lang": "string", "source": "string", "text": "string"})
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            trimmed = pc.ascii_trim_whitespace(pc.fill_null(batch.column("text"), ""))
+            words = pc.list_value_length(pc.ascii_split_whitespace(trimmed))
+            n = pc.if_else(pc.equal(pc.binary_length(trimmed), 0), 0, words).cast(pa.int64())
+            yield pa.RecordBatch.from_arrays([*batch.columns[:3], n], ["doc_id", "lang", "source", "n_tokens"])
+
+    return slim.mapInArrow(run, "doc_id long, lang string, source string, n_tokens long")
 
 
 def _fill(nodes: DataFrame, parent: list[str], name: str, out: str) -> DataFrame:
     """nodes(parent..., name, cap, weight, given) -> with `out`, each child's part of what its parent is given."""
     by = Window.partitionBy(*parent)
-    order = by.orderBy(F.col("cap") / F.col("weight"), F.col(name).asc_nulls_first())
+    order = by.orderBy(F.try_divide("cap", "weight").asc_nulls_last(), F.col(name).asc_nulls_first())
     before = F.coalesce(F.sum("cap").over(order.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
     left = F.sum("weight").over(order.rowsBetween(0, Window.unboundedFollowing))
     full = nodes.withColumn("_full", F.col("cap") * left <= (F.col("given") - before) * F.col("weight"))
@@ -71,16 +84,18 @@ def _fill(nodes: DataFrame, parent: list[str], name: str, out: str) -> DataFrame
 
 def leaf_quotas(leaves: DataFrame, mix: Mix) -> DataFrame:
     """leaves(domain, lang, source, tokens) -> with quota: tokens that each leaf is to give."""
-    leaves = leaves.withColumn("cap", F.col("tokens") * mix.max_epochs)
+    weights = [_lookup("domain", mix.domain_weights, mix.default_weight), _lookup("lang", mix.lang_weights, mix.default_weight), _lookup("source", mix.source_weights, mix.default_weight)]
+    usable = (weights[0] > 0) & (weights[1] > 0) & (weights[2] > 0)
+    leaves = leaves.withColumn("cap", F.when(usable, F.col("tokens") * mix.max_epochs).otherwise(F.lit(0)))
     sums = lambda keys: leaves.groupBy(*keys).agg(F.sum("cap").cast("long").alias("cap"))
     all_ = leaves.agg(F.coalesce(F.sum("cap"), F.lit(0)).cast("long").alias("_cap"), F.expr(f"coalesce(sum(tokens), 0) * {mix.budget_percent} div 100").alias("_want"))
     given = all_.select(F.least("_cap", "_want").alias("given"))
-    d = sums(["domain"]).crossJoin(F.broadcast(given)).withColumn("weight", _lookup("domain", mix.domain_weights, mix.default_weight))
+    d = sums(["domain"]).crossJoin(F.broadcast(given)).withColumn("weight", weights[0])
     d = _fill(d.withColumn("_root", F.lit(0)), ["_root"], "domain", "part").select("domain", F.col("part").alias("given"))
-    by_lang = sums(["domain", "lang"]).join(F.broadcast(d), "domain").withColumn("weight", _lookup("lang", mix.lang_weights, mix.default_weight))
+    by_lang = sums(["domain", "lang"]).join(F.broadcast(d), "domain").withColumn("weight", weights[1])
     by_lang = _fill(by_lang, ["domain"], "lang", "part").select(F.col("domain").alias("_d"), F.col("lang").alias("_l"), F.col("part").alias("given"))
     low = leaves.join(F.broadcast(by_lang), F.col("domain").eqNullSafe(F.col("_d")) & F.col("lang").eqNullSafe(F.col("_l")))
-    low = low.withColumn("weight", _lookup("source", mix.source_weights, mix.default_weight))
+    low = low.withColumn("weight", weights[2])
     return _fill(low, ["domain", "lang"], "source", "quota").select("domain", "lang", "source", "tokens", "quota")
 
 
@@ -95,47 +110,61 @@ def _order_key(seed: int, epoch: Column, doc_id: str) -> Column:
     return F.md5(F.concat_ws(":", F.lit(str(seed)), epoch.cast("string"), F.coalesce(F.col(doc_id).cast("string"), F.lit("none"))))
 
 
-def mix_documents(docs: DataFrame, mix: Mix = PRODUCTION, keep: list[str] | None = None) -> DataFrame:
-    """documents -> doc_id, domain, lang, source, n_tokens, copies (times the document is taken), plus the columns in `keep`."""
-    kept = {c: F.col(f"`{c}`") for c in keep or []}
-    slim = docs.select(
-        F.col("doc_id").cast("long").alias("doc_id"),
-        F.col("lang").cast("string").alias("lang"),
-        F.col("source").cast("string").alias("source"),
-        token_count("text").alias("n_tokens"),
-        F.struct(*[c.alias(k) for k, c in kept.items()]).alias("_kept") if kept else F.lit(None).alias("_kept"),
-    ).withColumn("domain", _lookup("source", mix.domain_of, "other"))
-    leaves = slim.groupBy("domain", "lang", "source").agg(F.sum("n_tokens").cast("long").alias("tokens"))
-    plan = leaf_quotas(leaves, mix).select(
-        F.col("domain").alias("_d"), F.col("lang").alias("_l"), F.col("source").alias("_s"),
-        F.expr("CASE WHEN tokens > 0 THEN quota div tokens ELSE 0 END").alias("whole"),
-        F.expr("CASE WHEN tokens > 0 THEN quota % tokens ELSE 0 END").alias("rest"),
+LEAF = ["domain", "lang", "source"]
+
+
+def _on_leaf(rows: DataFrame, plan: DataFrame) -> DataFrame:
+    """rows with the plan of their leaf; null names are names."""
+    named = plan.select(*[F.col(c).alias(f"_{c}") for c in LEAF], *[c for c in plan.columns if c not in LEAF])
+    same = [F.col(c).eqNullSafe(F.col(f"_{c}")) for c in LEAF]
+    return rows.join(named, same[0] & same[1] & same[2]).drop(*[f"_{c}" for c in LEAF])
+
+
+def leaf_plan(slim: DataFrame, mix: Mix) -> DataFrame:
+    """slim(domain, lang, source, doc_id, n_tokens) -> per leaf: whole epochs, tokens of the last one, its last order key."""
+    leaves = slim.groupBy(*LEAF).agg(F.sum("n_tokens").cast("long").alias("tokens"))
+    quotas = leaf_quotas(leaves, mix).select(
+        *LEAF, F.expr("CASE WHEN tokens > 0 THEN quota div tokens ELSE 0 END").alias("whole"), F.expr("CASE WHEN tokens > 0 THEN quota % tokens ELSE 0 END").alias("rest")
     )
-    same = F.col("domain").eqNullSafe(F.col("_d")) & F.col("lang").eqNullSafe(F.col("_l")) & F.col("source").eqNullSafe(F.col("_s"))
-    rows = slim.join(bounded(plan, "mix-plan"), same).drop("_d", "_l", "_s")
-    rows = rows.withColumn("_h", _order_key(mix.seed, F.col("whole"), "doc_id")).withColumn("_r", F.substring("_h", 1, RANGE_DIGITS))
+    quotas = bounded(quotas, "mix-quotas")
+    rows = _on_leaf(slim, quotas).withColumn("_h", _order_key(mix.seed, F.col("whole"), "doc_id")).withColumn("_r", F.substring("_h", 1, RANGE_DIGITS))
     # token sums of the hash ranges of each leaf, combined before the shuffle; then the range in which the prefix ends
-    leaf = ["domain", "lang", "source"]
-    ranges = rows.groupBy(*leaf, "rest", "_r").agg(F.sum("n_tokens").alias("_t"))
-    upto = F.sum("_t").over(Window.partitionBy(*leaf).orderBy("_r"))
-    ends = ranges.withColumn("_upto", upto).where("_upto > rest").groupBy(*leaf).agg(F.min(F.struct("_r", (F.col("_upto") - F.col("_t")).alias("_before"))).alias("_end"))
-    ends = ends.select(F.col("domain").alias("_d"), F.col("lang").alias("_l"), F.col("source").alias("_s"), F.col("_end._r").alias("_end"), F.col("_end._before").alias("_before"))
-    rows = rows.join(bounded(ends, "mix-ends"), same, "left").drop("_d", "_l", "_s")
+    ranges = rows.groupBy(*LEAF, "rest", "_r").agg(F.sum("n_tokens").alias("_t"))
+    upto = F.sum("_t").over(Window.partitionBy(*LEAF).orderBy("_r"))
+    ends = ranges.withColumn("_upto", upto).where("_upto > rest").groupBy(*LEAF).agg(F.min(F.struct("_r", (F.col("_upto") - F.col("_t")).alias("_before"))).alias("_end"))
+    ends = bounded(ends.select(*LEAF, F.col("_end._r").alias("_end"), F.col("_end._before").alias("_before")), "mix-ends")
     # only the rows of that range need an order
-    last = rows.where("_r = _end").withColumn("_sum", F.sum("n_tokens").over(Window.partitionBy(*leaf).orderBy("_h")))
-    last = last.withColumn("_in", F.col("_before") + F.col("_sum") <= F.col("rest")).drop("_sum")
-    rest = rows.where("_r <> _end OR _end IS NULL").withColumn("_in", F.coalesce(F.col("_r") < F.col("_end"), F.lit(False)))
-    out = rest.unionByName(last)
-    copies = F.col("whole") + (F.col("_in") & (F.col("rest") > 0)).cast("long")
-    return out.select("doc_id", *leaf, "n_tokens", copies.alias("copies"), *[F.col("_kept")[c].alias(f"_{c}") for c in kept])
+    last = _on_leaf(rows, ends).where("_r = _end").withColumn("_sum", F.sum("n_tokens").over(Window.partitionBy(*LEAF).orderBy("_h")))
+    cut = last.groupBy(*LEAF, "_end").agg(F.max(F.when(F.col("_before") + F.col("_sum") <= F.col("rest"), F.col("_h"))).alias("_last"))
+    # every key of an earlier range is smaller than the range's own digits
+    cut = cut.select(*LEAF, F.coalesce("_last", "_end").alias("cut"))
+    same = [F.col(f"q.{c}").eqNullSafe(F.col(f"c.{c}")) for c in LEAF]
+    return quotas.alias("q").join(cut.alias("c"), same[0] & same[1] & same[2], "left").select(*[f"q.{c}" for c in LEAF], "whole", "rest", "cut")
+
+
+def _copies(mix: Mix) -> Column:
+    """How often a row with a plan is taken."""
+    inside = (F.col("rest") > 0) & (_order_key(mix.seed, F.col("whole"), "doc_id") <= F.col("cut"))
+    return F.col("whole") + F.coalesce(inside, F.lit(False)).cast("long")
+
+
+def mix_documents(docs: DataFrame, mix: Mix = PRODUCTION) -> DataFrame:
+    """documents -> doc_id, domain, lang, source, n_tokens, copies (times the document is taken)."""
+    slim = materialize(counted(docs).withColumn("domain", _lookup("source", mix.domain_of, "other")), "mix-counts")
+    return _on_leaf(slim, bounded(leaf_plan(slim, mix), "mix-plan")).select("doc_id", *LEAF, "n_tokens", _copies(mix).alias("copies"))
 
 
 def mixed(docs: DataFrame, mix: Mix = PRODUCTION) -> DataFrame:
     """The mixture itself, with the columns of docs: each document as many times as it is taken."""
-    names = docs.columns
-    taken = mix_documents(docs, mix, keep=names).where("copies > 0")
-    again = taken.withColumn("_again", F.explode(F.sequence(F.lit(1).cast("long"), F.col("copies"))))
-    return again.select(*[F.col(f"_{c}").alias(c) for c in names])
+    slim = materialize(counted(docs).withColumn("domain", _lookup("source", mix.domain_of, "other")), "mix-counts")
+    plan = bounded(leaf_plan(slim, mix), "mix-plan")
+    rows = docs.select(
+        F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("_kept"),
+        F.col("doc_id").cast("long").alias("doc_id"), F.col("lang").cast("string").alias("lang"), F.col("source").cast("string").alias("source"),
+    ).withColumn("domain", _lookup("source", mix.domain_of, "other"))
+    taken = _on_leaf(rows, plan).withColumn("_copies", _copies(mix)).where("_copies > 0")
+    again = taken.select("_kept", F.explode(F.sequence(F.lit(1).cast("long"), F.col("_copies"))).alias("_again"))
+    return again.select(*[F.col("_kept").getField(c).alias(c) for c in docs.columns])
 
 
 def op4_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
