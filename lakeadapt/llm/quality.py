@@ -24,7 +24,8 @@ from pyspark.sql import functions as F
 
 from lakeadapt.llm.common import of_type, sliced
 
-#: ASCII white space, symbols of the contract, marks that end a sentence or a quotation.
+#: ASCII white space, symbols of the contract, marks that end a sentence or a quotation, site phrases in English,
+#: German, French and Spanish.
 SPACES = b" \t\n\x0b\x0c\r"
 ASCII_SPACES = SPACES.decode()
 SYMBOLS = b"#*$%&|<>"
@@ -34,6 +35,12 @@ PHRASES = (
     "all rights reserved", "terms of use", "terms of service", "privacy policy", "cookie policy", "use cookies",
     "enable javascript", "lorem ipsum", "powered by", "click here", "sign up for", "subscribe to our", "skip to content",
     "back to top",
+    "alle rechte vorbehalten", "nutzungsbedingungen", "datenschutzerklärung", "cookie-richtlinie", "verwendet cookies", "javascript aktivieren",
+    "hier klicken", "newsletter abonnieren", "zum inhalt springen", "nach oben",
+    "tous droits réservés", "conditions d'utilisation", "politique de confidentialité", "utilise des cookies", "activer javascript",
+    "cliquez ici", "abonnez-vous à", "aller au contenu", "haut de page",
+    "todos los derechos reservados", "términos de uso", "política de privacidad", "utiliza cookies", "activar javascript", "haga clic aquí",
+    "suscríbase a", "saltar al contenido", "volver arriba",
 )
 
 
