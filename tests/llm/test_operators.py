@@ -230,19 +230,42 @@ def test_shortages_go_to_siblings_before_ancestors(spark):
     assert more == {"s1": 10, "s2": 500, "s3": 1000, "s4": 3698}  # all of a, its shortage goes to b
 
 
+def test_weight_zero_gives_nothing(spark):
+    leaves = spark.createDataFrame([("a", "en", "s1", 10), ("a", "en", "s2", 500), ("a", "de", "s3", 1000), ("b", "en", "s4", 5000)], "domain string, lang string, source string, tokens long")
+    quotas = lambda **w: {r["source"]: r["quota"] for r in mixing.leaf_quotas(leaves, mixing.Mix(budget_percent=50, max_epochs=1, **({"domain_weights": {}, "lang_weights": {}, "source_weights": {}} | w))).collect()}
+    assert quotas(domain_weights={"a": 0}) == {"s1": 0, "s2": 0, "s3": 0, "s4": 3255}
+    assert quotas(lang_weights={"en": 0}) == {"s1": 0, "s2": 0, "s3": 1000, "s4": 0}
+    assert quotas(source_weights={"s4": 0, "s2": 0}) == {"s1": 10, "s2": 0, "s3": 1000, "s4": 0}
+    assert set(quotas(domain_weights={"a": 0, "b": 0}).values()) == {0}
+
+
+def test_word_counts_equal_plain_ones(spark):
+    texts = ["", None, " ", "a", " a ", "a\t\tb\x0bc\x0c\rd\n", "\u00a0", "x\x1cy z", "é漢 🙂\u2003b", LONG]
+    got = {r["doc_id"]: r["n_tokens"] for r in mixing.counted(spark.createDataFrame([(k, t, None, None) for k, t in enumerate(texts)], "doc_id long, text string, lang string, source string")).collect()}
+    assert got == {k: len(re.findall(r"[^\x20\x09-\x0D]+", t or "")) for k, t in enumerate(texts)}
+
+
 def test_mix_awkward_and_epochs(spark):
     docs = awkward(spark)
     rows = mixing.mix_documents(docs, mixing.Mix(budget_percent=150, max_epochs=2)).collect()
     assert len(rows) == 12 and max(r["copies"] for r in rows) <= 2
     out = mixing.mixed(docs, mixing.Mix(budget_percent=150, max_epochs=2))
     assert out.columns == docs.columns and out.count() == sum(r["copies"] for r in rows)
-    assert mixing.mix_documents(nothing(spark)).count() == 0
+    assert mixing.mix_documents(nothing(spark)).count() == 0 and mixing.mixed(nothing(spark)).count() == 0
 
 
 # 5, 6 ----------------------------------------------------------------------------------------------------------------
 TEXTS = ["It's  double  spaced\n\n\tand 'll contractions don't 've", " lead", "trail ", "a", "x\n y", "\n\nx", "1234 56,7!?...", "é漢字🙂 \u00a0x\x0by\x1cz", "a \n b", "\x00\x00 \x00a", "", "İstanbul ﬁ ǅ", "ab's 's's"]
 
 
+def test_bpe_units_are_the_matches_of_the_pattern():
+    rng, pattern = random.Random(5), bpe._pattern()
+    texts = TEXTS + ["abc\n \ndef", "1\t \t1", "x \u2003y"] + ["".join(rng.choice("ab1 \n\t\u00a0'.!  s") for _ in range(rng.randrange(14))) for _ in range(4000)]
+    units, rows = bpe.split_block(texts, pattern)
+    for text, row in zip(texts, rows):
+        assert [w for k in row for w in pattern.findall(units[k])] == pattern.findall(text)
+
+
 def test_bpe_equals_the_library(spark):
     encoding, _ = bpe.codec(bpe.ranks_file())
     rows = [(k, t) for k, t in enumerate(TEXTS)] + [(98, LONG), (99, None)]
@@ -309,6 +332,16 @@ def test_url_rules_by_hand(spark):
     assert [by[k] for k in range(len(cases))] == list(cases.values()) and by[None][3] == "block"
 
 
+def test_url_rules_awkward(spark):
+    rules, schema = urlfilter.rule_table(spark), "page_id long, url string"
+    assert urlfilter.judge(spark.createDataFrame([], schema), rules).count() == 0
+    long_ = "http://" + "a." * 50 + "com/en/" + "x" * 200_000
+    got = urlfilter.judge(spark.createDataFrame([(1, long_), (1, long_), (2, "http://" + "b" * 100_000)], schema), rules).collect()
+    assert sorted((r["page_id"], r["rule"], r["verdict"], len(r["path"])) for r in got if r["rule"]) == [(1, "com/en/", "block", 200_004)] * 2 and len(got) == 3
+    none = urlfilter.judge(spark.createDataFrame([(1, "http://x.com/en/")], schema), rules.limit(0)).collect()
+    assert [(r["rule"], r["verdict"]) for r in none] == [(None, "allow")]
+
+
 # 8 -------------------------------------------------------------------------------------------------------------------
 @pytest.mark.parametrize("n", [1, 2, 3, 5, 24, 100, 997, 10_000])
 def test_feistel_is_a_bijection(n):
@@ -325,8 +358,19 @@ def test_shards_are_even_and_gapless(spark):
         slots.setdefault(r["shard"], []).append(r["slot"])
     sizes = [len(s) for s in slots.values()]
     assert len(rows) == docs.count() and max(sizes) - min(sizes) <= 1 and all(sorted(s) == list(range(len(s))) for s in slots.values())
-    again = {r["doc_id"]: (r["shard"], r["slot"]) for r in sharding.shard_rows(docs.repartition(7), parts=3).collect()}
+    again = {r["doc_id"]: (r["shard"], r["slot"]) for r in sharding.shard_rows(docs.repartition(7)).collect()}
     assert again == {r["doc_id"]: (r["shard"], r["slot"]) for r in rows}
+    # every place against a plain version
+    plain = sorted((r["doc_id"], zlib.crc32((r["text"] or "").encode()), len((r["text"] or "").encode()) + 8) for r in docs.collect())
+    places = sharding.permute(np.arange(len(plain)), len(plain), 7)
+    want = [(i, size, crc, "rows", int(p) % 24, int(p) // 24, None) for (i, crc, size), p in zip(plain, places)]
+    got = [(r["doc_id"], r["size"], r["text_crc32"], r["law"], r["shard"], r["slot"], r["grown_shard"]) for r in rows]
+    assert sorted(got) == sorted(want)
+    hot = spark.createDataFrame([(None if k % 3 else k, "same" if k % 2 else f"t{k}") for k in range(2000)], "doc_id long, text string")
+    numbered, n = common.number_rows(hot, ["doc_id", "text"], "row_no", rows_a_range=100)
+    ordered = [(r["doc_id"], r["text"]) for r in numbered.orderBy("row_no").collect()]
+    assert n == 2000 and sorted(r["row_no"] for r in numbered.collect()) == list(range(2000))
+    assert ordered == sorted(ordered, key=lambda x: (x[0] is not None, x[0] or 0, x[1]))
     odd = sharding.shard_rows(awkward(spark)).collect()
     assert len(odd) == 12 and {r["row_no"] for r in odd} == set(range(12)) and sharding.shard_rows(nothing(spark)).count() == 0
 
@@ -361,7 +405,11 @@ def test_quality_verdicts(spark):
     nav = "Home | About | News | Contact | Help | Login | More | Less | Up | Down"
     got = [quality.judge_text(t) for t in (clean, nav, f"{clean}\n{nav[:30]}", "€€€ " * 12, clean + "\nAll rights reserved.")]
     assert [g[6] for g in got] == [True, False, True, False, True] and got[4][8] == clean
+    for line in ("Alle Rechte vorbehalten.", "Diese Seite verwendet Cookies.", "Tous droits réservés.", "Cliquez ici pour lire la suite.", "Todos los derechos reservados.", "Haga clic aquí para leer más."):
+        assert quality.judge_text(f"{clean}\n{line}")[8] == clean
     docs = awkward(spark)
+    judged = {r["doc_id"]: r for r in quality.judge_documents(docs).collect()}
+    assert judged[3]["base_failed"] and judged[3]["n_words"] == 0 and judged[6]["n_words"] == 60_000 and judged[6]["base_failed"] and quality.judge_documents(nothing(spark)).count() == 0
     out = quality.clean_documents(docs)
     assert out.columns == docs.columns and {r["doc_id"] for r in out.collect()} >= {1, 2, 8, 9} and quality.clean_documents(nothing(spark)).count() == 0
 
@@ -412,6 +460,34 @@ def test_ann_short_queries_scan_all_lists(spark):
     assert len(got) == 20 and all(r["count"] == 20 for r in got)
 
 
+def by_brute_force(spark, rows, p=ann.PRODUCTION):
+    """Share of the exact neighbours found; ranks, lengths and scores are checked on the way."""
+    df = spark.createDataFrame([(i, [float(a) for a in v]) for i, v in rows], "vec_id long, embedding array<double>")
+    found = {}
+    first = {}
+    for i, v in sorted((i, tuple(map(float, v))) for i, v in rows):
+        first.setdefault(i, np.array(v))
+    ids = sorted(first)
+    want = exact(ids, np.stack([first[i] for i in ids]))
+    for r in ann.search(df, p).orderBy("query_id", "rank").collect():
+        found.setdefault(r["query_id"], []).append(r["vec_id"])
+        assert r["rank"] == len(found[r["query_id"]]) and r["score"] == pytest.approx(float(first[r["query_id"]] @ first[r["vec_id"]]), abs=1e-9)
+    assert {q: len(v) for q, v in found.items()} == {q: len(v) for q, v in want.items()} and all(len(set(v)) == len(v) for v in found.values())
+    return sum(len(set(want[q]) & set(found[q])) for q in want) / sum(map(len, want.values()))
+
+
+def test_ann_gives_all_places_and_each_id_once(spark):
+    rng = np.random.default_rng(6)
+    base = list(enumerate(rng.normal(size=(60, 8))))
+    assert by_brute_force(spark, [*base, base[7], base[20], base[20], (40, rng.normal(size=8))]) >= 0.9
+    assert by_brute_force(spark, list(enumerate(rng.normal(size=(200, 8))))) >= 0.9
+    norms = rng.normal(size=(1500, 8)) * np.exp(rng.normal(size=(1500, 1)))
+    assert by_brute_force(spark, list(enumerate(norms)), ann.AnnParams(sample_rows=400)) >= 0.9
+    x = rng.normal(size=(1000, 8))
+    x[100:] = x[100]
+    assert by_brute_force(spark, list(enumerate(x)), ann.AnnParams(sample_rows=200)) >= 0.9
+
+
 def test_ann_awkward(spark):
     nan, inf = float("nan"), float("inf")
     rows = [(0, [1.0, 0.0]), (1, [0.5, 0.5]), (2, [0.5, 0.5]), (3, None), (4, [0.0, 0.0]), (5, [nan, 1.0]), (6, [inf, 1.0]), (7, [1.0, None]), (8, [1.0]), (20, [0.0, 1.0]), (None, [1.0, 1.0]), (40, None)]
