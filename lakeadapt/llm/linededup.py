@@ -1,13 +1,18 @@
 """Line deduplication by a segment-partition edit join, in DataFrame functions only.
 
-A line is removed if an earlier line (by doc_id, then line number) is within `edits` edits of it: equal lines through one
-128-bit key per line, near-equal ones of at least `min_chars` characters through an edit join of the different lines.
-For the join each line is cut into edits + 1 segments, of which a partner must contain one unchanged; per partner length
-and segment only the few substrings at places that can matter are probed (bounds from both ends of the line). Candidates
-lose their common ends, and a bit-parallel distance over a band of 2 * edits + 1 diagonals, one 64-bit word a column,
-decides.
-
-Hot lines are combined by key before anything is joined; texts are fetched again for candidates only.
+A line is removed if an earlier line (by doc_id, then line number) is near it. Two lines are near if they are equal, or if
+they differ by at most one edit for each `chars_per_edit` characters of the shorter one, and by `edits` at most: lines of
+less than `chars_per_edit` characters must be equal. Equal lines meet by one 128-bit key a line, the others in an edit join
+of the different lines: a line is cut into one segment more than its edits, of which a longer or equally long partner must
+contain one unchanged; per partner length and segment only the few substrings at places that can matter are probed (bounds
+from both ends of the line). Candidates lose their common ends, and a bit-parallel distance over a band of 2 * edits + 1
+diagonals, one 64-bit word a column, decides.
+
+Lines are combined by key before anything is joined; texts are fetched again for candidates only. One earlier partner is all
+that a line needs, so a key with many lines first tries all of them against its earliest ones, which is linear, and only
+lines that are still there are compared with all earlier lines of the key. A family of lines near its first one so costs as
+many candidates as it has lines; the worst case is a family of n lines that share a segment and are mostly not near each
+other, where n * n / 2 counts of letters are compared, dealt over parts.
 
 Defined cases: lines without a non-space character are never removed; null and empty texts have no lines; rows without
 doc_id take no part and keep their text; rows that repeat a doc_id are one document; lines longer than any bound are
@@ -16,11 +21,11 @@ joined whole; an empty table gives no rows. Extra columns pass through.
 
 from __future__ import annotations
 
+from collections.abc import Callable
 from dataclasses import dataclass
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql.window import Window
 
 from lakeadapt.llm.common import materialize, of_type
 
@@ -28,20 +33,20 @@ from lakeadapt.llm.common import materialize, of_type
 @dataclass(frozen=True)
 class LineParams:
     edits: int = 2
-    min_chars: int = 24
+    chars_per_edit: int = 12
 
 
 PRODUCTION = LineParams()
-#: Letters whose counts are compared, and from how many pairs of one key on.
-LETTERS = "abcdefghijklmnopqrstuvwxyz"
+#: Characters whose counts are compared, from how many possible pairs of one key on it is tried by its earliest lines first,
+#: and how many lines of a key are compared in one part.
+LETTERS = "abcdefghijklmnopqrstuvwxyz0123456789"
 LONG_LIST = 64
+PART = 4096
 
 
-def segment_keys(p: LineParams) -> tuple[list[str], list[str]]:
-    """SQL for a line's own keys, and for those it probes: columns `line` and `len` are given."""
-    k = p.edits + 1
-
-    def place(length: str, i: int) -> tuple[str, str]:
+def segment_keys(p: LineParams) -> tuple[str, str]:
+    """SQL for the array of a line's own keys, and for that of those it probes: columns `line` and `len` are given."""
+    def place(length: str, i: int, k: int) -> tuple[str, str]:
         base, extra = f"({length} div {k})", f"({length} % {k})"
         start = f"({base} * {i} + greatest(0, {i} - ({k} - {extra})) + 1)"
         return start, f"({base} + CASE WHEN {i} >= {k} - {extra} THEN 1 ELSE 0 END)"
@@ -49,15 +54,26 @@ def segment_keys(p: LineParams) -> tuple[list[str], list[str]]:
     def key(length: str, i: int, start: str, size: str) -> str:
         return f"xxhash64({length}, {i}, substring(line, {start}, {size}))"
 
-    own = [key("len", i, *place("len", i)) for i in range(k)]
-    probes = []
-    for delta in range(p.edits + 1):
-        length = f"(len - {delta})"
-        for i in range(k):
-            start, size = place(length, i)
-            low, high = max(-i, delta - (p.edits - i)), min(i, delta + (p.edits - i))
-            probes += [key(length, i, f"({start} + {shift})", size) for shift in range(low, high + 1)]
-    return own, probes
+    def by_edits(length: str, keys: Callable[[int], list[str]]) -> str:
+        """The keys that go with the edits that lines of a length are allowed."""
+        cases = " ".join(f"WHEN {length} >= {t * p.chars_per_edit} THEN array({', '.join(keys(t))})" for t in range(p.edits, 0, -1) if keys(t))
+        return f"CASE {cases} ELSE CAST(array() AS array<bigint>) END"
+
+    def probed(delta: int, t: int) -> list[str]:
+        length, out = f"(len - {delta})", []
+        for i in range(t + 1) if delta <= t else ():
+            start, size = place(length, i, t + 1)
+            low, high = max(-i, delta - (t - i)), min(i, delta + (t - i))
+            out += [key(length, i, f"({start} + {shift})", size) for shift in range(low, high + 1)]
+        return out
+
+    own = by_edits("len", lambda t: [key("len", i, *place("len", i, t + 1)) for i in range(t + 1)])
+    return own, f"concat({', '.join(by_edits(f'(len - {d})', lambda t, d=d: probed(d, t)) for d in range(p.edits + 1))})"
+
+
+def allowed(shorter: Column, p: LineParams) -> Column:
+    """Edits that a pair may differ by, from the length of its shorter line."""
+    return F.least(F.lit(p.edits), F.floor(shorter / F.lit(p.chars_per_edit)).cast("int"))
 
 
 def lines_of(docs: DataFrame) -> DataFrame:
@@ -152,9 +168,9 @@ def edit_distance(x: Column, y: Column, edits: int) -> Column:
     return F.when(far, F.lit(edits + 1)).otherwise(_let(ordered, ends_cut))
 
 
-def within_edits(pairs: DataFrame, edits: int) -> DataFrame:
-    """pairs with texts x, y -> those at most `edits` apart."""
-    return pairs.where(edit_distance(F.col("x"), F.col("y"), edits) <= edits)
+def within_edits(pairs: DataFrame, edits: int, limit: Column | None = None) -> DataFrame:
+    """pairs with texts x, y -> those at most `edits` (and `limit`, if given) apart."""
+    return pairs.where(edit_distance(F.col("x"), F.col("y"), edits) <= (F.lit(edits) if limit is None else limit))
 
 
 def texts_at(rows: DataFrame, places: DataFrame) -> DataFrame:
@@ -169,36 +185,88 @@ def letter_counts(line: str) -> list[Column]:
     return [(F.length(line) - F.length(F.translate(F.col(line), c + c.upper(), ""))).alias(f"n_{c}") for c in LETTERS]
 
 
-def candidates(rows: DataFrame, listed: DataFrame, probing: DataFrame, p: LineParams) -> DataFrame:
-    """Pairs (doc_id, line_no) and (p_doc, p_line) of lines that share a key and may be within the edits.
+PAIR = ["doc_id", "line_no", "p_doc", "p_line"]
+#: The indexed line is shorter, or as long and earlier; so each pair is made in one direction.
+APART = "(p_len > len OR (p_len = len AND (p_doc > doc_id OR (p_doc = doc_id AND p_line > line_no))))"
+
+
+def shared_keys(keyed: DataFrame) -> DataFrame:
+    """keyed(doc_id, line_no, len, own, probes) -> doc_id, line_no, len, key, probe, long: the rows of keys on which lines meet.
+
+    Keys are counted first, combined before the shuffle; a line always meets itself, and keys that only do that are most of all.
+    """
+    sides = [keyed.select("doc_id", "line_no", "len", F.explode(c).alias("key"), F.lit(c == "probes").alias("probe")) for c in ("own", "probes")]
+    tagged = sides[0].unionByName(sides[1])
+    counts = tagged.groupBy("key").agg(F.count_if(~F.col("probe")).alias("_own"), F.count_if("probe").alias("_probing"))
+    counts = counts.where("_own > 0 AND _probing > 0 AND (_own > 1 OR _probing > 1)").select("key", (F.col("_own") * F.col("_probing") > LONG_LIST).alias("long"))
+    return materialize(tagged.join(materialize(counts, "key-counts"), "key"), "shared-keys")
+
+
+def _named(probing: DataFrame) -> DataFrame:
+    return probing.select(F.col("doc_id").alias("p_doc"), F.col("line_no").alias("p_line"), F.col("len").alias("p_len"), "key")
+
+
+def first_candidates(shared: DataFrame) -> DataFrame:
+    """Pairs (doc_id, line_no) and (p_doc, p_line): all of a short list; of a long one, each line with the earliest it can meet."""
+    listed, probing = shared.where("NOT probe").select("doc_id", "line_no", "len", "key", "long"), shared.where("probe")
+    few = listed.where("NOT long").join(_named(probing.where("NOT long")), "key").where(APART)
+    place = F.struct("doc_id", "line_no", "len")
+    heads = shared.where("long").groupBy("key").agg(F.min(F.when(~F.col("probe"), place)).alias("o"), F.min(F.when(F.col("probe"), place)).alias("p"))
+    heads = materialize(heads, "list-heads")
+    by_own = heads.select("key", "o.*").join(_named(probing.where("long")), "key").where("doc_id <> p_doc OR line_no <> p_line")
+    by_probe = listed.where("long").select("doc_id", "line_no", "len", "key").join(_named(heads.select("key", "p.*")), "key").where("doc_id <> p_doc OR line_no <> p_line")
+    return few.select(*PAIR).union(by_own.select(*PAIR)).union(by_probe.select(*PAIR)).distinct()
+
+
+def letter_counts(line: str) -> list[Column]:
+    """How often each of LETTERS occurs, in either case."""
+    return [(F.length(line) - F.length(F.translate(F.col(line), c + c.upper(), ""))).alias(f"n_{c}") for c in LETTERS]
+
+
+def open_candidates(rows: DataFrame, shared: DataFrame, removed: DataFrame, p: LineParams) -> DataFrame:
+    """Pairs of long lists whose later line is not among the removed ones.
 
-    Keys with more than LONG_LIST possible pairs belong to families of lines that differ in a word: there the letter
-    counts are compared before a pair is made. Each edit changes their sum of differences by two at most, so no link is lost.
+    Such lists belong to families of lines that differ in a word: letter counts are compared before a pair is made. Each
+    edit changes their sum of differences by two at most, so no link is lost. Lines of one key are dealt over parts.
     """
-    apart = F.expr("p_len > len OR (p_len = len AND (p_doc > doc_id OR (p_doc = doc_id AND p_line > line_no)))") & (F.col("p_len") - F.col("len") <= p.edits)
-    tagged = listed.withColumn("probe", F.lit(False)).unionByName(probing.withColumn("probe", F.lit(True)))
-    by_key = Window.partitionBy("key")
-    counted = tagged.withColumn("_own", F.count_if(~F.col("probe")).over(by_key)).withColumn("_probing", F.count_if("probe").over(by_key))
-    # a line always meets itself; keys that only do that are most of all and go here
-    shared = counted.where("_own > 0 AND _probing > 0 AND (_own > 1 OR _probing > 1)").withColumn("long", F.col("_own") * F.col("_probing") > LONG_LIST)
-    shared = materialize(shared.drop("_own", "_probing"), "shared-keys")
-    listed = shared.where("NOT probe").drop("probe")
-    named = shared.where("probe").select(F.col("doc_id").alias("p_doc"), F.col("line_no").alias("p_line"), F.col("len").alias("p_len"), "key", "long")
-    few = listed.where("NOT long").drop("long").join(named.where("NOT long").drop("long"), "key").where(apart)
-
-    members = listed.where("long").select("doc_id", "line_no").union(named.where("long").select("p_doc", "p_line"))
-    counted = materialize(texts_at(rows, members).select("doc_id", "line_no", *letter_counts("line")), "letter-counts")
-    theirs = counted.select(F.col("doc_id").alias("p_doc"), F.col("line_no").alias("p_line"), *[F.col(f"n_{c}").alias(f"p_{c}") for c in LETTERS])
-    a = listed.where("long").drop("long").join(counted, ["doc_id", "line_no"])
-    b = named.where("long").drop("long").join(theirs, ["p_doc", "p_line"])
-    differ = sum((F.abs(F.col(f"n_{c}") - F.col(f"p_{c}")) for c in LETTERS), F.lit(0))
-    many = a.join(b, (a["key"] == b["key"]) & apart & (differ <= 2 * p.edits))
-    out = ["doc_id", "line_no", "p_doc", "p_line"]
-    return few.select(*out).union(many.select(*out)).distinct()
+    gone = removed.select("doc_id", "line_no", F.lit(True).alias("_gone"))
+    members = shared.where("long").join(gone, ["doc_id", "line_no"], "left").withColumn("open", F.col("_gone").isNull()).drop("_gone", "long")
+    place = F.struct("doc_id", "line_no")
+    lists = members.groupBy("key").agg(F.max(F.when(F.col("open"), place)).alias("_last"), F.min(place).alias("_first"), F.count("*").alias("_m"))
+    lists = lists.where("_last > _first").select("key", F.ceil(F.col("_m") / PART).cast("int").alias("parts"))
+    members = materialize(members.join(lists, "key"), "open-lists")
+    counted = materialize(texts_at(rows, members.select("doc_id", "line_no")).select("doc_id", "line_no", *letter_counts("line")), "letter-counts")
+    members = members.join(counted, ["doc_id", "line_no"])
+    counts = [f"n_{c}" for c in LETTERS]
+    part = F.pmod(F.xxhash64("doc_id", "line_no"), F.col("parts")).cast("int")
+    every = F.explode(F.sequence(F.lit(0), F.col("parts") - 1))
+    theirs = [F.col("doc_id").alias("p_doc"), F.col("line_no").alias("p_line"), F.col("len").alias("p_len"), *[F.col(c).alias(f"p{c}") for c in counts]]
+    differ = sum((F.abs(F.col(c) - F.col(f"p{c}")) for c in counts), F.lit(0))
+
+    def pairs(left: DataFrame, right: DataFrame, later: str) -> DataFrame:
+        both = left.select("key", "part", "doc_id", "line_no", "len", *counts).join(right.select("key", "part", *theirs), ["key", "part"])
+        return both.where(F.expr(later) & F.expr(APART) & (differ <= 2 * allowed(F.col("len"), p))).select(*PAIR)
+
+    after = "(p_doc > doc_id OR (p_doc = doc_id AND p_line > line_no))"
+    own, probing = members.where("NOT probe"), members.where("probe")
+    by_probe = pairs(own.withColumn("part", every), probing.where("open").withColumn("part", part), after)
+    by_own = pairs(own.where("open").withColumn("part", part), probing.withColumn("part", every), f"NOT {after}")
+    return by_probe.union(by_own).distinct()
+
+
+def later_lines(rows: DataFrame, pairs: DataFrame, p: LineParams, tag: str) -> DataFrame:
+    """doc_id, line_no of the later line of each pair that is near."""
+    pairs = materialize(pairs, f"{tag}-pairs")
+    texts = materialize(texts_at(rows, pairs.select("doc_id", "line_no").union(pairs.select("p_doc", "p_line"))), f"{tag}-texts")
+    left = texts.select("doc_id", "line_no", F.col("line").alias("x"))
+    right = texts.select(F.col("doc_id").alias("p_doc"), F.col("line_no").alias("p_line"), F.col("line").alias("y"))
+    linked = within_edits(pairs.join(left, ["doc_id", "line_no"]).join(right, ["p_doc", "p_line"]), p.edits, allowed(F.least(F.length("x"), F.length("y")), p))
+    later = F.greatest(F.struct("doc_id", "line_no"), F.struct(F.col("p_doc").alias("doc_id"), F.col("p_line").alias("line_no")))
+    return materialize(linked.select(later.alias("z")).select("z.doc_id", "z.line_no").distinct(), f"{tag}-near")
 
 
 def removed_lines(docs: DataFrame, p: LineParams = PRODUCTION) -> DataFrame:
-    """documents -> doc_id, line_no, near (false: equal to an earlier line, true: within the edits of one)."""
+    """documents -> doc_id, line_no, near (false: equal to an earlier line, true: near an earlier one)."""
     rows = of_type(docs, {"doc_id": "long", "text": "string"})
     own, probes = segment_keys(p)
     lines = lines_of(rows).withColumn("len", F.length("line")).withColumn("k1", F.xxhash64("line")).withColumn("k2", F.xxhash64(F.lit(1), "line"))
@@ -210,22 +278,15 @@ def removed_lines(docs: DataFrame, p: LineParams = PRODUCTION) -> DataFrame:
     equal = occurrences.join(repeated, ["k1", "k2"]).where("doc_id <> f.doc_id OR line_no <> f.line_no").select("doc_id", "line_no", F.lit(False).alias("near"))
 
     # near: keys of the different lines, at their first place
-    keyed = lines.where(F.col("len") >= p.min_chars).select(
-        "k1", "k2", F.struct("doc_id", "line_no").alias("id"), "len", F.expr(f"array({', '.join(own + probes)})").alias("keys")
+    keyed = lines.where(F.col("len") >= p.chars_per_edit).select(
+        "k1", "k2", F.struct("doc_id", "line_no").alias("id"), "len", F.expr(own).alias("own"), F.expr(probes).alias("probes")
     )
-    keyed = keyed.groupBy("k1", "k2").agg(F.min(F.struct("id", "len", "keys")).alias("x")).select("x.id.doc_id", "x.id.line_no", "x.len", "x.keys")
-    keyed = materialize(keyed, "line-keys")
-    listed = keyed.select("doc_id", "line_no", "len", F.explode(F.slice("keys", 1, len(own))).alias("key"))
-    probing = keyed.select("doc_id", "line_no", "len", F.explode(F.slice("keys", len(own) + 1, len(probes))).alias("key"))
-    pairs = materialize(candidates(rows, listed, probing, p), "line-pairs")
-
-    texts = materialize(texts_at(rows, pairs.select("doc_id", "line_no").union(pairs.select("p_doc", "p_line"))), "line-texts")
-    left = texts.select("doc_id", "line_no", F.col("line").alias("x"))
-    right = texts.select(F.col("doc_id").alias("p_doc"), F.col("line_no").alias("p_line"), F.col("line").alias("y"))
-    linked = within_edits(pairs.join(left, ["doc_id", "line_no"]).join(right, ["p_doc", "p_line"]), p.edits)
-    later = F.greatest(F.struct("doc_id", "line_no"), F.struct(F.col("p_doc").alias("doc_id"), F.col("p_line").alias("line_no")))
-    near = linked.select(later.alias("z")).select("z.doc_id", "z.line_no").distinct().withColumn("near", F.lit(True))
-    return equal.unionByName(near)
+    keyed = keyed.groupBy("k1", "k2").agg(F.min(F.struct("id", "len", "own", "probes")).alias("x")).select("x.id.doc_id", "x.id.line_no", "x.len", "x.own", "x.probes")
+    shared = shared_keys(materialize(keyed, "line-keys"))
+    near = later_lines(rows, first_candidates(shared), p, "first")
+    if not shared.where("long").isEmpty():
+        near = near.unionByName(later_lines(rows, open_candidates(rows, shared, near, p), p, "open"))
+    return equal.unionByName(near.withColumn("near", F.lit(True)))
 
 
 def line_report(docs: DataFrame, p: LineParams = PRODUCTION) -> DataFrame:
