@@ -69,31 +69,59 @@ def plain_removed(rows: list[tuple[int, str]], p=linededup.PRODUCTION) -> set[tu
     gone = set()
     for at, (i, k, x) in enumerate(lines):
         for _, _, y in lines[:at]:
-            if x == y or (min(len(x), len(y)) >= p.min_chars and abs(len(x) - len(y)) <= p.edits and edits(x, y) <= p.edits):
+            limit = min(p.edits, min(len(x), len(y)) // p.chars_per_edit)
+            if x == y or (abs(len(x) - len(y)) <= limit and edits(x, y) <= limit):
                 gone.add((i, k))
                 break
     return gone
 
 
-def test_removed_lines_equal_brute_force(spark):
+def spoiled(rng, x: str, most: int, letters=("", "z", "y")) -> str:
+    x = list(x)
+    for _ in range(rng.randrange(most)):
+        at = rng.randrange(len(x))
+        x[at : at + rng.randrange(2)] = rng.choice(letters)
+    return "".join(x)
+
+
+@pytest.mark.parametrize("limit", [64, 1, 0])
+def test_removed_lines_equal_brute_force(spark, limit, monkeypatch):
+    monkeypatch.setattr(linededup, "LONG_LIST", limit)  # lists beyond it are tried by their first lines before pairs are made
+    monkeypatch.setattr(linededup, "PART", 3)
     rng = random.Random(3)
-    base = ["".join(rng.choice("abcdef ") for _ in range(rng.randrange(20, 60))) for _ in range(12)]
-    rows = []
-    for i in range(40):
-        lines = []
-        for _ in range(rng.randrange(1, 6)):
-            x = list(rng.choice(base))
-            for _ in range(rng.randrange(4)):
-                at = rng.randrange(len(x))
-                x[at : at + rng.randrange(2)] = rng.choice(["", "z", "y"])
-            lines.append("".join(x))
-        rows.append((i, "\n".join(lines)))
-    df = spark.createDataFrame(rows, "doc_id long, text string")
-    for limit in (linededup.LONG_LIST, 1):  # with and without the comparison of letter counts
-        keep, linededup.LONG_LIST = linededup.LONG_LIST, limit
-        got = {(r["doc_id"], r["line_no"]) for r in linededup.removed_lines(df).collect()}
-        linededup.LONG_LIST = keep
-        assert got == plain_removed(rows)
+    base = ["".join(rng.choice("abcdef ") for _ in range(rng.randrange(8, 60))) for _ in range(16)]
+    rows = [(i, "\n".join(spoiled(rng, rng.choice(base), 4) for _ in range(rng.randrange(1, 6)))) for i in range(50)]
+    got = {(r["doc_id"], r["line_no"]) for r in linededup.removed_lines(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert got == plain_removed(rows)
+
+
+def test_edits_follow_the_length(spark):
+    rows = [(1, "abcdefghijk\nabcdefghijkl\n" + "abcdefghijklmnopqrstuvw\n" + "0123456789abcdefghijklmn"), (2, "abcdefghijx\nabcdefghijkx\nabcdefghijxx\nabcdefghijklmnopqrstuxx\nabcdefghijklmnopqrstuvx\n0123456789abcdefghijklxx\n0123456789abcdefghijkxxx")]
+    got = {(r["doc_id"], r["line_no"]) for r in linededup.removed_lines(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert got == plain_removed(rows) == {(2, 1), (2, 2), (2, 4), (2, 5), (2, 6)}
+
+
+def test_a_family_of_lines_makes_linear_candidates(spark, monkeypatch):
+    made = {}
+    real = linededup.materialize
+
+    def counting(df, tag):
+        out = real(df, tag)
+        made[tag] = out.count()
+        return out
+
+    monkeypatch.setattr(linededup, "materialize", counting)
+    letters = "abcdefghijklmnopqrstuvwxyzABCDEFGHIJKLMNOPQRS"
+    rows = [(k, f"the parcel with the mark {letters[k % 45]}{letters[k // 45]} went out at noon") for k in range(2000)]
+    got = {r["doc_id"] for r in linededup.removed_lines(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert got == set(range(1, 2000)) and made["first-pairs"] <= 4 * 2000 and made["open-pairs"] == 0
+
+
+def test_families_with_several_heads_equal_brute_force(spark):
+    rng = random.Random(8)
+    rows = [(k, f"order number {rng.randrange(1000):03d}{rng.randrange(10) * 11:02d} was sent today") for k in range(300)]
+    got = {(r["doc_id"], r["line_no"]) for r in linededup.removed_lines(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert got == plain_removed(rows)
 
 
 def test_line_dedup_is_native(spark):
