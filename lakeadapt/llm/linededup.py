@@ -21,7 +21,6 @@ joined whole; an empty table gives no rows. Extra columns pass through.
 
 from __future__ import annotations
 
-from collections.abc import Callable
 from dataclasses import dataclass
 
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -38,37 +37,42 @@ class LineParams:
 
 PRODUCTION = LineParams()
 #: Characters whose counts are compared, from how many possible pairs of one key on it is tried by its earliest lines first,
-#: and how many lines of a key are compared in one part.
+#: how many lines of a key are compared in one part, and how many keys may be sent to every task (8 MB).
 LETTERS = "abcdefghijklmnopqrstuvwxyz0123456789"
 LONG_LIST = 64
 PART = 4096
+MAX_SENT = 1 << 20
 
 
-def segment_keys(p: LineParams) -> tuple[str, str]:
-    """SQL for the array of a line's own keys, and for that of those it probes: columns `line` and `len` are given."""
-    def place(length: str, i: int, k: int) -> tuple[str, str]:
-        base, extra = f"({length} div {k})", f"({length} % {k})"
-        start = f"({base} * {i} + greatest(0, {i} - ({k} - {extra})) + 1)"
-        return start, f"({base} + CASE WHEN {i} >= {k} - {extra} THEN 1 ELSE 0 END)"
+def with_keys(lines: DataFrame, p: LineParams) -> tuple[DataFrame, list[int]]:
+    """lines(line, len, ...) -> with `keys`, and the places of those that the line itself is listed under.
 
-    def key(length: str, i: int, start: str, size: str) -> str:
-        return f"xxhash64({length}, {i}, substring(line, {start}, {size}))"
-
-    def by_edits(length: str, keys: Callable[[int], list[str]]) -> str:
-        """The keys that go with the edits that lines of a length are allowed."""
-        cases = " ".join(f"WHEN {length} >= {t * p.chars_per_edit} THEN array({', '.join(keys(t))})" for t in range(p.edits, 0, -1) if keys(t))
-        return f"CASE {cases} ELSE CAST(array() AS array<bigint>) END"
-
-    def probed(delta: int, t: int) -> list[str]:
-        length, out = f"(len - {delta})", []
-        for i in range(t + 1) if delta <= t else ():
-            start, size = place(length, i, t + 1)
-            low, high = max(-i, delta - (t - i)), min(i, delta + (t - i))
-            out += [key(length, i, f"({start} + {shift})", size) for shift in range(low, high + 1)]
-        return out
-
-    own = by_edits("len", lambda t: [key("len", i, *place("len", i, t + 1)) for i in range(t + 1)])
-    return own, f"concat({', '.join(by_edits(f'(len - {d})', lambda t, d=d: probed(d, t)) for d in range(p.edits + 1))})"
+    A line probes, for each length that a partner as long or shorter may have, that partner's segments at the places where
+    they can lie in it; its own length without a shift gives the keys of its own segments. A length that is allowed fewer
+    edits has fewer segments, and its places are among those of the most edits; what it does not need is null.
+    """
+    k = p.edits + 1
+    for d in range(k):
+        length = F.col("len") - d
+        lines = lines.withColumn(f"_l{d}", length).withColumn(f"_k{d}", F.when(length >= p.chars_per_edit, allowed(length, p) + 1).otherwise(0))
+    for d in range(k):
+        parts = F.greatest(f"_k{d}", F.lit(1))
+        lines = lines.withColumn(f"_b{d}", F.expr(f"_l{d} div greatest(_k{d}, 1)").cast("int")).withColumn(f"_e{d}", parts - F.col(f"_l{d}") % parts)
+    for d in range(k):
+        for i in range(k):
+            begin = F.col(f"_b{d}") * i + F.greatest(F.lit(0), F.lit(i) - F.col(f"_e{d}")) + 1
+            size = F.col(f"_b{d}") + F.when(F.col(f"_e{d}") <= i, 1).otherwise(0)
+            lines = lines.withColumn(f"_s{d}_{i}", begin).withColumn(f"_n{d}_{i}", size)
+    keys, own = [], []
+    for d in range(k):
+        for i in range(k):
+            for shift in range(max(-i, d - (p.edits - i)), min(i, d + (p.edits - i)) + 1):
+                if d == shift == 0:
+                    own.append(len(keys))
+                piece = F.substring(F.col("line"), F.col(f"_s{d}_{i}") + shift, F.col(f"_n{d}_{i}"))
+                keys.append(F.when(F.col(f"_k{d}") > i, F.xxhash64(f"_l{d}", F.lit(i), piece)))
+    names = [c for c in lines.columns if not c.startswith("_")]
+    return lines.select(*names, F.array(*keys).alias("keys")), own
 
 
 def allowed(shorter: Column, p: LineParams) -> Column:
@@ -180,47 +184,54 @@ def texts_at(rows: DataFrame, places: DataFrame) -> DataFrame:
     return fetched.select("doc_id", "line_no", F.get("_all", F.col("line_no")).alias("line")).distinct()
 
 
-def letter_counts(line: str) -> list[Column]:
-    """How often each of LETTERS occurs, in either case."""
-    return [(F.length(line) - F.length(F.translate(F.col(line), c + c.upper(), ""))).alias(f"n_{c}") for c in LETTERS]
+PAIR = ["doc_id", "line_no", "p_doc", "p_line"]
+#: Pairs of one key are made of a line that is listed there and any other; of two that are, in one direction.
+ONCE = "NOT p_own OR doc_id < p_doc OR (doc_id = p_doc AND line_no < p_line)"
 
 
-PAIR = ["doc_id", "line_no", "p_doc", "p_line"]
-#: The indexed line is shorter, or as long and earlier; so each pair is made in one direction.
-APART = "(p_len > len OR (p_len = len AND (p_doc > doc_id OR (p_doc = doc_id AND p_line > line_no))))"
+def bounded(keys: DataFrame, tag: str) -> DataFrame:
+    """Written keys, sent to every task while there are at most MAX_SENT, so that the lines stay where they are."""
+    stored = materialize(keys, tag)
+    return F.broadcast(stored) if stored.count() <= MAX_SENT else stored
 
 
-def shared_keys(keyed: DataFrame) -> DataFrame:
-    """keyed(doc_id, line_no, len, own, probes) -> doc_id, line_no, len, key, probe, long: the rows of keys on which lines meet.
+def meetings(keyed: DataFrame, own: list[int]) -> tuple[DataFrame, DataFrame]:
+    """keyed(lid, doc_id, line_no, len, keys) -> pairs of lines that are alone on a key, and the rows of keys with more lines.
 
-    Keys are counted first, combined before the shuffle; a line always meets itself, and keys that only do that are most of all.
+    Keys are counted first, combined before the shuffle: most belong to one line, and of two lines the smaller and the larger
+    number tell all. Only the keys with more lines are joined back: doc_id, line_no, len, key, own, long.
     """
-    sides = [keyed.select("doc_id", "line_no", "len", F.explode(c).alias("key"), F.lit(c == "probes").alias("probe")) for c in ("own", "probes")]
-    tagged = sides[0].unionByName(sides[1])
-    counts = tagged.groupBy("key").agg(F.count_if(~F.col("probe")).alias("_own"), F.count_if("probe").alias("_probing"))
-    counts = counts.where("_own > 0 AND _probing > 0 AND (_own > 1 OR _probing > 1)").select("key", (F.col("_own") * F.col("_probing") > LONG_LIST).alias("long"))
-    return materialize(tagged.join(materialize(counts, "key-counts"), "key"), "shared-keys")
+    listed = F.col("pos").isin(own)
+    rows = keyed.select("lid", F.posexplode("keys").alias("pos", "key")).where("key IS NOT NULL").select("lid", "key", listed.alias("own"))
+    counts = rows.groupBy("key").agg(F.count_if("own").alias("o"), F.count("*").alias("n"), F.min("lid").alias("x"), F.max("lid").alias("y"))
+    counts = materialize(counts.where("o > 0 AND x < y"), "key-counts")
+    names = keyed.select(F.col("lid").alias("x"), "doc_id", "line_no")
+    two = counts.where("n = 2").select("x", "y").distinct().join(names, "x")
+    two = two.join(names.select(F.col("x").alias("y"), F.col("doc_id").alias("p_doc"), F.col("line_no").alias("p_line")), "y").select(*PAIR)
+    more = counts.where("n > 2").select("key", (F.col("o") * F.col("n") > LONG_LIST).alias("long"))
+    every = keyed.select("doc_id", "line_no", "len", F.posexplode("keys").alias("pos", "key")).where("key IS NOT NULL").withColumn("own", listed).drop("pos")
+    return two, materialize(every.join(bounded(more, "more-keys"), "key").distinct(), "shared-keys")
 
 
-def _named(probing: DataFrame) -> DataFrame:
-    return probing.select(F.col("doc_id").alias("p_doc"), F.col("line_no").alias("p_line"), F.col("len").alias("p_len"), "key")
+def _named(rows: DataFrame) -> DataFrame:
+    return rows.select(F.col("doc_id").alias("p_doc"), F.col("line_no").alias("p_line"), F.col("own").alias("p_own"), "key")
 
 
-def first_candidates(shared: DataFrame) -> DataFrame:
+def first_candidates(two: DataFrame, shared: DataFrame) -> DataFrame:
     """Pairs (doc_id, line_no) and (p_doc, p_line): all of a short list; of a long one, each line with the earliest it can meet."""
-    listed, probing = shared.where("NOT probe").select("doc_id", "line_no", "len", "key", "long"), shared.where("probe")
-    few = listed.where("NOT long").join(_named(probing.where("NOT long")), "key").where(APART)
-    place = F.struct("doc_id", "line_no", "len")
-    heads = shared.where("long").groupBy("key").agg(F.min(F.when(~F.col("probe"), place)).alias("o"), F.min(F.when(F.col("probe"), place)).alias("p"))
-    heads = materialize(heads, "list-heads")
-    by_own = heads.select("key", "o.*").join(_named(probing.where("long")), "key").where("doc_id <> p_doc OR line_no <> p_line")
-    by_probe = listed.where("long").select("doc_id", "line_no", "len", "key").join(_named(heads.select("key", "p.*")), "key").where("doc_id <> p_doc OR line_no <> p_line")
-    return few.select(*PAIR).union(by_own.select(*PAIR)).union(by_probe.select(*PAIR)).distinct()
+    other = "(doc_id <> p_doc OR line_no <> p_line)"
+    short, long_ = shared.where("NOT long"), shared.where("long")
+    few = short.where("own").select("doc_id", "line_no", "key").join(_named(short), "key").where(f"{other} AND ({ONCE})")
+    place = F.struct("doc_id", "line_no")
+    heads = materialize(long_.groupBy("key").agg(F.min(F.when(F.col("own"), place)).alias("o"), F.min(place).alias("p")), "list-heads")
+    by_own = heads.select("key", "o.*").join(_named(long_), "key").where(other)
+    by_any = long_.where("own").select("doc_id", "line_no", "key").join(_named(heads.select("key", "p.*", F.lit(True).alias("own"))), "key").where(other)
+    return two.union(few.select(*PAIR)).union(by_own.select(*PAIR)).union(by_any.select(*PAIR)).distinct()
 
 
 def letter_counts(line: str) -> list[Column]:
     """How often each of LETTERS occurs, in either case."""
-    return [(F.length(line) - F.length(F.translate(F.col(line), c + c.upper(), ""))).alias(f"n_{c}") for c in LETTERS]
+    return [F.length(line) - F.length(F.translate(F.col(line), c + c.upper(), "")) for c in LETTERS]
 
 
 def open_candidates(rows: DataFrame, shared: DataFrame, removed: DataFrame, p: LineParams) -> DataFrame:
@@ -235,23 +246,18 @@ def open_candidates(rows: DataFrame, shared: DataFrame, removed: DataFrame, p: L
     lists = members.groupBy("key").agg(F.max(F.when(F.col("open"), place)).alias("_last"), F.min(place).alias("_first"), F.count("*").alias("_m"))
     lists = lists.where("_last > _first").select("key", F.ceil(F.col("_m") / PART).cast("int").alias("parts"))
     members = materialize(members.join(lists, "key"), "open-lists")
-    counted = materialize(texts_at(rows, members.select("doc_id", "line_no")).select("doc_id", "line_no", *letter_counts("line")), "letter-counts")
-    members = members.join(counted, ["doc_id", "line_no"])
-    counts = [f"n_{c}" for c in LETTERS]
+    counted = texts_at(rows, members.select("doc_id", "line_no")).select("doc_id", "line_no", F.array(*letter_counts("line")).alias("counts"))
+    members = materialize(members.join(counted, ["doc_id", "line_no"]), "open-members")
     part = F.pmod(F.xxhash64("doc_id", "line_no"), F.col("parts")).cast("int")
     every = F.explode(F.sequence(F.lit(0), F.col("parts") - 1))
-    theirs = [F.col("doc_id").alias("p_doc"), F.col("line_no").alias("p_line"), F.col("len").alias("p_len"), *[F.col(c).alias(f"p{c}") for c in counts]]
-    differ = sum((F.abs(F.col(c) - F.col(f"p{c}")) for c in counts), F.lit(0))
-
-    def pairs(left: DataFrame, right: DataFrame, later: str) -> DataFrame:
-        both = left.select("key", "part", "doc_id", "line_no", "len", *counts).join(right.select("key", "part", *theirs), ["key", "part"])
-        return both.where(F.expr(later) & F.expr(APART) & (differ <= 2 * allowed(F.col("len"), p))).select(*PAIR)
-
+    theirs = [F.col("doc_id").alias("p_doc"), F.col("line_no").alias("p_line"), F.col("len").alias("p_len"), F.col("own").alias("p_own"), F.col("counts").alias("p_counts")]
+    differ = sum((F.abs(F.col("counts")[k] - F.col("p_counts")[k]) for k in range(len(LETTERS))), F.lit(0))
     after = "(p_doc > doc_id OR (p_doc = doc_id AND p_line > line_no))"
-    own, probing = members.where("NOT probe"), members.where("probe")
-    by_probe = pairs(own.withColumn("part", every), probing.where("open").withColumn("part", part), after)
-    by_own = pairs(own.where("open").withColumn("part", part), probing.withColumn("part", every), f"NOT {after}")
-    return by_probe.union(by_own).distinct()
+    # the later line is open; one of both is listed under the key
+    left = members.select("key", "doc_id", "line_no", "len", "own", "counts", every.alias("part"))
+    right = members.where("open").select("key", part.alias("part"), *theirs)
+    limit = 2 * allowed(F.least("len", "p_len"), p)
+    return left.join(right, ["key", "part"]).where(F.expr(f"{after} AND (own OR p_own)") & (differ <= limit)).select(*PAIR).distinct()
 
 
 def later_lines(rows: DataFrame, pairs: DataFrame, p: LineParams, tag: str) -> DataFrame:
@@ -268,7 +274,6 @@ def later_lines(rows: DataFrame, pairs: DataFrame, p: LineParams, tag: str) -> D
 def removed_lines(docs: DataFrame, p: LineParams = PRODUCTION) -> DataFrame:
     """documents -> doc_id, line_no, near (false: equal to an earlier line, true: near an earlier one)."""
     rows = of_type(docs, {"doc_id": "long", "text": "string"})
-    own, probes = segment_keys(p)
     lines = lines_of(rows).withColumn("len", F.length("line")).withColumn("k1", F.xxhash64("line")).withColumn("k2", F.xxhash64(F.lit(1), "line"))
     occurrences = lines.select("k1", "k2", "doc_id", "line_no").distinct()
 
@@ -278,12 +283,11 @@ def removed_lines(docs: DataFrame, p: LineParams = PRODUCTION) -> DataFrame:
     equal = occurrences.join(repeated, ["k1", "k2"]).where("doc_id <> f.doc_id OR line_no <> f.line_no").select("doc_id", "line_no", F.lit(False).alias("near"))
 
     # near: keys of the different lines, at their first place
-    keyed = lines.where(F.col("len") >= p.chars_per_edit).select(
-        "k1", "k2", F.struct("doc_id", "line_no").alias("id"), "len", F.expr(own).alias("own"), F.expr(probes).alias("probes")
-    )
-    keyed = keyed.groupBy("k1", "k2").agg(F.min(F.struct("id", "len", "own", "probes")).alias("x")).select("x.id.doc_id", "x.id.line_no", "x.len", "x.own", "x.probes")
-    shared = shared_keys(materialize(keyed, "line-keys"))
-    near = later_lines(rows, first_candidates(shared), p, "first")
+    keyed, own = with_keys(lines.where(F.col("len") >= p.chars_per_edit), p)
+    keyed = keyed.select("k1", "k2", F.struct("doc_id", "line_no").alias("id"), "len", "keys")
+    keyed = keyed.groupBy("k1", "k2").agg(F.min(F.struct("id", "len", "keys")).alias("x")).select(F.monotonically_increasing_id().alias("lid"), "x.id.doc_id", "x.id.line_no", "x.len", "x.keys")
+    two, shared = meetings(materialize(keyed, "line-keys"), own)
+    near = later_lines(rows, first_candidates(two, shared), p, "first")
     if not shared.where("long").isEmpty():
         near = near.unionByName(later_lines(rows, open_candidates(rows, shared, near, p), p, "open"))
     return equal.unionByName(near.withColumn("near", F.lit(True)))
