@@ -120,7 +120,7 @@ def _signed(x: np.ndarray) -> np.ndarray:
 
 
 def shingle_sets(docs: DataFrame, p: JaccardParams) -> DataFrame:
-    """doc_id, n, sig (128 bits of the whole set), and in a batch's first row the shingles that it holds often."""
+    """doc_id, n, sig (128 bits of the whole set), its elements, and in a batch's first row the shingles that it holds often."""
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             sets = Shingler(p.shingle).sets(batch.column("text").to_pylist())
@@ -133,13 +133,27 @@ def shingle_sets(docs: DataFrame, p: JaccardParams) -> DataFrame:
             yield pa.RecordBatch.from_arrays(
                 [
                     batch.column("doc_id"), pa.array([len(s) for s in sets], pa.int64()),
-                    pa.array([xxhash.xxh3_128_digest(s.tobytes()) for s in sets], pa.binary()),
+                    pa.array([xxhash.xxh3_128_digest(s.tobytes()) for s in sets], pa.binary()), lists_of(sets),
                     pa.array(heavy, pa.list_(pa.int64())), pa.array(times, pa.list_(pa.int64())),
                 ],
-                ["doc_id", "n", "sig", "heavy", "times"],
+                ["doc_id", "n", "sig", "elements", "heavy", "times"],
             )
 
-    return docs.mapInArrow(run, "doc_id long, n long, sig binary, heavy array<long>, times array<long>")
+    return docs.mapInArrow(run, "doc_id long, n long, sig binary, elements array<long>, heavy array<long>, times array<long>")
+
+
+def lists_of(sets: list[np.ndarray]) -> pa.Array:
+    ends = np.concatenate([[0], np.cumsum([len(s) for s in sets])])
+    values = _signed(np.concatenate(sets)) if sets else np.zeros(0, np.int64)
+    return pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(values))
+
+
+def sets_in(batch: pa.RecordBatch) -> list[np.ndarray]:
+    """The sets of a batch of stored ones."""
+    column = batch.column("elements")
+    flat = column.flatten().to_numpy(zero_copy_only=False).view(np.uint64)
+    ends = np.cumsum(column.value_lengths().to_numpy(zero_copy_only=False))
+    return np.split(flat, ends[:-1]) if len(column) else []
 
 
 def boundary(sizes: dict[int, int], p: JaccardParams) -> int:
@@ -186,12 +200,12 @@ def subset_keys(values: np.ndarray, percent: int) -> list[tuple[int, int, int]]:
     return out
 
 
-def signatures(docs: DataFrame, heavy, bound: int, p: JaccardParams) -> DataFrame:
-    """doc_id, n, prefix (shingle hashes, rarest first), common (which of them are heavy), subsets."""
+def signatures(stored: DataFrame, heavy, bound: int, p: JaccardParams) -> DataFrame:
+    """stored(doc_id, elements) -> doc_id, n, prefix (shingle hashes, rarest first), common (which of them are heavy), subsets."""
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         known, rank = heavy.value
         for batch in batches:
-            sets = Shingler(p.shingle).sets(batch.column("text").to_pylist())
+            sets = sets_in(batch)
             prefix, common, subsets = [], [], []
             for s in sets:
                 n = len(s)
@@ -218,7 +232,7 @@ def signatures(docs: DataFrame, heavy, bound: int, p: JaccardParams) -> DataFram
                 ["doc_id", "n", "prefix", "common", "subsets"],
             )
 
-    return docs.mapInArrow(run, "doc_id long, n long, prefix array<long>, common array<boolean>, subsets array<struct<lo:long,hi:long,key:long>>")
+    return stored.mapInArrow(run, "doc_id long, n long, prefix array<long>, common array<boolean>, subsets array<struct<lo:long,hi:long,key:long>>")
 
 
 def small_edges(subsets: DataFrame) -> DataFrame:
@@ -251,7 +265,7 @@ def among(docs: DataFrame, ids: DataFrame) -> DataFrame:
     return hit.where(F.call_function("shiftright", byte, at % 8).bitwiseAND(F.lit(1)) == 1).select(*docs.columns)
 
 
-def plausible(pairs: DataFrame, docs: DataFrame, p: JaccardParams) -> DataFrame:
+def plausible(pairs: DataFrame, stored: DataFrame, p: JaccardParams) -> DataFrame:
     """pairs(a, b) without those that cannot link, by 16 bits of each shingle.
 
     Common shingles have common marks, and a set has as many shingles more than marks as it repeats marks; so common marks
@@ -262,11 +276,11 @@ def plausible(pairs: DataFrame, docs: DataFrame, p: JaccardParams) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            sets = Shingler(p.shingle).sets(batch.column("text").to_pylist())
+            sets = sets_in(batch)
             marks = [np.unique((s >> np.uint64(48)).astype(np.uint16)).view(np.int16) for s in sets]
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array([len(s) for s in sets], pa.int32()), pa.array(marks, pa.list_(pa.int16()))], ["doc_id", "n", "marks"])
 
-    marked = materialize(among(docs, ids).mapInArrow(run, "doc_id long, n int, marks array<short>"), "marks")
+    marked = materialize(among(stored, ids).mapInArrow(run, "doc_id long, n int, marks array<short>"), "marks")
     left = marked.select(F.col("doc_id").alias("a"), F.col("n").alias("n1"), F.col("marks").alias("x"))
     right = marked.select(F.col("doc_id").alias("b"), F.col("n").alias("n2"), F.col("marks").alias("y"))
     most = F.size(F.array_intersect("x", "y")) + F.least(F.col("n1") - F.size("x"), F.col("n2") - F.size("y"))
@@ -274,17 +288,11 @@ def plausible(pairs: DataFrame, docs: DataFrame, p: JaccardParams) -> DataFrame:
     return full.where(F.col("_most") * 100 >= (F.col("n1") + F.col("n2") - F.col("_most")) * p.percent).select("a", "b").distinct()
 
 
-def verified(pairs: DataFrame, docs: DataFrame, p: JaccardParams) -> DataFrame:
+def verified(pairs: DataFrame, stored: DataFrame, p: JaccardParams) -> DataFrame:
     """pairs(a, b) -> those that link, by their full sets."""
     pairs = materialize(pairs, "pairs")
     ids = pairs.select(F.col("a").alias("doc_id")).union(pairs.select("b")).distinct()
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            sets = Shingler(p.shingle).sets(batch.column("text").to_pylist())
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array([_signed(s) for s in sets], pa.list_(pa.int64()))], ["doc_id", "elements"])
-
-    sets = materialize(among(docs, ids).mapInArrow(run, "doc_id long, elements array<long>"), "sets")
+    sets = among(stored, ids)
     left = sets.select(F.col("doc_id").alias("a"), F.col("elements").alias("x"))
     right = sets.select(F.col("doc_id").alias("b"), F.col("elements").alias("y"))
     both = F.size(F.array_intersect("x", "y"))
@@ -305,6 +313,15 @@ def salted_pairs(members: DataFrame, key: list[str], fits: Column) -> DataFrame:
     return x.join(y, same & fits).select(*ends).distinct()
 
 
+def banded_pairs(members: DataFrame, p: JaccardParams, fits: Column) -> DataFrame:
+    """salted_pairs by list and size: sets that link lie in the same band of sizes or in neighbouring ones, and a band is
+    a little wider than the ratio of sizes that can link."""
+    band = F.floor(F.log(F.col("n")) / float(np.log(100 / p.percent) * (1 + 1e-9))).cast("int")
+    sized = members.withColumn("band", band)
+    # each pair in the upper of its two bands: a set stands in its own band and in the next one
+    return salted_pairs(sized.withColumn("at_band", F.explode(F.array("band", F.col("band") + 1))), ["h", "at_band"], fits & ((F.col("x.band") == F.col("x.at_band")) | (F.col("y.band") == F.col("x.at_band"))))
+
+
 def jaccard_components(docs: DataFrame, p: JaccardParams = PRODUCTION, every_link: bool = False) -> DataFrame:
     """documents -> doc_id, n_shingles, component_id (smallest doc_id reachable).
 
@@ -336,7 +353,8 @@ def _joined(docs: DataFrame, p: JaccardParams, every_link: bool) -> tuple[DataFr
     bound = boundary(sizes, p)
 
     reps = nodes.where("doc_id = rep").select("doc_id")
-    signed = materialize(signatures(rows.where("doc_id IS NOT NULL"), heavy, bound, p).where("n > 0").join(reps.hint("merge"), "doc_id", "left_semi"), "signatures")
+    stored = sets.where("doc_id IS NOT NULL AND n > 0").select("doc_id", "elements")
+    signed = materialize(signatures(stored, heavy, bound, p).join(reps.hint("merge"), "doc_id", "left_semi"), "signatures")
     few = signed.where("subsets IS NOT NULL").select("doc_id", "n", F.explode("subsets").alias("s")).select("doc_id", "n", "s.*").distinct()
     by_subset = small_edges(few).select(F.col("doc_id").alias("a"), F.col("other").alias("b"))
 
@@ -353,17 +371,17 @@ def _joined(docs: DataFrame, p: JaccardParams, every_link: bool) -> tuple[DataFr
     if every_link:
         x_n, y_n = F.col("x.n"), F.col("y.n")
         larger = _possible(x_n, F.col("x.at"), y_n, F.col("y.at"), p.percent) & (F.greatest(x_n, y_n) > bound)
-        pairs = salted_pairs(lists.select("h", "at", "doc_id", "n"), ["h"], larger)
+        pairs = banded_pairs(lists.select("h", "at", "doc_id", "n"), p, larger)
         smaller = (F.least(x_n, y_n) == F.col("x.lo")) & (F.greatest(x_n, y_n) == F.col("x.hi"))
         pairs = pairs.union(salted_pairs(few, ["lo", "hi", "key"], smaller)).distinct()
-        links = materialize(verified(plausible(pairs, rows, p), rows, p), "every-link")
+        links = materialize(verified(plausible(pairs, stored, p), stored, p), "every-link")
         copied = nodes.where("doc_id <> rep").select(F.col("doc_id").alias("a"), F.col("rep").alias("b"))
         return _labelled(sets, nodes, links, copied, every_link), links
 
     tried = lists.where(F.col("doc_id") != F.col("c.doc_id")).where(_possible(F.col("n"), F.col("at"), F.col("c.n"), F.col("c.at"), p.percent))
     tried = tried.select(F.least("doc_id", "c.doc_id").alias("a"), F.greatest("doc_id", "c.doc_id").alias("b")).distinct()
     tried = materialize(tried.union(by_subset.select(F.least("a", "b"), F.greatest("a", "b"))).distinct(), "stars")
-    first = materialize(verified(plausible(tried, rows, p), rows, p), "star-links")
+    first = materialize(verified(plausible(tried, stored, p), stored, p), "star-links")
     copied = nodes.where("doc_id <> rep").select(F.col("doc_id").alias("a"), F.col("rep").alias("b"))
     group = components(first)
 
@@ -372,11 +390,9 @@ def _joined(docs: DataFrame, p: JaccardParams, every_link: bool) -> tuple[DataFr
     split = lists.select("h", "at", "doc_id", "n").join(of, "doc_id", "left").withColumn("component", F.coalesce("component", "doc_id"))
     open_ = split.groupBy("h").agg(F.min("component").alias("_lo"), F.max("component").alias("_hi")).where("_lo <> _hi").select("h")
     rest = split.join(open_, "h", "left_semi")
-    x, y = rest.alias("x"), rest.alias("y")
-    apart = (F.col("x.h") == F.col("y.h")) & (F.col("x.doc_id") < F.col("y.doc_id")) & (F.col("x.component") != F.col("y.component"))
-    fits = _possible(F.col("x.n"), F.col("x.at"), F.col("y.n"), F.col("y.at"), p.percent) & (F.greatest("x.n", "y.n") > bound)
-    more = x.join(y, apart & fits).select(F.col("x.doc_id").alias("a"), F.col("y.doc_id").alias("b")).distinct().join(tried, ["a", "b"], "left_anti")
-    second = materialize(verified(plausible(more, rows, p), rows, p), "more-links")
+    fits = (F.col("x.component") != F.col("y.component")) & _possible(F.col("x.n"), F.col("x.at"), F.col("y.n"), F.col("y.at"), p.percent) & (F.greatest("x.n", "y.n") > bound)
+    more = banded_pairs(rest, p, fits).join(tried, ["a", "b"], "left_anti")
+    second = materialize(verified(plausible(more, stored, p), stored, p), "more-links")
 
     links = first.union(second).distinct()
     return _labelled(sets, nodes, links, copied, every_link), links
