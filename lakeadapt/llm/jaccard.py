@@ -11,7 +11,7 @@ passages stay out of the prefixes; a list first tries its most central member ag
 are still in different components afterwards are paired. The boundary is where the summed cost of both ways, from the
 count of sets of each size, is least.
 
-The order by rarity uses shingles found often within an Arrow batch, at most `heavy_max` of them, counted over all
+The order by rarity uses shingles found often within some thousand texts, at most `heavy_max` of them, counted over all
 documents; any fixed order gives the same, exact, result, so this bound costs no links. Every candidate is verified on
 full sets of 64-bit shingle hashes.
 
@@ -35,7 +35,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from lakeadapt.llm.common import components, materialize, of_type
+from lakeadapt.llm.common import components, materialize, of_type, sliced
 
 
 @dataclass(frozen=True)
@@ -43,7 +43,7 @@ class JaccardParams:
     shingle: int = 4
     percent: int = 85
     heavy_max: int = 1 << 17
-    heavy_in_batch: int = 4
+    heavy_in_batch: int = 3
     largest_boundary: int = 24
     #: In subset keys, which are counted and joined: a posting is shuffled, sorted and joined, and brings whole sets to compare.
     posting_cost: float = 6.0
@@ -122,7 +122,7 @@ def _signed(x: np.ndarray) -> np.ndarray:
 def shingle_sets(docs: DataFrame, p: JaccardParams) -> DataFrame:
     """doc_id, n, sig (128 bits of the whole set), its elements, and in a batch's first row the shingles that it holds often."""
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in sliced(batches, 5 * SLICE):
             sets = Shingler(p.shingle).sets(batch.column("text").to_pylist())
             heavy: list = [None] * len(sets)
             times: list = [None] * len(sets)
@@ -204,7 +204,7 @@ def signatures(stored: DataFrame, heavy, bound: int, p: JaccardParams) -> DataFr
     """stored(doc_id, elements) -> doc_id, n, prefix (shingle hashes, rarest first), common (which of them are heavy), subsets."""
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         known, rank = heavy.value
-        for batch in batches:
+        for batch in sliced(batches):
             sets = sets_in(batch)
             prefix, common, subsets = [], [], []
             for s in sets:
@@ -275,7 +275,7 @@ def plausible(pairs: DataFrame, stored: DataFrame, p: JaccardParams) -> DataFram
     ids = pairs.select(F.col("a").alias("doc_id")).union(pairs.select("b")).distinct()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in sliced(batches):
             sets = sets_in(batch)
             marks = [np.unique((s >> np.uint64(48)).astype(np.uint16)).view(np.int16) for s in sets]
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array([len(s) for s in sets], pa.int32()), pa.array(marks, pa.list_(pa.int16()))], ["doc_id", "n", "marks"])
