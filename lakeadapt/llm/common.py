@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import gc
 import tempfile
 import uuid
 from collections.abc import Iterator
@@ -66,7 +67,19 @@ def scratch(spark: SparkSession, tag: str) -> Iterator[None]:
 def store(df: DataFrame, path: str) -> DataFrame:
     """Write df to path and read it back."""
     df.write.option("compression", "zstd").parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    out = df.sparkSession.read.schema(df.schema).parquet(path)
+    out._stored_at = path
+    return out
+
+
+def discard(*tables: DataFrame) -> None:
+    """Delete intermediate tables that nothing will read again, and let go of finished shuffles: executors delete their
+    files once the driver has collected what refers to them."""
+    for t in tables:
+        path, files = _path(t.sparkSession, t._stored_at)
+        files.delete(path, True)
+    gc.collect()
+    tables[0].sparkSession.sparkContext._jvm.System.gc()
 
 
 def materialize(df: DataFrame, tag: str) -> DataFrame:

@@ -11,7 +11,7 @@ passages stay out of the prefixes; a list first tries its most central member ag
 are still in different components afterwards are paired. The boundary is where the summed cost of both ways, from the
 count of sets of each size, is least.
 
-The order by rarity uses shingles found often within some thousand texts, at most `heavy_max` of them, counted over all
+The order by rarity uses shingles found often within an Arrow batch, at most `heavy_max` of them, counted over all
 documents; any fixed order gives the same, exact, result, so this bound costs no links. Every candidate is verified on
 full sets of 64-bit shingle hashes.
 
@@ -35,7 +35,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from lakeadapt.llm.common import components, materialize, of_type, sliced
+from lakeadapt.llm.common import components, discard, materialize, of_type, sliced
 
 
 @dataclass(frozen=True)
@@ -43,7 +43,7 @@ class JaccardParams:
     shingle: int = 4
     percent: int = 85
     heavy_max: int = 1 << 17
-    heavy_in_batch: int = 3
+    heavy_in_batch: int = 4
     largest_boundary: int = 24
     #: In subset keys, which are counted and joined: a posting is shuffled, sorted and joined, and brings whole sets to compare.
     posting_cost: float = 6.0
@@ -51,7 +51,7 @@ class JaccardParams:
 
 PRODUCTION = JaccardParams()
 #: Texts that are cut into words together.
-SLICE = 500
+SLICE = 250
 #: Bits of the map that keeps texts of no candidate from being cut into shingles again: 8 MB.
 BITS = 1 << 26
 #: Members of a key that are paired in one part.
@@ -120,40 +120,33 @@ def _signed(x: np.ndarray) -> np.ndarray:
 
 
 def shingle_sets(docs: DataFrame, p: JaccardParams) -> DataFrame:
-    """doc_id, n, sig (128 bits of the whole set), its elements, and in a batch's first row the shingles that it holds often."""
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in sliced(batches, 5 * SLICE):
-            sets = Shingler(p.shingle).sets(batch.column("text").to_pylist())
-            heavy: list = [None] * len(sets)
-            times: list = [None] * len(sets)
-            if sets:
-                values, counts = np.unique(np.concatenate(sets), return_counts=True)
-                often = counts >= p.heavy_in_batch
-                heavy[0], times[0] = _signed(values[often]), counts[often]
-            yield pa.RecordBatch.from_arrays(
-                [
-                    batch.column("doc_id"), pa.array([len(s) for s in sets], pa.int64()),
-                    pa.array([xxhash.xxh3_128_digest(s.tobytes()) for s in sets], pa.binary()), lists_of(sets),
-                    pa.array(heavy, pa.list_(pa.int64())), pa.array(times, pa.list_(pa.int64())),
-                ],
-                ["doc_id", "n", "sig", "elements", "heavy", "times"],
-            )
-
-    return docs.mapInArrow(run, "doc_id long, n long, sig binary, elements array<long>, heavy array<long>, times array<long>")
+    """doc_id, n, sig (128 bits of the whole set); and a row of n = -1 per Arrow batch: the shingles that the batch holds often."""
+    names = ["doc_id", "n", "sig", "heavy", "times"]
 
-
-def lists_of(sets: list[np.ndarray]) -> pa.Array:
-    ends = np.concatenate([[0], np.cumsum([len(s) for s in sets])])
-    values = _signed(np.concatenate(sets)) if sets else np.zeros(0, np.int64)
-    return pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(values))
-
-
-def sets_in(batch: pa.RecordBatch) -> list[np.ndarray]:
-    """The sets of a batch of stored ones."""
-    column = batch.column("elements")
-    flat = column.flatten().to_numpy(zero_copy_only=False).view(np.uint64)
-    ends = np.cumsum(column.value_lengths().to_numpy(zero_copy_only=False))
-    return np.split(flat, ends[:-1]) if len(column) else []
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        none = lambda n: pa.nulls(n, pa.list_(pa.int64()))
+        for batch in batches:
+            every = []
+            for part in sliced([batch]):
+                sets = Shingler(p.shingle).sets(part.column("text").to_pylist())
+                sigs = pa.array([xxhash.xxh3_128_digest(s.tobytes()) for s in sets], pa.binary())
+                yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array([len(s) for s in sets], pa.int64()), sigs, none(len(sets)), none(len(sets))], names)
+                every.append(np.concatenate(sets))
+            values = np.concatenate(every) if every else np.zeros(0, np.uint64)
+            del every
+            values.sort()
+            starts = np.flatnonzero(np.concatenate([np.ones(min(1, len(values)), bool), values[1:] != values[:-1]]))
+            counts = np.diff(np.append(starts, len(values)))
+            often = counts >= p.heavy_in_batch
+            found = [pa.array([x.tolist()], pa.list_(pa.int64())) for x in (_signed(values[starts[often]]), counts[often])]
+            yield pa.RecordBatch.from_arrays([pa.nulls(1, pa.int64()), pa.array([-1], pa.int64()), pa.nulls(1, pa.binary()), *found], names)
+
+    return docs.mapInArrow(run, "doc_id long, n long, sig binary, heavy array<long>, times array<long>")
+
+
+def sets_in(column: pa.Array) -> list[np.ndarray]:
+    """Stored sets: ascending hashes, end to end."""
+    return [np.frombuffer(x, np.uint64) for x in column.to_pylist()]
 
 
 def boundary(sizes: dict[int, int], p: JaccardParams) -> int:
@@ -200,12 +193,12 @@ def subset_keys(values: np.ndarray, percent: int) -> list[tuple[int, int, int]]:
     return out
 
 
-def signatures(stored: DataFrame, heavy, bound: int, p: JaccardParams) -> DataFrame:
-    """stored(doc_id, elements) -> doc_id, n, prefix (shingle hashes, rarest first), common (which of them are heavy), subsets."""
+def signatures(docs: DataFrame, heavy, bound: int, p: JaccardParams) -> DataFrame:
+    """docs(doc_id, text) -> doc_id, n, prefix (shingle hashes, rarest first), common (which of them are heavy), subsets."""
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         known, rank = heavy.value
         for batch in sliced(batches):
-            sets = sets_in(batch)
+            sets = Shingler(p.shingle).sets(batch.column("text").to_pylist())
             prefix, common, subsets = [], [], []
             for s in sets:
                 n = len(s)
@@ -232,7 +225,7 @@ def signatures(stored: DataFrame, heavy, bound: int, p: JaccardParams) -> DataFr
                 ["doc_id", "n", "prefix", "common", "subsets"],
             )
 
-    return stored.mapInArrow(run, "doc_id long, n long, prefix array<long>, common array<boolean>, subsets array<struct<lo:long,hi:long,key:long>>")
+    return docs.mapInArrow(run, "doc_id long, n long, prefix array<long>, common array<boolean>, subsets array<struct<lo:long,hi:long,key:long>>")
 
 
 def small_edges(subsets: DataFrame) -> DataFrame:
@@ -265,39 +258,56 @@ def among(docs: DataFrame, ids: DataFrame) -> DataFrame:
     return hit.where(F.call_function("shiftright", byte, at % 8).bitwiseAND(F.lit(1)) == 1).select(*docs.columns)
 
 
-def plausible(pairs: DataFrame, stored: DataFrame, p: JaccardParams) -> DataFrame:
+def plausible(pairs: DataFrame, docs: DataFrame, p: JaccardParams) -> DataFrame:
     """pairs(a, b) without those that cannot link, by 16 bits of each shingle.
 
     Common shingles have common marks, and a set has as many shingles more than marks as it repeats marks; so common marks
     plus the smaller of these surpluses bound the overlap from above, and no link is lost.
     """
-    pairs = materialize(pairs, "open-pairs")
     ids = pairs.select(F.col("a").alias("doc_id")).union(pairs.select("b")).distinct()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in sliced(batches):
-            sets = sets_in(batch)
+            sets = Shingler(p.shingle).sets(batch.column("text").to_pylist())
             marks = [np.unique((s >> np.uint64(48)).astype(np.uint16)).view(np.int16) for s in sets]
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array([len(s) for s in sets], pa.int32()), pa.array(marks, pa.list_(pa.int16()))], ["doc_id", "n", "marks"])
 
-    marked = materialize(among(stored, ids).mapInArrow(run, "doc_id long, n int, marks array<short>"), "marks")
+    marked = materialize(among(docs, ids).mapInArrow(run, "doc_id long, n int, marks array<short>"), "marks")
     left = marked.select(F.col("doc_id").alias("a"), F.col("n").alias("n1"), F.col("marks").alias("x"))
     right = marked.select(F.col("doc_id").alias("b"), F.col("n").alias("n2"), F.col("marks").alias("y"))
     most = F.size(F.array_intersect("x", "y")) + F.least(F.col("n1") - F.size("x"), F.col("n2") - F.size("y"))
     full = pairs.hint("merge").join(left, "a").hint("merge").join(right, "b").withColumn("_most", most)
-    return full.where(F.col("_most") * 100 >= (F.col("n1") + F.col("n2") - F.col("_most")) * p.percent).select("a", "b").distinct()
+    out = materialize(full.where(F.col("_most") * 100 >= (F.col("n1") + F.col("n2") - F.col("_most")) * p.percent).select("a", "b").distinct(), "pairs")
+    discard(marked)
+    return out
 
 
-def verified(pairs: DataFrame, stored: DataFrame, p: JaccardParams) -> DataFrame:
+def linking(pairs: DataFrame, docs: DataFrame, p: JaccardParams, tag: str) -> DataFrame:
     """pairs(a, b) -> those that link, by their full sets."""
-    pairs = materialize(pairs, "pairs")
+    all_ = materialize(pairs, "open-pairs")
+    pairs = plausible(all_, docs, p)
     ids = pairs.select(F.col("a").alias("doc_id")).union(pairs.select("b")).distinct()
-    sets = among(stored, ids)
+
+    def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in sliced(batches):
+            sets = Shingler(p.shingle).sets(batch.column("text").to_pylist())
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array([s.tobytes() for s in sets], pa.binary())], ["doc_id", "elements"])
+
+    sets = materialize(among(docs, ids).mapInArrow(cut, "doc_id long, elements binary"), "sets")
     left = sets.select(F.col("doc_id").alias("a"), F.col("elements").alias("x"))
     right = sets.select(F.col("doc_id").alias("b"), F.col("elements").alias("y"))
-    both = F.size(F.array_intersect("x", "y"))
-    full = pairs.hint("merge").join(left, "a").hint("merge").join(right, "b").withColumn("_both", both)
-    return full.where(F.col("_both") * 100 >= (F.size("x") + F.size("y") - F.col("_both")) * p.percent).select("a", "b").distinct()
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in sliced(batches):
+            both = zip(sets_in(batch.column("x")), sets_in(batch.column("y")))
+            shared = [(len(np.intersect1d(x, y, assume_unique=True)), len(x) + len(y)) for x, y in both]
+            keep = [100 * n >= p.percent * (total - n) for n, total in shared]
+            yield batch.select(["a", "b"]).filter(pa.array(keep, pa.bool_()))
+
+    full = pairs.hint("merge").join(left, "a").hint("merge").join(right, "b").select("a", "b", "x", "y")
+    links = materialize(full.mapInArrow(run, "a long, b long").distinct(), tag)
+    discard(all_, pairs, sets)
+    return links
 
 
 def salted_pairs(members: DataFrame, key: list[str], fits: Column) -> DataFrame:
@@ -353,8 +363,8 @@ def _joined(docs: DataFrame, p: JaccardParams, every_link: bool) -> tuple[DataFr
     bound = boundary(sizes, p)
 
     reps = nodes.where("doc_id = rep").select("doc_id")
-    stored = sets.where("doc_id IS NOT NULL AND n > 0").select("doc_id", "elements")
-    signed = materialize(signatures(stored, heavy, bound, p).join(reps.hint("merge"), "doc_id", "left_semi"), "signatures")
+    texts = rows.where("doc_id IS NOT NULL")
+    signed = materialize(signatures(texts, heavy, bound, p).where("n > 0").join(reps.hint("merge"), "doc_id", "left_semi"), "signatures")
     few = signed.where("subsets IS NOT NULL").select("doc_id", "n", F.explode("subsets").alias("s")).select("doc_id", "n", "s.*").distinct()
     by_subset = small_edges(few).select(F.col("doc_id").alias("a"), F.col("other").alias("b"))
 
@@ -374,14 +384,15 @@ def _joined(docs: DataFrame, p: JaccardParams, every_link: bool) -> tuple[DataFr
         pairs = banded_pairs(lists.select("h", "at", "doc_id", "n"), p, larger)
         smaller = (F.least(x_n, y_n) == F.col("x.lo")) & (F.greatest(x_n, y_n) == F.col("x.hi"))
         pairs = pairs.union(salted_pairs(few, ["lo", "hi", "key"], smaller)).distinct()
-        links = materialize(verified(plausible(pairs, stored, p), stored, p), "every-link")
+        links = linking(pairs, texts, p, "every-link")
         copied = nodes.where("doc_id <> rep").select(F.col("doc_id").alias("a"), F.col("rep").alias("b"))
         return _labelled(sets, nodes, links, copied, every_link), links
 
     tried = lists.where(F.col("doc_id") != F.col("c.doc_id")).where(_possible(F.col("n"), F.col("at"), F.col("c.n"), F.col("c.at"), p.percent))
     tried = tried.select(F.least("doc_id", "c.doc_id").alias("a"), F.greatest("doc_id", "c.doc_id").alias("b")).distinct()
     tried = materialize(tried.union(by_subset.select(F.least("a", "b"), F.greatest("a", "b"))).distinct(), "stars")
-    first = materialize(verified(plausible(tried, stored, p), stored, p), "star-links")
+    discard(signed)
+    first = linking(tried, texts, p, "star-links")
     copied = nodes.where("doc_id <> rep").select(F.col("doc_id").alias("a"), F.col("rep").alias("b"))
     group = components(first)
 
@@ -392,7 +403,7 @@ def _joined(docs: DataFrame, p: JaccardParams, every_link: bool) -> tuple[DataFr
     rest = split.join(open_, "h", "left_semi")
     fits = (F.col("x.component") != F.col("y.component")) & _possible(F.col("x.n"), F.col("x.at"), F.col("y.n"), F.col("y.at"), p.percent) & (F.greatest("x.n", "y.n") > bound)
     more = banded_pairs(rest, p, fits).join(tried, ["a", "b"], "left_anti")
-    second = materialize(verified(plausible(more, stored, p), stored, p), "more-links")
+    second = linking(more, texts, p, "more-links")
 
     links = first.union(second).distinct()
     return _labelled(sets, nodes, links, copied, every_link), links
@@ -400,7 +411,7 @@ def _joined(docs: DataFrame, p: JaccardParams, every_link: bool) -> tuple[DataFr
 
 def _labelled(sets: DataFrame, nodes: DataFrame, links: DataFrame, copied: DataFrame, every_link: bool) -> DataFrame:
     whole = components(links.union(copied)).select(F.col("node").alias("doc_id"), "component")
-    out = sets.select("doc_id", F.col("n").alias("n_shingles")).join(whole, "doc_id", "left")
+    out = sets.where("n >= 0").select("doc_id", F.col("n").alias("n_shingles")).join(whole, "doc_id", "left")
     columns = ["doc_id", "n_shingles", F.coalesce("component", "doc_id").alias("component_id")]
     if every_link:
         both = links.select(F.col("a").alias("rep"), F.col("b").alias("other")).union(links.select("b", "a"))
