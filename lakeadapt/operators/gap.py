@@ -5,11 +5,12 @@ from __future__ import annotations
 from collections.abc import Callable, Iterable, Iterator
 
 import pandas as pd
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from lakeadapt.functions.draws import smallest, uniform
 from lakeadapt.sources.catalog import KNOWLEDGE
+from lakeadapt.sources.lake import for_prompt
 
 ANSWERS = ("yes", "no", "unknown")
 
@@ -32,11 +33,11 @@ def delta_sweep(scored: DataFrame, grid: Iterable[float], n: int, seed: str) ->
 
 
 def prompt(types: Iterable[str], cells: str, label: str) -> Column:
-    """Instruction, type list, joined cells, proposed type."""
+    """Instruction, type list, as many cells as a prompt holds, proposed type."""
     listed = ", ".join(sorted(types))
     return F.concat(
         F.lit(f"You check a proposed type for a table column. Reply with one word: yes, no or unknown.\nTypes: {listed}\nValues: "),
-        F.array_join(cells, "; "), F.lit("\nProposed: "), F.col(label),
+        F.array_join(for_prompt(cells), "; "), F.lit("\nProposed: "), F.col(label),
     )
 
 
@@ -46,24 +47,24 @@ def parse_answer(text: str) -> Column:
     return F.when(word.rlike(r"^yes\b"), "yes").when(word.rlike(r"^no\b"), "no").otherwise("unknown")
 
 
-def knowledge_table(spark: SparkSession) -> DataFrame:
-    return spark.createDataFrame(list(KNOWLEDGE), "type_name string, pattern string, min_share double")
+def knowledge_judge(columns: DataFrame, label: str = "pred", knowledge: Iterable[tuple[str, str, float]] = KNOWLEDGE) -> DataFrame:
+    """Generic knowledge: yes if the label's pattern covers the cells, no if it does not or another type's does, else unknown.
 
+    The patterns are a fixed, short list, so each is an expression over the row's own cells: no shuffle.
+    """
+    names, fits = [], []
+    for name, pattern, least in knowledge:
+        hits = F.size(F.filter("cells", _matching(pattern)))
+        names.append(F.lit(name))
+        fits.append(F.when((F.size("cells") > 0) & (hits / F.greatest(F.size("cells"), F.lit(1)) >= least), F.lit(name)))
+    fitting = F.array_compact(F.array(*fits))
+    known = F.array_contains(F.array(*names), F.col(label))
+    decided = F.when(F.array_contains("_fitting", F.col(label)), "yes").when(known | (F.size("_fitting") > 0), "no").otherwise("unknown")
+    return columns.withColumn("_fitting", fitting).withColumn("decision", decided).drop("_fitting")
 
-def knowledge_judge(columns: DataFrame, label: str = "pred", kb: DataFrame | None = None) -> DataFrame:
-    """Generic knowledge: yes if the label's pattern covers the cells, no if it does not or another type's does, else unknown."""
-    kb = knowledge_table(columns.sparkSession) if kb is None else kb
-    cells = columns.select("column_id", F.col(label).alias("_label"), F.explode_outer("cells").alias("cell"))
-    tested = cells.crossJoin(F.broadcast(kb))  # the knowledge table is fixed and small
-    share = F.avg(F.when(F.rlike(F.coalesce(F.col("cell"), F.lit("")), F.col("pattern")), 1.0).otherwise(0.0))
-    fits = tested.groupBy("column_id", "_label", "type_name", "min_share").agg(share.alias("share")).withColumn("ok", F.col("share") >= F.col("min_share"))
-    verdict = fits.groupBy("column_id", "_label").agg(
-        F.bool_or((F.col("type_name") == F.col("_label")) & F.col("ok")).alias("mine"),
-        F.bool_or(F.col("type_name") == F.col("_label")).alias("known"),
-        F.bool_or((F.col("type_name") != F.col("_label")) & F.col("ok")).alias("other"),
-    )
-    decision = F.when(F.col("mine"), "yes").when(F.col("known") | F.col("other"), "no").otherwise("unknown")
-    return columns.join(verdict.select("column_id", decision.alias("decision")), "column_id")
+
+def _matching(pattern: str):
+    return lambda c: F.rlike(c, F.lit(pattern))
 
 
 def noisy_judge(columns: DataFrame, accuracy: float, abstain: float, seed: str, label: str = "pred", truth: str = "type_name") -> DataFrame:

@@ -64,9 +64,11 @@ def judge_quality(judged: DataFrame) -> DataFrame:
     )
 
 
-def silhouette_exact(rows: DataFrame, distance: str = "euclidean") -> DataFrame:
-    """rows(column_id, cluster, hidden): mean silhouette from all pairs. For exact checks on a stated, small set of rows
-    only; `silhouette_fast` is the form for lakes."""
+def silhouette_exact(rows: DataFrame, distance: str = "euclidean", most: int = 20_000) -> DataFrame:
+    """rows(column_id, cluster, hidden): mean silhouette from all pairs, for at most `most` rows; `silhouette_fast` is the
+    form for lakes."""
+    if (n := rows.count()) > most:
+        raise ValueError(f"all pairs of {n} rows: use silhouette_fast")
     a, b = rows.alias("a"), rows.alias("b")
     d = F.sqrt(squared_distance("a.hidden", "b.hidden")) if distance == "euclidean" else 1 - cosine("a.hidden", "b.hidden")
     pairs = a.crossJoin(b).where("a.column_id <> b.column_id")

@@ -11,16 +11,19 @@ from lakeadapt.functions.vectors import mean_by, squared_distance
 
 
 def lloyd(columns: DataFrame, k: int, rounds: int, seed: str) -> DataFrame:
-    """columns(column_id, hidden) -> column_id, cluster. k x m numbers reach the driver each round, never the columns."""
+    """columns(column_id, hidden) -> column_id, cluster. k x m numbers reach the driver each round, never the columns.
+
+    The centres go to every row as one array of k vectors, and the nearest is found in the row: nothing is shuffled but the
+    partial sums of k x m means.
+    """
     spark = columns.sparkSession
     seeds = smallest(columns.select("column_id", "hidden"), k, seed, "column_id").collect()
-    seeds = [r["hidden"] for r in sorted(seeds, key=lambda r: r["column_id"])]
-    centres = dict(enumerate(seeds))
+    centres = dict(enumerate(r["hidden"] for r in sorted(seeds, key=lambda r: r["column_id"])))
 
     def assign() -> DataFrame:
-        rows = F.broadcast(spark.createDataFrame([(c, v) for c, v in centres.items()], "cluster int, centre array<double>"))
-        far = columns.select("column_id", "hidden").crossJoin(rows).withColumn("d", F.round(squared_distance("hidden", "centre"), 9))
-        return far.groupBy("column_id").agg(F.min(F.struct("d", "cluster")).alias("m"), F.first("hidden").alias("hidden")).select("column_id", F.col("m.cluster").alias("cluster"), "hidden")
+        rows = spark.createDataFrame([([(c, list(v)) for c, v in centres.items()],)], "_centres array<struct<cluster:int,centre:array<double>>>")  # k x m numbers
+        far = F.transform("_centres", lambda c: F.struct(F.round(squared_distance("hidden", c["centre"]), 9).alias("d"), c["cluster"].alias("cluster")))
+        return columns.select("column_id", "hidden").crossJoin(F.broadcast(rows)).select("column_id", F.array_min(far)["cluster"].alias("cluster"), "hidden")
 
     for _ in range(rounds - 1):
         for r in mean_by(assign(), ["cluster"], "hidden", "centre").collect():

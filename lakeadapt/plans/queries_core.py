@@ -155,13 +155,13 @@ _LOSSES = [0.9, 0.8, 0.8, 0.7, 0.75, 0.71, 0.69, 0.7, 0.69, 0.72, 0.7, 0.75]
 _vals = lambda rows: ", ".join(str(r) if isinstance(r, tuple) and len(r) > 1 else f"({r})" for r in rows)
 add("budget_ledger", lambda s, d: weak.ledger(s.createDataFrame(_SIZES, "iter long, size long"), 100), f"""SELECT CAST(iter AS BIGINT) AS iter, CAST(size AS BIGINT) AS size, CAST(least(w, 100) - least(w - size, 100) AS BIGINT) AS paid, CAST(least(w, 100) AS BIGINT) AS spent, CAST(100 - least(w, 100) AS BIGINT) AS "left"
     FROM (SELECT *, sum(size) OVER (ORDER BY iter) AS w FROM (VALUES {_vals(_SIZES)}) AS x(iter, size))""")
-_TRACE = "SELECT CAST(vec_id % 7 AS BIGINT) AS iter, CAST(vec_id AS VARCHAR) AS column_id FROM embeddings WHERE vec_id < 200"
-add("replay_sets", lambda s, d: weak.replay(table(s, d, "embeddings").where("vec_id < 200").select((F.col("vec_id") % 7).alias("iter"), F.col("vec_id").cast("string").alias("column_id"))), f"WITH t AS ({_TRACE}) SELECT l.iter AS iter, count(DISTINCT t.column_id) AS n FROM t JOIN (SELECT DISTINCT iter FROM t) l ON t.iter <= l.iter GROUP BY l.iter")
+_TRACE = "SELECT CAST(vec_id % 7 AS BIGINT) AS iter, CAST(vec_id AS VARCHAR) AS column_id FROM embeddings"
+add("replay_sets", lambda s, d: weak.replay(table(s, d, "embeddings").select((F.col("vec_id") % 7).alias("iter"), F.col("vec_id").cast("string").alias("column_id"))), f"WITH t AS ({_TRACE}) SELECT l.iter AS iter, count(DISTINCT t.column_id) AS n FROM t JOIN (SELECT DISTINCT iter FROM t) l ON t.iter <= l.iter GROUP BY l.iter")
 add("early_stop_trace", lambda s, d: weak.stop_trace(s.createDataFrame(list(enumerate(_LOSSES, 1)), "iter long, loss double"), 5), f"""WITH l AS (SELECT CAST(iter AS BIGINT) AS iter, CAST(loss AS DOUBLE) AS loss FROM (VALUES {_vals(list(enumerate(_LOSSES, 1)))}) AS x(iter, loss)),
     m AS (SELECT *, coalesce(loss < min(loss) OVER (ORDER BY iter ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), true) AS improved FROM l),
     b AS (SELECT *, max(CASE WHEN improved THEN iter END) OVER (ORDER BY iter) AS best FROM m)
     SELECT iter, loss, improved, best, iter - best AS alpha, coalesce(iter >= (SELECT min(iter) FROM b WHERE iter - best >= 5), false) AS stopped FROM b""")
-add("early_stop_long", lambda s, d: weak.stop_trace(table(s, d, "orders").where("o_orderkey < 400").groupBy((F.col("o_orderkey") % 60).alias("iter")).agg(F.round(F.avg("o_totalprice"), 6).alias("loss")), 4).select("iter", "best", "alpha", "stopped"), """WITH m AS (SELECT o_orderkey % 60 AS iter, round(avg(o_totalprice), 6) AS loss FROM orders WHERE o_orderkey < 400 GROUP BY 1),
+add("early_stop_long", lambda s, d: weak.stop_trace(table(s, d, "orders").groupBy((F.col("o_orderkey") % 60).alias("iter")).agg(F.round(F.avg("o_totalprice"), 6).alias("loss")), 4).select("iter", "best", "alpha", "stopped"), """WITH m AS (SELECT o_orderkey % 60 AS iter, round(avg(o_totalprice), 6) AS loss FROM orders GROUP BY 1),
     f AS (SELECT *, coalesce(loss < min(loss) OVER (ORDER BY iter ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), true) AS improved FROM m), b AS (SELECT *, max(CASE WHEN improved THEN iter END) OVER (ORDER BY iter) AS best FROM f)
     SELECT iter, best, iter - best AS alpha, coalesce(iter >= (SELECT min(iter) FROM b WHERE iter - best >= 4), false) AS stopped FROM b""")
 
@@ -215,7 +215,7 @@ add("ma_f1", lambda s, d: metrics.ma_f1(metrics.per_type(confused(s, d)), _ten(s
 add("ood_rate", lambda s, d: metrics.ood_rate(confused(s, d), _ten(s)), f"SELECT round(avg(CASE WHEN pred = 'elsewhere' THEN 1.0 ELSE 0.0 END), 6) AS ood_rate, count(*) AS n FROM ({_CONF})")
 add("long_tail", lambda s, d: metrics.long_tail(metrics.per_type(confused(s, d))), _PER + "SELECT CAST(bucket AS INTEGER) AS bucket, round(avg(f1), 6) AS ma_f1, CAST(sum(support) AS BIGINT) AS support, count(*) AS n_types FROM (SELECT *, ntile(3) OVER (ORDER BY support, type_name) AS bucket FROM p WHERE support > 0) GROUP BY bucket")
 add("confusion_pivot", lambda s, d: confused(s, d).groupBy("type_name").pivot("pred", ["t0", "t1", "elsewhere"]).count().na.fill(0), f"SELECT type_name, count(*) FILTER (pred = 't0') AS t0, count(*) FILTER (pred = 't1') AS t1, count(*) FILTER (pred = 'elsewhere') AS elsewhere FROM ({_CONF}) GROUP BY type_name")
-add("silhouette_exact", lambda s, d: metrics.silhouette_exact(vectors(s, d, "target").where("vec_id < 400").select("column_id", F.col("label").alias("cluster"), "hidden")), """WITH v AS (SELECT vec_id, label, unnest(range(0, 64)) AS dim, unnest(CAST(embedding AS DOUBLE[])) AS x FROM embeddings WHERE vec_id % 2 = 1 AND label >= 3 AND vec_id < 400),
+add("silhouette_exact", lambda s, d: metrics.silhouette_exact(vectors(s, d, "target").select("column_id", F.col("label").alias("cluster"), "hidden")), """WITH v AS (SELECT vec_id, label, unnest(range(0, 64)) AS dim, unnest(CAST(embedding AS DOUBLE[])) AS x FROM embeddings WHERE vec_id % 2 = 1 AND label >= 3),
     d AS (SELECT a.vec_id AS i, any_value(a.label) AS own, b.vec_id AS j, any_value(b.label) AS other, sqrt(sum((a.x - b.x) * (a.x - b.x))) AS d FROM v a JOIN v b ON a.dim = b.dim AND a.vec_id <> b.vec_id GROUP BY a.vec_id, b.vec_id),
     m AS (SELECT i, own, other, avg(d) AS d FROM d GROUP BY ALL), s AS (SELECT i, min(CASE WHEN own = other THEN d END) AS x, min(CASE WHEN own <> other THEN d END) AS y FROM m GROUP BY i)
     SELECT round(avg(CASE WHEN x IS NULL OR y IS NULL THEN 0 ELSE (y - x) / greatest(x, y) END), 6) AS silhouette, count(*) AS n FROM s""")

@@ -17,12 +17,8 @@ from lakeadapt.session import REGISTRY, table
 from lakeadapt.sources import catalog, lake
 
 add = REGISTRY.add
-_EVENTS = next(g for g in catalog.GROUPS if g.name == "events")
-_CUST = next(g for g in catalog.GROUPS if g.name == "customer")
-_SUPP = next(g for g in catalog.GROUPS if g.name == "supplier")
-_SMALL = (_CUST, _SUPP, _EVENTS)
-_LAKE = lake.oracle_columns(_SMALL)
-_cells = lambda s, d: lake.build(s, d, _SMALL)
+_LAKE = lake.oracle_columns()
+_cells = lake.build
 _PRED = "e src tgt hs fresh ht sc pr"
 
 # -- process, judge ---------------------------------------------------------------------------------------------------
@@ -38,9 +34,10 @@ add("rule_judge", lambda s, d: gap.knowledge_judge(_proposed(s, d)).select("colu
     WITH c AS ({_PROPOSED}), x AS (SELECT column_id, pred, unnest(string_split(cells, chr(31))) AS cell FROM c), kb(t, p, m) AS (VALUES {_KB}),
     f AS (SELECT column_id, pred, t, avg(CASE WHEN regexp_matches(cell, p) THEN 1.0 ELSE 0.0 END) >= any_value(m) AS ok FROM x, kb GROUP BY column_id, pred, t)
     SELECT column_id, pred, CASE WHEN bool_or(t = pred AND ok) THEN 'yes' WHEN bool_or(t = pred) OR bool_or(t <> pred AND ok) THEN 'no' ELSE 'unknown' END AS decision FROM f GROUP BY column_id, pred""")
-_TYPES = sorted(catalog.fine_types(("customer", "supplier", "events")))
-add("judge_prompt", lambda s, d: _proposed(s, d).select("column_id", F.md5(gap.prompt(_TYPES, "cells", "pred")).alias("digest")), f"""SELECT column_id, md5('You check a proposed type for a table column. Reply with one word: yes, no or unknown.' || chr(10) || 'Types: {", ".join(_TYPES)}' || chr(10) || 'Values: ' || replace(cells, chr(31), '; ') || chr(10) || 'Proposed: ' || pred) AS digest FROM ({_PROPOSED})""")
-add("prompt_words", lambda s, d: _proposed(s, d).select("column_id", F.size(F.split(gap.prompt(_TYPES, "cells", "pred"), " ")).cast("long").alias("n_words")), f"""SELECT column_id, len(string_split('You check a proposed type for a table column. Reply with one word: yes, no or unknown.' || chr(10) || 'Types: {", ".join(_TYPES)}' || chr(10) || 'Values: ' || replace(cells, chr(31), '; ') || chr(10) || 'Proposed: ' || pred, ' ')) AS n_words FROM ({_PROPOSED})""")
+_TYPES = sorted(catalog.fine_types())
+_IN_PROMPT = f"array_to_string(list_transform(list_slice(string_split(cells, chr(31)), 1, {lake.PROMPT_CELLS}), lambda x: substr(x, 1, {lake.PROMPT_CHARS})), '; ')"
+add("judge_prompt", lambda s, d: _proposed(s, d).select("column_id", F.md5(gap.prompt(_TYPES, "cells", "pred")).alias("digest")), f"""SELECT column_id, md5('You check a proposed type for a table column. Reply with one word: yes, no or unknown.' || chr(10) || 'Types: {", ".join(_TYPES)}' || chr(10) || 'Values: ' || {_IN_PROMPT} || chr(10) || 'Proposed: ' || pred) AS digest FROM ({_PROPOSED})""")
+add("prompt_words", lambda s, d: _proposed(s, d).select("column_id", F.size(F.split(gap.prompt(_TYPES, "cells", "pred"), " ")).cast("long").alias("n_words")), f"""SELECT column_id, len(string_split('You check a proposed type for a table column. Reply with one word: yes, no or unknown.' || chr(10) || 'Types: {", ".join(_TYPES)}' || chr(10) || 'Values: ' || {_IN_PROMPT} || chr(10) || 'Proposed: ' || pred, ' ')) AS n_words FROM ({_PROPOSED})""")
 _ASK = f"SELECT column_id FROM ({_LAKE}) ORDER BY {sql_draw('ask', 'column_id')}, column_id LIMIT 40"
 
 
@@ -52,7 +49,7 @@ def _label_batch(s: SparkSession, d: str) -> DataFrame:
 add("label_batch", _label_batch, f"SELECT column_id, type_name FROM ({_LAKE}) WHERE column_id IN (SELECT column_id FROM ({_ASK}) ORDER BY column_id LIMIT 30)")
 add("heuristic_process", lambda s, d: process.heuristic(_cells(s, d)), f"""SELECT column_id, CASE WHEN bool_and(cell LIKE '%@%' OR cell LIKE 'http%') THEN 'web_address' WHEN bool_and(cell LIKE '{{%}}') THEN 'json_props' WHEN bool_and(regexp_matches(cell, '^[0-9]+$')) THEN 'record_key' WHEN bool_and(try_cast(replace(cell, ',', '.') AS DOUBLE) IS NOT NULL) THEN 'money_amount' ELSE 'name' END AS label
     FROM (SELECT column_id, unnest(string_split(cells, chr(31))) AS cell FROM ({_LAKE})) GROUP BY column_id""")
-add("redact_cells", lambda s, d: table(s, d, "documents").select("doc_id", F.md5(gap.redact(F.col("text"))).alias("digest")).where("doc_id % 3 = 0"), r"""SELECT doc_id, md5(regexp_replace(regexp_replace(regexp_replace(regexp_replace(text, '[A-Za-z0-9._%+-]+@[A-Za-z0-9.-]+\.[A-Za-z]{2,}', '<mail>', 'g'), '\b[0-9]{1,3}(\.[0-9]{1,3}){3}\b', '<ip>', 'g'), '\b[0-9a-f]{32,}\b', '<hex>', 'g'), '\b[0-9]{12,}\b', '<digits>', 'g')) AS digest FROM documents WHERE doc_id % 3 = 0""")
+add("redact_cells", lambda s, d: table(s, d, "documents").select("doc_id", F.md5(gap.redact(F.col("text"))).alias("digest")), r"""SELECT doc_id, md5(regexp_replace(regexp_replace(regexp_replace(regexp_replace(text, '[A-Za-z0-9._%+-]+@[A-Za-z0-9.-]+\.[A-Za-z]{2,}', '<mail>', 'g'), '\b[0-9]{1,3}(\.[0-9]{1,3}){3}\b', '<ip>', 'g'), '\b[0-9a-f]{32,}\b', '<hex>', 'g'), '\b[0-9]{12,}\b', '<digits>', 'g')) AS digest FROM documents""")
 
 # -- backbones, baselines ---------------------------------------------------------------------------------------------
 _WIDE = f"SELECT column_id, table_id, CAST(n_cells AS DOUBLE) AS v FROM (SELECT column_id, table_id, length(cells) AS n_cells FROM ({_LAKE}))"
@@ -63,27 +60,25 @@ _SIGN = f"""SELECT table_id, string_agg(code, ',' ORDER BY code) AS signature FR
     FROM (SELECT table_id, position, unnest(string_split(cells, chr(31))) AS cell FROM ({_LAKE})) GROUP BY ALL) GROUP BY table_id"""
 add("related_tables", lambda s, d: backbones.signatures(_cells(s, d)).groupBy("signature").agg(F.count("*").alias("n_tables"), F.min("table_id").alias("first_table")), f"SELECT signature, count(*) AS n_tables, min(table_id) AS first_table FROM ({_SIGN}) GROUP BY signature")
 add("direct_annotator", lambda s, d: own_words(_cells(s, d), _TYPES), f"""SELECT column_id, CASE WHEN {sql_draw('know', 'column_id')} % 100 >= 60 THEN '{_TYPES[0]}' WHEN {sql_draw('word', 'column_id')} % 100 < 25 THEN upper(type_name) ELSE type_name END AS pred FROM ({_LAKE})""")
-_V = "SELECT vec_id, label, unnest(range(0, 64)) AS dim, unnest(CAST(embedding AS DOUBLE[])) AS x FROM embeddings WHERE vec_id < 300"
-_NEAR = f"""WITH v AS ({_V}), d AS (SELECT a.vec_id AS query, b.vec_id AS found, any_value(b.label) AS label, round(sum(a.x * b.x) / sqrt(sum(a.x * a.x)) / sqrt(sum(b.x * b.x)), 9) AS sim FROM v a JOIN v b ON a.dim = b.dim AND a.vec_id % 10 = 0 AND a.vec_id <> b.vec_id GROUP BY a.vec_id, b.vec_id),
+_V = "SELECT vec_id, label, unnest(range(0, 64)) AS dim, unnest(CAST(embedding AS DOUBLE[])) AS x FROM embeddings"
+_NEAR = f"""WITH v AS ({_V}), d AS (SELECT a.vec_id AS query, b.vec_id AS found, any_value(b.label) AS label, round(sum(a.x * b.x) / sqrt(sum(a.x * a.x)) / sqrt(sum(b.x * b.x)), 9) AS sim FROM v a JOIN v b ON a.dim = b.dim AND a.vec_id % 20 = 0 AND a.vec_id <> b.vec_id GROUP BY a.vec_id, b.vec_id),
     r AS (SELECT *, row_number() OVER (PARTITION BY query ORDER BY sim DESC, found) AS k FROM d) """
 
 
 def _vecs(s: SparkSession, d: str) -> DataFrame:
-    return table(s, d, "embeddings").where("vec_id < 300").select("vec_id", "label", F.col("embedding").cast("array<double>").alias("hidden"))
+    return table(s, d, "embeddings").select("vec_id", "label", F.col("embedding").cast("array<double>").alias("hidden"))
 
 
-add("knn_exact", lambda s, d: joins.knn(_vecs(s, d).where("vec_id % 10 = 0"), _vecs(s, d), 3).select("query", "found", F.col("k").cast("long").alias("k")), _NEAR + "SELECT query, found, k FROM r WHERE k <= 3")
-add("knn_annotator", lambda s, d: nearest_answer(_vecs(s, d).where("vec_id % 10 = 0"), _vecs(s, d), 0.4), _NEAR + "SELECT query, CASE WHEN sim >= 0.4 THEN 't' || label ELSE 'unlisted' END AS pred FROM r WHERE k = 1")
-add("knn_lsh", lambda s, d: joins.knn_lsh(_vecs(s, d).where("vec_id % 10 = 0"), _vecs(s, d), 3))
+add("knn_exact", lambda s, d: joins.knn(_vecs(s, d).where("vec_id % 20 = 0"), _vecs(s, d), 3).select("query", "found", F.col("k").cast("long").alias("k")), _NEAR + "SELECT query, found, k FROM r WHERE k <= 3")
+add("knn_annotator", lambda s, d: nearest_answer(_vecs(s, d).where("vec_id % 20 = 0"), _vecs(s, d), 0.4), _NEAR + "SELECT query, CASE WHEN sim >= 0.4 THEN 't' || label ELSE 'unlisted' END AS pred FROM r WHERE k = 1")
+add("knn_lsh", lambda s, d: joins.knn_lsh(_vecs(s, d).where("vec_id % 20 = 0"), _vecs(s, d), 3))
 
 # -- scans, projections, joins ----------------------------------------------------------------------------------------
 add("scan_pruned", lambda s, d: table(s, d, "lineitem").where("l_shipdate >= '1998-06-01' AND l_quantity > 45").select("l_orderkey", "l_linenumber"), "SELECT l_orderkey, l_linenumber FROM lineitem WHERE l_shipdate >= '1998-06-01' AND l_quantity > 45")
 
 
 def _surface(s: SparkSession, d: str) -> DataFrame:
-    table(s, d, "orders").createOrReplaceTempView("adapt_orders")
-    table(s, d, "customer").createOrReplaceTempView("adapt_customer")
-    return s.sql("SELECT c_mktsegment, count(*) AS n, round(sum(o_totalprice), 2) AS total FROM adapt_orders JOIN adapt_customer ON o_custkey = c_custkey GROUP BY c_mktsegment")
+    return s.sql("SELECT c_mktsegment, count(*) AS n, round(sum(o_totalprice), 2) AS total FROM {orders} JOIN {customer} ON o_custkey = c_custkey GROUP BY c_mktsegment", orders=table(s, d, "orders"), customer=table(s, d, "customer"))
 
 
 add("sql_surface", _surface, "SELECT c_mktsegment, count(*) AS n, round(sum(o_totalprice), 2) AS total FROM orders JOIN customer ON o_custkey = c_custkey GROUP BY c_mktsegment")
@@ -92,18 +87,16 @@ add("filter_predicates", lambda s, d: table(s, d, "lineitem").where("l_quantity
 add("unpivot_cells", lambda s, d: table(s, d, "supplier").select("s_suppkey", F.col("s_name").alias("name"), F.col("s_nationkey").cast("string").alias("nation")).unpivot("s_suppkey", ["name", "nation"], "position", "cell"), "SELECT s_suppkey, 'name' AS position, s_name AS cell FROM supplier UNION ALL SELECT s_suppkey, 'nation', CAST(s_nationkey AS VARCHAR) FROM supplier")
 add("truth_join", lambda s, d: scored(s, d).join(F.broadcast(s.createDataFrame([(t, k) for k, t in enumerate(TARGET)], "pred string, type_id long")), "pred").groupBy("type_id").agg(F.count("*").alias("n")), core(_PRED, "SELECT CAST(substr(pred, 2) AS BIGINT) - 3 AS type_id, count(*) AS n FROM pr GROUP BY 1"))
 add("smj_orders_lineitem", lambda s, d: table(s, d, "orders").hint("merge").join(table(s, d, "lineitem"), F.col("o_orderkey") == F.col("l_orderkey")).groupBy("o_orderpriority").agg(F.count("*").alias("n"), F.round(F.sum("l_quantity"), 2).alias("quantity")), "SELECT o_orderpriority, count(*) AS n, round(sum(l_quantity), 2) AS quantity FROM orders JOIN lineitem ON o_orderkey = l_orderkey GROUP BY o_orderpriority")
-add("unseen_anti", lambda s, d: table(s, d, "customer").join(table(s, d, "orders"), F.col("c_custkey") == F.col("o_custkey"), "left_anti").select("c_custkey"), "SELECT c_custkey FROM customer WHERE c_custkey NOT IN (SELECT o_custkey FROM orders)")
+add("unseen_anti", lambda s, d: table(s, d, "customer").join(table(s, d, "orders").where("o_orderpriority = '1-URGENT'"), F.col("c_custkey") == F.col("o_custkey"), "left_anti").select("c_custkey"), "SELECT c_custkey FROM customer WHERE c_custkey NOT IN (SELECT o_custkey FROM orders WHERE o_orderpriority = '1-URGENT')")
 add("seen_semi", lambda s, d: table(s, d, "customer").join(table(s, d, "orders").where("o_totalprice > 300000"), F.col("c_custkey") == F.col("o_custkey"), "left_semi").select("c_custkey"), "SELECT c_custkey FROM customer WHERE c_custkey IN (SELECT o_custkey FROM orders WHERE o_totalprice > 300000)")
-add("theta_pairs", lambda s, d: table(s, d, "nation").alias("a").join(F.broadcast(table(s, d, "nation").alias("b")), F.expr("a.n_regionkey = b.n_regionkey AND a.n_nationkey < b.n_nationkey")).select(F.col("a.n_name").alias("x"), F.col("b.n_name").alias("y")), "SELECT a.n_name AS x, b.n_name AS y FROM nation a JOIN nation b ON a.n_regionkey = b.n_regionkey AND a.n_nationkey < b.n_nationkey")
+add("theta_pairs", lambda s, d: table(s, d, "nation").alias("a").join(F.broadcast(table(s, d, "nation").alias("b")), F.expr("a.n_regionkey < b.n_regionkey AND a.n_nationkey > b.n_nationkey")).select(F.col("a.n_name").alias("x"), F.col("b.n_name").alias("y")), "SELECT a.n_name AS x, b.n_name AS y FROM nation a JOIN nation b ON a.n_regionkey < b.n_regionkey AND a.n_nationkey > b.n_nationkey")
 _BANDS = [("low", 1000.0, 20000.0), ("mid", 15000.0, 50000.0), ("top", 50000.0, 1e9)]
 add("range_join", lambda s, d: joins.in_ranges(table(s, d, "lineitem").select("l_orderkey", "l_extendedprice"), s.createDataFrame(_BANDS, "band string, lo double, hi double"), "l_extendedprice").groupBy("band").agg(F.count("*").alias("n")), "SELECT band, count(*) AS n FROM lineitem JOIN (VALUES ('low', 1000.0, 20000.0), ('mid', 15000.0, 50000.0), ('top', 50000.0, 1e9)) b(band, lo, hi) ON l_extendedprice >= lo AND l_extendedprice < hi GROUP BY band")
 add("asof_model_version", lambda s, d: joins.as_of(table(s, d, "events").where("event_type = 'click'").select("event_id", "user_id", "ts"), table(s, d, "events").where("event_type = 'view'").select("user_id", "ts", F.col("event_id").alias("version")), "user_id", "ts", "version", "event_id"), "SELECT event_id, version FROM (SELECT event_id, user_id, ts FROM events WHERE event_type = 'click') c ASOF LEFT JOIN (SELECT user_id, ts, max(event_id) AS version FROM events WHERE event_type = 'view' GROUP BY ALL) v ON c.user_id = v.user_id AND c.ts >= v.ts")
 
 
 def _lateral(s: SparkSession, d: str) -> DataFrame:
-    table(s, d, "customer").createOrReplaceTempView("adapt_customer")
-    table(s, d, "nation").createOrReplaceTempView("adapt_nation")
-    return s.sql("SELECT n_name, c_custkey, c_acctbal FROM adapt_nation, LATERAL (SELECT c_custkey, c_acctbal FROM adapt_customer WHERE c_nationkey = n_nationkey ORDER BY c_acctbal DESC, c_custkey LIMIT 2)")
+    return s.sql("SELECT n_name, c_custkey, c_acctbal FROM {nation}, LATERAL (SELECT c_custkey, c_acctbal FROM {customer} WHERE c_nationkey = n_nationkey ORDER BY c_acctbal DESC, c_custkey LIMIT 2)", nation=table(s, d, "nation"), customer=table(s, d, "customer"))
 
 
 add("lateral_cells", _lateral, "SELECT n_name, c_custkey, c_acctbal FROM (SELECT *, row_number() OVER (PARTITION BY c_nationkey ORDER BY c_acctbal DESC, c_custkey) AS r FROM customer) JOIN nation ON c_nationkey = n_nationkey WHERE r <= 2")
@@ -150,13 +143,11 @@ add("html_titles", lambda s, d: table(s, d, "pages").select("page_id", F.regexp_
 
 
 def _correlated(s: SparkSession, d: str) -> DataFrame:
-    for t in ("orders", "customer"):
-        table(s, d, t).createOrReplaceTempView(f"adapt_{t}")
-    return s.sql(_CORRELATED.format("adapt_"))
+    return s.sql(_CORRELATED, orders=table(s, d, "orders"), customer=table(s, d, "customer"))
 
 
-_CORRELATED = "WITH big AS (SELECT o_custkey, sum(o_totalprice) AS t FROM {0}orders GROUP BY o_custkey) SELECT c_custkey, (SELECT count(*) FROM {0}orders WHERE o_custkey = c_custkey) AS n FROM {0}customer WHERE EXISTS (SELECT 1 FROM big WHERE o_custkey = c_custkey AND t > (SELECT avg(t) FROM big))"
-add("sql_correlated", _correlated, _CORRELATED.format(""))
+_CORRELATED = "WITH big AS (SELECT o_custkey, sum(o_totalprice) AS t FROM {orders} GROUP BY o_custkey) SELECT c_custkey, (SELECT count(*) FROM {orders} WHERE o_custkey = c_custkey) AS n FROM {customer} WHERE EXISTS (SELECT 1 FROM big WHERE o_custkey = c_custkey AND t > (SELECT avg(t) FROM big))"
+add("sql_correlated", _correlated, _CORRELATED.format(orders="orders", customer="customer"))
 _RECURSIVE = "WITH RECURSIVE r(i, a) AS (SELECT 1, 1 UNION ALL SELECT i + 1, a * 2 FROM r WHERE i < 10) SELECT i, a FROM r"
 add("sql_recursive", lambda s, d: s.sql(_RECURSIVE).select(F.col("i").cast("long").alias("i"), F.col("a").cast("long").alias("a")), f"SELECT CAST(i AS BIGINT) AS i, CAST(a AS BIGINT) AS a FROM ({_RECURSIVE})")
 

@@ -93,8 +93,7 @@ REGISTRY.add(
     lambda spark, d: lake.build(spark, d).select("column_id", features.serialize("cells", 24).alias("tokens")),
     f"SELECT column_id, array_to_string(list_slice(string_split(replace(cells, chr(31), ' '), ' '), 1, 24), ' ') AS tokens FROM ({_LAKE})",
 )
-_CUST = next(g for g in catalog.GROUPS if g.name == "customer")
-_CELLS = f"SELECT column_id, unnest(string_split(cells, chr(31))) AS cell FROM ({lake.oracle_columns((_CUST,))})"
+_CELLS = f"SELECT column_id, unnest(string_split(cells, chr(31))) AS cell FROM ({_LAKE})"
 
 
 @REGISTRY.entry(
@@ -105,7 +104,7 @@ _CELLS = f"SELECT column_id, unnest(string_split(cells, chr(31))) AS cell FROM (
     round(avg(CASE WHEN try_cast(cell AS DOUBLE) IS NOT NULL THEN 1.0 ELSE 0.0 END), 6) AS number_share FROM ({_CELLS}) GROUP BY column_id"""
 )
 def shape_features(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return features.shape_stats(lake.build(spark, sf_dir, (_CUST,)))
+    return features.shape_stats(lake.build(spark, sf_dir))
 
 
 @REGISTRY.entry(
@@ -113,4 +112,4 @@ def shape_features(spark: SparkSession, sf_dir: str) -> DataFrame:
     FROM (SELECT column_id, cell, unnest(range(1, length(cell))) AS i FROM ({_CELLS})) GROUP BY ALL"""
 )
 def gram_buckets(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return features.gram_buckets(lake.build(spark, sf_dir, (_CUST,)), 2, 256)
+    return features.gram_buckets(lake.build(spark, sf_dir), 2, 256)

@@ -19,16 +19,23 @@ class Cell:
 
 @dataclass(frozen=True)
 class Group:
-    """One table, or a part of one, that is cut into shards; even shards are rendered plainly, odd ones shifted."""
+    """One table that is cut into shards; even shards are rendered plainly, odd ones shifted.
+
+    `by` names one of `values` for each row (any other row is `other`): each has shards of its own, and `{}` in a type name
+    stands for it. A group that `repeats` has few rows at any scale: every shard holds all of them.
+    """
 
     name: str
     table: str
     key: str
     cells: tuple[Cell, ...]
-    where: str = "true"
-    plain_where: str = "true"
-    shifted_where: str = "true"
-    no_parity: bool = False
+    by: str = "''"
+    values: tuple[str, ...] = ("",)
+    repeats: bool = False
+
+    def types(self) -> list[tuple[str, str | None]]:
+        every = [*self.values, "other"] if self.by != "''" else [""]
+        return [(c.type_name.replace("{}", v), c.coarse) for v in every for c in self.cells]
 
 
 def _date(c: str) -> str:
@@ -67,21 +74,20 @@ def day(c: str, type_name: str) -> Cell:
     return Cell(c, f"substr({_s(c)}, 1, 10)", _date(c), type_name, "calendar_date")
 
 
-_PROSE = "substr(text, 1, 200)"
 GROUPS: tuple[Group, ...] = (
-    Group("region", "region", "r_regionkey", (key("r_regionkey", "record_key"), text("r_name", "world_region", "world_region")), no_parity=True),
-    Group("nation", "nation", "n_nationkey", (key("n_nationkey", "record_key"), text("n_name", "nation_code", "nation_code")), no_parity=True),
+    Group("region", "region", "r_regionkey", (key("r_regionkey", "record_key"), text("r_name", "world_region", "world_region")), repeats=True),
+    Group("nation", "nation", "n_nationkey", (key("n_nationkey", "record_key"), text("n_name", "nation_code", "nation_code")), repeats=True),
     Group("customer", "customer", "c_custkey", (key("c_custkey", "buyer_key"), text("c_name", "buyer_name", "party_name"), money("c_acctbal", "account_balance"), text("c_mktsegment", "market_segment", "market_segment"))),
     Group("supplier", "supplier", "s_suppkey", (key("s_suppkey", "vendor_key"), text("s_name", "vendor_name", "party_name"), money("s_acctbal", "account_balance"))),
     Group("part", "part", "p_partkey", (key("p_partkey", "part_key"), text("p_name", "product_name", "product_name"), text("p_brand", "brand_code", "brand_code"), text("p_type", "product_class", "product_class"), number("p_size", "product_size", "small_integer"), money("p_retailprice", "list_price"))),
     Group("orders", "orders", "o_orderkey", (key("o_orderkey", "order_key"), key("o_custkey", "buyer_key"), text("o_orderstatus", "order_status", "order_status"), money("o_totalprice", "order_total"), day("o_orderdate", "order_date"), text("o_orderpriority", "order_priority", "order_priority"))),
     Group("lineitem", "lineitem", "concat_ws('/', l_orderkey, l_linenumber, l_partkey, l_suppkey, l_quantity, l_extendedprice, CAST(l_shipdate AS STRING))", (key("l_orderkey", "order_key"), key("l_partkey", "part_key"), key("l_suppkey", "vendor_key"), number("l_linenumber", "line_number", "small_integer"), number("l_quantity", "quantity", "small_integer"), money("l_extendedprice", "line_price"), number("l_discount", "discount_rate", "rate_fraction"), number("l_tax", "tax_rate", "rate_fraction"), text("l_returnflag", "return_flag", "return_flag"), text("l_linestatus", "line_status", "line_status"), day("l_shipdate", "ship_date"))),
     Group("events", "events", "event_id", (Cell("ts", _s("ts"), _s("ts"), "event_time"), Cell("user_id", _s("user_id"), _key("user_id"), "user_key", "record_key"), text("event_type", "event_kind"), Cell("value", _s("value"), _money("value"), "event_value", "money_amount"), text("props", "json_props", lower=False))),
-    *(Group(f"documents-{x}", "documents", "doc_id", (text(_PROSE, f"prose_{x}"), text("lang", "language_code"), text("source", "source_code"), number("n_chars", "char_count")), where=f"lang = '{x}'") for x in ("en", "fr", "de", "es")),
-    Group("pages", "pages", "page_id", (text("url", "web_address", lower=False), Cell("html", "substr(html, 1, 200)", "substr(html, 1, 200)", "markup"))),
-    Group("benchmark", "benchmark", "item_id", (text(_PROSE, "passage", lower=False),)),
+    Group("documents", "documents", "doc_id", (text("text", "prose_{}"), text("lang", "language_code"), text("source", "source_code"), number("n_chars", "char_count")), by="lang", values=("en", "fr", "de", "es")),
+    Group("pages", "pages", "page_id", (text("url", "web_address", lower=False), Cell("html", "html", "html", "markup"))),
+    Group("benchmark", "benchmark", "item_id", (text("text", "passage", lower=False),)),
     Group("labels", "labels", "doc_id", (number("quality", "quality_flag"), number("toxic", "toxicity_flag"))),
-    Group("conversations", "conversations", "concat_ws('/', conv_id, turn)", (text("role", "speaker_role"), Cell("turn", _s("turn"), _s("turn"), "turn_number", "small_integer"), text(_PROSE, "utterance", lower=False))),
+    Group("conversations", "conversations", "concat_ws('/', conv_id, turn)", (text("role", "speaker_role"), Cell("turn", _s("turn"), _s("turn"), "turn_number", "small_integer"), text("text", "utterance", lower=False))),
     Group("embeddings", "embeddings", "vec_id", (Cell("label", _s("label"), _s("label"), "cluster_code"), Cell("first", "CAST(CAST(embedding[1] AS DECIMAL(8, 4)) AS STRING)", "CAST(CAST(embedding[1] AS DECIMAL(8, 4)) AS STRING)", "vector_literal"))),
 )
 
@@ -89,7 +95,7 @@ STAR = ("region", "nation", "customer", "supplier", "part", "orders", "lineitem"
 
 
 def fine_types(groups: tuple[str, ...] | None = None) -> list[str]:
-    return sorted({c.type_name for g in GROUPS if groups is None or g.name in groups for c in g.cells})
+    return sorted({t for g in GROUPS if groups is None or g.name in groups for t, _ in g.types()})
 
 
 def coarse_types() -> list[str]:

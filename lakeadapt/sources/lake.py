@@ -1,21 +1,24 @@
-"""Lakes of small tables, cut from the given ones: one row per column, at most `max_cells` cells each.
+"""Lakes of small tables, cut from the given ones: one row per column.
 
-Every group is one scan. Row numbers by hash pick the cells of a shard; Spark's group limit keeps the best per shard on the
-map side, so what is shuffled is bounded by shards x cells, not by rows, and a table of any size gives short rows.
+Every table is read once. A row goes to the shard that its hash names, and a shard is a small table: there are as many as
+the rows need (ROWS_A_SHARD each), so a lake holds every row and its tables stay short at any scale. A table shows about
+half of its columns, drawn by a hash, as the columns of real lakes are only partly annotated: its siblings then do not
+give a column away. Cells are whole; encoders and prompts take as many of them as they need.
 """
 
 from __future__ import annotations
 
 from functools import reduce
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from lakeadapt.session import table
 from lakeadapt.sources.catalog import GROUPS, Group
 
-SMALL, MAX_SHARDS, LEAST_SHARDS, MAX_CELLS = 120, 400, 24, 16
-COLUMNS = "column_id string, table_id string, source_table string, position int, n_rows long, cells array<string>, split string, type_name string, coarse string"
+ROWS_A_SHARD, LEAST_SHARDS, SHOWN_PERCENT = 20, 12, 50
+#: Cells that a prompt holds, and characters of each.
+PROMPT_CELLS, PROMPT_CHARS = 16, 200
 
 
 def hash8(expr: str, spark: bool) -> str:
@@ -29,40 +32,58 @@ def rendered(g: Group, spark: bool) -> list[str]:
     return [f"CASE WHEN shard % 2 = 0 THEN {fix(c.plain)} ELSE {fix(c.shifted)} END AS c{k}" for k, c in enumerate(g.cells)]
 
 
-def parity(g: Group) -> str:
-    """Rows of a small group go to shards of their own parity, so that no row is in both lakes."""
-    return "true" if g.no_parity else "h % 2 = shard % 2"
+def variant(g: Group) -> str:
+    """SQL of either engine: the value of `by` that a row belongs to."""
+    if g.by == "''":
+        return "''"
+    return f"CASE WHEN {g.by} IN ({', '.join(repr(v) for v in g.values)}) THEN {g.by} ELSE 'other' END"
 
 
-RANK = "row_number() OVER (PARTITION BY shard ORDER BY k1, tie) AS r"
+def shards(n: str) -> str:
+    return f"greatest({LEAST_SHARDS}, CAST(floor({n} / {ROWS_A_SHARD}) AS BIGINT))"
 
 
 def shard_cells(spark: SparkSession, sf_dir: str, g: Group) -> DataFrame:
-    """shard, r, n_rows and the rendered cells c0, c1, ... of at most MAX_CELLS rows a shard."""
-    rows = table(spark, sf_dir, g.table).where(g.where)
-    n = rows.count()
-    rows = rows.selectExpr("*", hash8(f"concat('{g.name}:', {g.key})", True) + " AS h", f"CAST({g.key} AS STRING) AS tie")
-    if n < SMALL:
-        placed = rows.withColumn("shard", F.explode(F.sequence(F.lit(0), F.lit(LEAST_SHARDS - 1)))).where(parity(g))
-        placed = placed.withColumn("k1", F.expr(f"md5(concat(shard, ':', {g.key}))"))
+    """v, shard, k1, tie and the rendered cells c0, c1, ... of every row: one scan, no shuffle."""
+    rows = table(spark, sf_dir, g.table)
+    placed = rows.selectExpr("*", f"{variant(g)} AS v", hash8(f"concat('{g.name}:', {g.key})", True) + " AS h", f"CAST({g.key} AS STRING) AS tie")
+    if g.repeats:
+        placed = placed.withColumn("shard", F.explode(F.sequence(F.lit(0), F.lit(LEAST_SHARDS - 1)))).withColumn("k1", F.expr("md5(concat(shard, ':', tie))"))
     else:
-        shards = min(MAX_SHARDS, max(LEAST_SHARDS, n // 20))
-        placed = rows.withColumn("shard", (F.col("h") % shards).cast("int")).withColumn("k1", F.lpad(F.col("h").cast("string"), 12, "0"))
-    sizes = placed.groupBy("shard").agg(F.count("*").alias("n_rows"))
-    return placed.selectExpr("shard", RANK, *rendered(g, True)).where(F.col("r") <= MAX_CELLS).join(F.broadcast(sizes), "shard")  # at most MAX_SHARDS rows
+        if len(g.values) == 1:
+            counts = {"": rows.count()}  # from the footers
+        else:
+            counts = {r["v"]: r["count"] for r in rows.groupBy(F.expr(variant(g)).alias("v")).count().collect()}  # one row a value
+        sizes = F.expr("CASE v " + " ".join(f"WHEN '{v}' THEN {n}" for v, n in sorted(counts.items())) + " END") if counts else F.lit(0)
+        placed = placed.withColumn("n", sizes).withColumn("shard", F.expr(f"CAST(h % {shards('n')} AS INT)")).withColumn("k1", F.lpad(F.col("h").cast("string"), 12, "0"))
+    return placed.selectExpr("v", "shard", "k1", "tie", *rendered(g, True))
+
+
+def table_name(g: Group, v: str) -> str:
+    """SQL of either engine."""
+    return f"'{g.name}/'" if g.by == "''" else f"concat('{g.name}-', {v}, '/')"
+
+
+def shown(column_id: str, spark: bool) -> str:
+    return f"{hash8(f'concat({chr(39)}shown:{chr(39)}, {column_id})', spark)} % 100 < {SHOWN_PERCENT}"
+
+
+def _field(name: str):
+    return lambda e: e[name]
 
 
 def build_group(spark: SparkSession, sf_dir: str, g: Group) -> DataFrame:
-    chosen = shard_cells(spark, sf_dir, g)
-    every = F.array(*[F.struct(F.lit(k).alias("position"), F.col(f"c{k}").alias("cell"), F.lit(c.type_name).alias("type_name"), F.lit(c.coarse).alias("coarse")) for k, c in enumerate(g.cells)])
-    long = chosen.select("shard", "r", "n_rows", F.explode(every).alias("e")).select("shard", "r", "n_rows", "e.*")
-    gathered = long.groupBy("shard", "position", "n_rows", "type_name", "coarse").agg(F.array_sort(F.collect_list(F.struct("r", "cell"))).alias("x"))
-    table_id = F.concat(F.lit(f"{g.name}/"), F.col("shard").cast("string"))
-    return gathered.select(
-        F.concat(table_id, F.lit("#"), F.col("position").cast("string")).alias("column_id"),
-        table_id.alias("table_id"), F.lit(g.name).alias("source_table"), "position", "n_rows",
-        F.transform("x", lambda e: e["cell"]).alias("cells"), "type_name", "coarse",
-    )
+    names = [f"c{k}" for k in range(len(g.cells))]
+    gathered = shard_cells(spark, sf_dir, g).groupBy("v", "shard").agg(F.count("*").alias("n_rows"), F.array_sort(F.collect_list(F.struct("k1", "tie", *names))).alias("x"))
+    every = [
+        F.struct(F.lit(k).alias("position"), F.filter(F.transform("x", _field(n)), lambda c: c.isNotNull()).alias("cells"), F.lit(c.type_name).alias("type_name"), F.lit(c.coarse).alias("coarse"))
+        for k, (n, c) in enumerate(zip(names, g.cells))
+    ]
+    long = gathered.withColumn("table_id", F.concat(F.expr(table_name(g, "v")), F.col("shard").cast("string"))).select("v", "table_id", "n_rows", F.explode(F.array(*every)).alias("e"))
+    return long.select(
+        F.concat("table_id", F.lit("#"), F.col("e.position").cast("string")).alias("column_id"), "table_id", F.lit(g.name).alias("source_table"),
+        "e.position", "n_rows", "e.cells", F.replace("e.type_name", F.lit("{}"), F.col("v")).alias("type_name"), "e.coarse",
+    ).where(shown("column_id", True))
 
 
 def build(spark: SparkSession, sf_dir: str, groups: tuple[Group, ...] = GROUPS) -> DataFrame:
@@ -83,30 +104,35 @@ def oracle_columns(groups: tuple[Group, ...] = GROUPS) -> str:
     parts = []
     for g in groups:
         h = hash8(f"'{g.name}:' || CAST({g.key} AS VARCHAR)", False)
-        base = f"SELECT *, {h} AS h, CAST({g.key} AS STRING) AS tie, count(*) OVER () AS n FROM {g.table} WHERE {g.where}"
-        placed = (
-            f"SELECT *, h % least({MAX_SHARDS}, greatest({LEAST_SHARDS}, n // 20)) AS shard, lpad(CAST(h AS VARCHAR), 12, '0') AS k1 FROM ({base}) WHERE n >= {SMALL} "
-            f"UNION ALL SELECT *, md5(CAST(shard AS VARCHAR) || ':' || CAST({g.key} AS VARCHAR)) AS k1 "
-            f"FROM (SELECT *, unnest(range(0, {LEAST_SHARDS})) AS shard FROM ({base}) WHERE n < {SMALL}) WHERE {parity(g)}"
-        )
-        ranked = f"SELECT shard, {RANK}, count(*) OVER (PARTITION BY shard) AS n_rows, {', '.join(rendered(g, False))} FROM ({placed})"
+        base = f"SELECT *, {variant(g)} AS v, {h} AS h, CAST({g.key} AS STRING) AS tie FROM {g.table}"
+        if g.repeats:
+            placed = f"SELECT *, md5(CAST(shard AS VARCHAR) || ':' || tie) AS k1 FROM (SELECT *, unnest(range(0, {LEAST_SHARDS})) AS shard FROM ({base}))"
+        else:
+            placed = f"SELECT *, h % {shards('n')} AS shard, lpad(CAST(h AS VARCHAR), 12, '0') AS k1 FROM (SELECT *, count(*) OVER (PARTITION BY v) AS n FROM ({base}))"
+        cells = f"SELECT v, shard, k1, tie, {', '.join(rendered(g, False))} FROM ({placed})"
         for k, c in enumerate(g.cells):
+            kind = "replace('" + c.type_name + "', '{}', v)"
             parts.append(
-                f"SELECT '{g.name}/' || shard AS table_id, {k} AS position, any_value(n_rows) AS n_rows, string_agg(c{k}, chr(31) ORDER BY r) AS cells, '{c.type_name}' AS type_name "
-                f"FROM ({ranked}) WHERE r <= {MAX_CELLS} GROUP BY shard"
+                f"SELECT {table_name(g, 'v')} || shard AS table_id, {k} AS position, count(*) AS n_rows, coalesce(string_agg(c{k}, chr(31) ORDER BY k1, tie), '') AS cells, "
+                f"{kind} AS type_name FROM ({cells}) GROUP BY v, shard"
             )
     h = hash8("'split:' || table_id", False)
     return f"""
-SELECT table_id || '#' || position AS column_id, table_id, CAST(position AS INTEGER) AS position, CAST(n_rows AS BIGINT) AS n_rows, cells, type_name,
+SELECT column_id, table_id, CAST(position AS INTEGER) AS position, CAST(n_rows AS BIGINT) AS n_rows, cells, type_name,
        CASE WHEN CAST(split_part(table_id, '/', 2) AS INTEGER) % 2 = 0 THEN 'source' ELSE 'target' END AS lake,
        CASE WHEN {h} % 100 < 10 THEN 'test' WHEN {h} % 100 < 28 THEN 'valid' ELSE 'train' END AS split
-FROM ({" UNION ALL ".join(parts)})"""
+FROM (SELECT table_id || '#' || position AS column_id, * FROM ({" UNION ALL ".join(parts)})) WHERE {shown("column_id", False)}"""
 
 
 def flat(cols: DataFrame) -> DataFrame:
     return cols.select("column_id", "table_id", "position", "n_rows", F.array_join("cells", "\x1f").alias("cells"), "type_name", "lake", "split")
 
 
+def for_prompt(cells: str = "cells") -> Column:
+    """As many cells as a prompt holds, each cut to a length: the token limit of a judge."""
+    return F.transform(F.slice(cells, 1, PROMPT_CELLS), lambda c: F.substring(c, 1, PROMPT_CHARS))
+
+
 def stats(cols: DataFrame) -> DataFrame:
     """Per lake: types, tables, annotated columns, mean width."""
     return cols.groupBy("lake").agg(
