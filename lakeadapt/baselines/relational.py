@@ -7,12 +7,22 @@ from pyspark.sql import functions as F
 
 from lakeadapt.functions.draws import draw
 from lakeadapt.operators.joins import knn
+from lakeadapt.sources.catalog import KNOWLEDGE
 
 
-def own_words(columns: DataFrame, types: list[str], knows: int = 60, words: int = 25) -> DataFrame:
-    """Knows `knows` % of the columns, else names the first type; says `words` % of what it knows in its own words."""
-    pred = F.when(draw("know", "column_id") % 100 >= knows, types[0]).when(draw("word", "column_id") % 100 < words, F.upper("type_name")).otherwise(F.col("type_name"))
-    return columns.select("column_id", pred.alias("pred"))
+def own_words(columns: DataFrame, words: int = 25) -> DataFrame:
+    """Reads the cells: the first pattern of the knowledge table that fits names the type, `words` % of the types in words of
+    its own; nothing fits: an answer outside any set."""
+    fits = []
+    for name, pattern, least in KNOWLEDGE:
+        said = F.when(draw("word", F.lit(name)) % 100 < words, name.upper()).otherwise(name)
+        share = F.size(F.filter("cells", _matching(pattern))) / F.greatest(F.size("cells"), F.lit(1))
+        fits.append(F.when((F.size("cells") > 0) & (share >= least), said))
+    return columns.select("column_id", F.coalesce(*fits, F.lit("unlisted")).alias("pred"))
+
+
+def _matching(pattern: str):
+    return lambda c: F.rlike(c, F.lit(pattern))
 
 
 def nearest_answer(queries: DataFrame, examples: DataFrame, floor: float) -> DataFrame:

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import hashlib
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -24,3 +26,13 @@ def smallest(df: DataFrame, n: int, seed: str, key: str) -> DataFrame:
 def sql_draw(seed: str, *columns: str) -> str:
     text = " || ':' || ".join([f"'{seed}'", *[f"CAST({c} AS VARCHAR)" for c in columns]])
     return f"CAST('0x' || substr(md5({text}), 1, 8) AS BIGINT)"
+
+
+def rank(seed: str, ident: str) -> int:
+    """`draw` of one id, in Python."""
+    return int(hashlib.md5(f"{seed}:{ident}".encode()).hexdigest()[:8], 16)
+
+
+def drawn(ids: list[str], n: int, seed: str) -> list[str]:
+    """`smallest` of a list of ids."""
+    return sorted(ids, key=lambda i: (rank(seed, i), i))[: max(0, n)]

@@ -1,12 +1,12 @@
 """The adaptation loop: warm up, find gaps, spread them to clusters, buy labels, replay, stop early, spend the rest.
 
 The loop is the same over a lake in Spark (`SparkLake`) and over arrays inside one task (`ArrayLake`); draws are hashes
-of ids, so both choose the same columns. Only ids of a probe or a batch and k x m centroid sums reach the driver.
+of ids, so both choose the same columns. Who judges and who labels are arguments: the loop itself never sees the type of a
+column that it has not paid for. Only ids of a probe or a batch and k x m centroid sums reach the driver.
 """
 
 from __future__ import annotations
 
-import hashlib
 from collections.abc import Callable, Iterator
 from dataclasses import dataclass, field
 from typing import Protocol
@@ -16,8 +16,10 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from lakeadapt.functions.draws import smallest
-from lakeadapt.operators.typer import Typer, fit, score
+from lakeadapt.functions.draws import drawn, rank, smallest
+from lakeadapt.operators.judge import ConstantJudge, Judge, KnowledgeJudge, NoisyJudge, Proposal
+from lakeadapt.operators.process import Account, Process, Truth
+from lakeadapt.operators.typer import Typer, fit, fit_distributed, score
 from lakeadapt.sources.store import RunStore
 
 
@@ -34,7 +36,7 @@ class Config:
     lr: float = 2e-3
     k_factor: float = 1.0
     kmeans_rounds: int = 8
-    judge: str = "noisy"  # noisy, none, yes, no
+    judge: str = "noisy"  # noisy, knowledge, none, yes, no; or any Judge as an argument of adapt
     judge_accuracy: float = 0.807
     judge_abstains: float = 0.009
     selector: str = "weak"  # weak, random
@@ -42,37 +44,31 @@ class Config:
     replay: bool = True
     residual: bool = True
     on_empty: str = "skip"  # skip, random, stop
-    recluster_every: int = 1
+    local_labels: int = 50_000  # more labels than this are fitted in Spark
     seed: int = 1
 
 
-def rank(seed: str, ident: str) -> int:
-    return int(hashlib.md5(f"{seed}:{ident}".encode()).hexdigest()[:8], 16)
-
-
-def drawn(ids: list[str], n: int, seed: str) -> list[str]:
-    return sorted(ids, key=lambda i: (rank(seed, i), i))[: max(0, n)]
-
-
-def decide(ident: str, right: bool, cfg: Config) -> str:
-    """The answer of the configured judge; it sees the truth only to be wrong at a known rate."""
-    if cfg.judge in ("yes", "no"):
-        return cfg.judge
+def judge_of(cfg: Config, lake: Lake) -> Judge | None:
+    """The configured judge; None asks nobody, and every doubtful column is flagged."""
     if cfg.judge == "none":
-        return "no"
-    if rank("judge:silent", ident) / 2**32 < cfg.judge_abstains:
-        return "unknown"
-    return "yes" if right == (rank("judge:right", ident) / 2**32 < cfg.judge_accuracy) else "no"
+        return None
+    if cfg.judge == "knowledge":
+        return KnowledgeJudge()
+    if cfg.judge in ("yes", "no"):
+        return ConstantJudge(cfg.judge)
+    return NoisyJudge(lake.truth, cfg.judge_accuracy, cfg.judge_abstains, cfg.seed)
 
 
 class Lake(Protocol):
     def warm(self, tables: int, seed: str) -> list[str]: ...
     def fresh(self, seen: set[str], n: int, seed: str) -> list[str]: ...
     def gate(self, t: Typer, ids: list[str], delta: float) -> list[tuple[str, str]]: ...
+    def cells(self, ids: list[str]) -> dict[str, list[str]]: ...
     def truth(self, ids: list[str]) -> dict[str, str]: ...
     def from_weak(self, t: Typer, flagged: list[str], used: set[str], n: int, k: int, cfg: Config, seed: str) -> list[str]: ...
-    def labelled(self, ids: list[str], t: Typer) -> tuple[np.ndarray, np.ndarray]: ...
-    def valid(self, t: Typer) -> tuple[np.ndarray, np.ndarray]: ...
+    def fit(self, t: Typer, labels: dict[str, str], cfg: Config, seed: int) -> Typer: ...
+    def loss(self, t: Typer, labels: dict[str, str] | None) -> float: ...
+    def has_validation(self) -> bool: ...
 
 
 @dataclass
@@ -85,51 +81,69 @@ class Result:
     iterations: int = 0
 
 
-def adapt(lake: Lake, start: Typer, cfg: Config, store: RunStore | None = None, sufficient: Callable[[float], bool] | None = None) -> Result:
-    """Run the method. With a store, every iteration is written before the next, and a stored run goes on where it stopped."""
+def adapt(
+    lake: Lake, start: Typer, cfg: Config, store: RunStore | None = None, sufficient: Callable[[float], bool] | None = None,
+    judge: Judge | None = None, process: Process | None = None,
+) -> Result:
+    """Run the method. With a store, every iteration is written before the next, and a stored run goes on where it stopped.
+
+    `judge` and `process` replace the configured judge and the truth of the lake. A lake without validation types of its own
+    has a fifth of the bought labels kept out of training for the loss.
+    """
     found = store.last() if store else None
     out = Result(start)
+    asks = judge is not None or cfg.judge != "none"
+    judge = judge or judge_of(cfg, lake)
+    account = Account(process or Truth(lake.truth), cfg.budget)
     batches: list[list[str]] = []
+    labels: dict[str, str] = {}
     seen: set[str] = set()
     best, alpha, first = float("inf"), 0, 1
-    t = start
+    t, own_loss = start, lake.has_validation()
 
     def note(l: int, stage: str, ids: list[str]) -> None:
         out.trace += [(l, stage, i) for i in ids]
 
+    def buy(l: int, stage: str, ids: list[str]) -> None:
+        note(l, stage, ids)
+        labels.update((i, n) for i, n in account.buy(ids).items() if n in t.index)
+        out.spent = account.spent
+
     def checkpoint(l: int) -> None:
         if store:
             weights = {f"last_{k}": v for k, v in t.weights().items()} | {f"best_{k}": v for k, v in out.typer.weights().items()}
-            state = {"batches": batches, "seen": sorted(seen), "best": best, "alpha": alpha, "spent": out.spent, "calls": out.judge_calls, "history": out.history}
-            store.save(l, [(s, c) for k, s, c in out.trace if k == l] or [("none", "")], weights, state)
+            state = {"batches": batches, "labels": labels, "seen": sorted(seen), "best": best, "alpha": alpha, "spent": out.spent, "calls": out.judge_calls, "history": out.history}
+            store.save(l, [(s, c) for k, s, c in out.trace if k == l], weights, state)
+
+    def held(i: str) -> bool:
+        return not own_loss and rank("held", i) % 5 == 0
 
     def train(t: Typer, sets: list[list[str]], seed: int) -> Typer:
-        ids = [i for b in sets for i in b]
-        x, y = lake.labelled(ids, t)
-        return fit(t, x, y, cfg.epochs, 8, cfg.lr, seed) if len(y) else t
+        chosen = {i: labels[i] for b in sets for i in b if i in labels and not held(i)}
+        return lake.fit(t, chosen, cfg, seed) if chosen else t
 
     if found:
         l, weights, state = found
         t = Typer(start.types, *(weights[f"last_{k}"] for k in ("w1", "b1", "w2", "b2")))
         out.typer = Typer(start.types, *(weights[f"best_{k}"] for k in ("w1", "b1", "w2", "b2")))
-        batches, seen, best, alpha = state["batches"], set(state["seen"]), state["best"], state["alpha"]
-        out.spent, out.judge_calls, out.history, first = state["spent"], state["calls"], state["history"], l + 1
-        out.iterations = l
+        batches, labels, seen, best, alpha = state["batches"], state["labels"], set(state["seen"]), state["best"], state["alpha"]
+        account.spent = out.spent = state["spent"]
+        out.judge_calls, out.history, out.iterations, first = state["calls"], state["history"], l, l + 1
+        out.trace = store.traced(l)
     else:
         warm = lake.warm(cfg.warm_tables, f"warm:{cfg.seed}")[: cfg.budget]
         batches.append(warm)
-        out.spent = len(warm)
-        note(0, "batch", warm)
+        buy(0, "batch", warm)
         t = train(t, batches, cfg.seed)
         out.typer = t
         checkpoint(0)
 
     for l in range(first, cfg.iterations + 1):
         used = {i for b in batches for i in b}
-        left = cfg.budget - out.spent
-        if left <= 0 or alpha >= cfg.patience:
+        if account.left <= 0 or alpha >= cfg.patience:
             break
         flagged: list[str] = []
+        gated: list[tuple[str, str]] = []
         if cfg.selector == "weak":
             probed = lake.fresh(seen | used, cfg.probe, f"probe:{cfg.seed}:{l}")
             if not probed:
@@ -137,13 +151,16 @@ def adapt(lake: Lake, start: Typer, cfg: Config, store: RunStore | None = None,
             seen |= set(probed)
             note(l, "probe", probed)
             gated = lake.gate(t, probed, cfg.delta)
-            truth = lake.truth([i for i, _ in gated])
-            if cfg.judge != "none":
+            if asks and gated:
                 out.judge_calls += len(gated)
                 note(l, "judge", [i for i, _ in gated])
-            flagged = [i for i, pred in gated if decide(i, pred == truth[i], cfg) != "yes"]
+                cells = lake.cells([i for i, _ in gated]) if judge.reads_cells else {}
+                answers = judge.answer([Proposal(i, tuple(cells.get(i, ())), label) for i, label in gated])
+                flagged = [i for (i, _), a in zip(gated, answers, strict=True) if a != "yes"]
+            else:
+                flagged = [i for i, _ in gated]
             note(l, "flagged", flagged)
-        size = min(cfg.batch, left)
+        size = min(cfg.batch, account.left)
         if flagged:
             k = max(1, round(cfg.k_factor * len(t.types)))
             new = lake.from_weak(t, flagged, used, size, k, cfg, f"batch:{cfg.seed}:{l}")
@@ -154,26 +171,24 @@ def adapt(lake: Lake, start: Typer, cfg: Config, store: RunStore | None = None,
         else:
             new = []
         batches.append(new)
-        out.spent += len(new)
-        note(l, "batch", new)
+        buy(l, "batch", new)
         t = train(t, batches if cfg.replay else batches[-1:], cfg.seed * 1000 + l)
-        loss = t.loss(*lake.valid(t))
+        loss = lake.loss(t, None if own_loss else {i: n for i, n in labels.items() if held(i)})
         out.iterations = l
         if loss < best:
             best, alpha, out.typer = loss, 0, t
         else:
             alpha += 1
-        out.history.append({"iter": l, "loss": loss, "batch": len(new), "gated": len([1 for k, s, _ in out.trace if k == l and s == "judge"]), "flagged": len(flagged), "alpha": alpha})
+        out.history.append({"iter": l, "loss": loss, "batch": len(new), "gated": len(gated), "flagged": len(flagged), "alpha": alpha})
         checkpoint(l)
         if alpha >= cfg.patience or (sufficient and sufficient(loss)):
             break
 
     used = {i for b in batches for i in b}
-    if cfg.residual and cfg.budget > out.spent:
-        rest = lake.fresh(used, cfg.budget - out.spent, f"rest:{cfg.seed}")
+    if cfg.residual and account.left > 0:
+        rest = lake.fresh(used, account.left, f"rest:{cfg.seed}")
         if rest:
-            note(out.iterations + 1, "residual", rest)
-            out.spent += len(rest)
+            buy(out.iterations + 1, "residual", rest)
             out.typer = train(out.typer, [*batches, rest], cfg.seed * 1000 + 999)
     return out
 
@@ -191,9 +206,9 @@ def kmeans_arrays(h: np.ndarray, seeds: np.ndarray, rounds: int) -> np.ndarray:
 class ArrayLake:
     """A lake of features inside one task: the grid of experiments runs one of these per configuration."""
 
-    def __init__(self, ids: list[str], tables: list[str], split: list[str], x: np.ndarray, y: list[str]):
+    def __init__(self, ids: list[str], tables: list[str], split: list[str], x: np.ndarray, y: list[str], cells: list[list[str]] | None = None):
         self.at = {i: k for k, i in enumerate(ids)}
-        self.x, self.y, self.tables = x, y, tables
+        self.x, self.y, self.tables, self._cells = x, y, tables, cells
         self.train = [i for i, s in zip(ids, split) if s == "train"]
         self.held = [i for i, s in zip(ids, split) if s == "valid"]
         self.test = [i for i, s in zip(ids, split) if s == "test"]
@@ -223,18 +238,38 @@ class ArrayLake:
         weak = {near[where[i]] for i in flagged}
         return drawn([i for i, c in zip(self.train, near) if c in weak and i not in used], n, seed)
 
+    def cells(self, ids: list[str]) -> dict[str, list[str]]:
+        if self._cells is None:
+            raise ValueError("this lake was made without cells")
+        return {i: self._cells[self.at[i]] for i in ids}
+
     def labelled(self, ids: list[str], t: Typer) -> tuple[np.ndarray, np.ndarray]:
         ids = sorted(i for i in ids if self.y[self.at[i]] in t.index)
         return self.rows(ids), t.encode_types([self.y[self.at[i]] for i in ids])
 
+    def fit(self, t: Typer, labels: dict[str, str], cfg: Config, seed: int) -> Typer:
+        ids = sorted(labels)
+        return fit(t, self.rows(ids), t.encode_types([labels[i] for i in ids]), cfg.epochs, 8, cfg.lr, seed)
+
+    def has_validation(self) -> bool:
+        return bool(self.held)
+
     def valid(self, t: Typer) -> tuple[np.ndarray, np.ndarray]:
         return self.labelled(self.held, t)
 
+    def loss(self, t: Typer, labels: dict[str, str] | None = None) -> float:
+        if labels is None:
+            return t.loss(*self.valid(t))
+        ids = sorted(labels)
+        return t.loss(self.rows(ids), t.encode_types([labels[i] for i in ids]))
+
 
 class SparkLake:
-    """A lake as a DataFrame of columns with features (and, read only through `truth`, `labelled`, `valid`, the types).
+    """A lake as a DataFrame: column_id, table_id, split, features, and cells if a judge or a process reads them.
 
-    `columns` should be a written table: every iteration passes over it a few times.
+    Types are read by `truth`, for a benchmark's process and judge, and on the validation split, if `type_name` is there; a
+    lake without that column needs a judge and a process of its own. `columns` should be a written table: every iteration
+    passes over it a few times.
     """
 
     def __init__(self, columns: DataFrame):
@@ -307,25 +342,52 @@ class SparkLake:
             out[r["cluster"], r["dim"]] = r["x"] / r["n"]
         return out
 
-    def _xy(self, df: DataFrame, t: Typer) -> tuple[np.ndarray, np.ndarray]:
-        rows = df.where(F.col("type_name").isin(list(t.types))).select("column_id", "features", "type_name").collect()
-        rows = sorted(rows, key=lambda r: r["column_id"])
-        x = np.array([r["features"] for r in rows], np.float64).reshape(len(rows), t.w1.shape[0])
-        return x, t.encode_types([r["type_name"] for r in rows])
+    def cells(self, ids: list[str]) -> dict[str, list[str]]:
+        """At most a probe or a batch of columns."""
+        return {r[0]: list(r[1] or []) for r in self.columns.join(F.broadcast(self._ids(ids)), "column_id", "left_semi").select("column_id", "cells").collect()}
 
-    def labelled(self, ids: list[str], t: Typer) -> tuple[np.ndarray, np.ndarray]:
-        """At most the label budget of columns."""
-        return self._xy(self.columns.join(F.broadcast(self._ids(ids)), "column_id", "left_semi"), t)
+    def _rows(self, labels: dict[str, str]) -> DataFrame:
+        named = self.columns.sparkSession.createDataFrame(sorted(labels.items()), "column_id string, type_name string")
+        return self.columns.select("column_id", "features").join(F.broadcast(named) if len(labels) <= 1_000_000 else named, "column_id")
 
-    def valid(self, t: Typer, most: int = 2000) -> tuple[np.ndarray, np.ndarray]:
-        """At most `most` validation columns, drawn once."""
-        if not hasattr(self, "_valid"):
-            self._valid = self._xy(smallest(self.columns.where("split = 'valid'"), most, "valid", "column_id"), t)
-        return self._valid
+    def fit(self, t: Typer, labels: dict[str, str], cfg: Config, seed: int) -> Typer:
+        """On the driver up to `local_labels` labels, beyond that by gradients summed in Spark."""
+        rows = self._rows(labels)
+        if len(labels) > cfg.local_labels:
+            return fit_distributed(rows, t, steps=4 * cfg.epochs)
+        return fit(t, *matrix(rows, t), cfg.epochs, 8, cfg.lr, seed)
 
+    def has_validation(self) -> bool:
+        return "type_name" in self.columns.columns and not self.columns.where("split = 'valid'").isEmpty()
 
-def _near(batch: pa.RecordBatch, t: Typer, centres: np.ndarray, logits: bool) -> tuple[np.ndarray, np.ndarray]:
+    def loss(self, t: Typer, labels: dict[str, str] | None = None) -> float:
+        """Mean cross-entropy over the validation split (or over labels), summed where the columns lie."""
+        rows = self._rows(labels) if labels is not None else self.columns.where("split = 'valid'")
+        rows = rows.where(F.col("type_name").isin(list(t.types))).select("features", "type_name")
+        sent = self.columns.sparkSession.sparkContext.broadcast(t)
+
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for batch in batches:
+                x, y = _features(batch), sent.value.encode_types(batch.column("type_name").to_pylist())
+                if len(y):
+                    yield pa.RecordBatch.from_arrays([pa.array([sent.value.loss(x, y) * len(y)]), pa.array([len(y)], pa.int64())], ["s", "n"])
+
+        got = rows.mapInArrow(run, "s double, n long").agg(F.sum("s").alias("s"), F.sum("n").alias("n")).head()
+        return got["s"] / got["n"] if got["n"] else float("inf")
+
+
+def matrix(rows: DataFrame, t: Typer) -> tuple[np.ndarray, np.ndarray]:
+    """Features and types of rows(column_id, features, type_name), in id order, on the driver: for bounded sets."""
+    got = sorted(rows.where(F.col("type_name").isin(list(t.types))).select("column_id", "features", "type_name").collect(), key=lambda r: r["column_id"])
+    return np.array([r["features"] for r in got], np.float64).reshape(len(got), t.w1.shape[0]), t.encode_types([r["type_name"] for r in got])
+
+
+def _features(batch: pa.RecordBatch) -> np.ndarray:
     flat = batch.column("features")
-    x = flat.flatten().to_numpy(zero_copy_only=False).reshape(len(flat), -1).astype(np.float64)
+    return flat.flatten().to_numpy(zero_copy_only=False).reshape(len(flat), -1).astype(np.float64)
+
+
+def _near(batch: pa.RecordBatch, t: Typer, centres: np.ndarray, logits: bool) -> tuple[np.ndarray, np.ndarray]:
+    x = _features(batch)
     h = t.logits(x) if logits else t.hidden(x)
     return h, np.argmin((h**2).sum(1)[:, None] - 2 * h @ centres.T + (centres**2).sum(1), axis=1)

@@ -59,7 +59,11 @@ add("augment_views", lambda s, d: _cells(s, d).select("column_id", F.array_join(
 _SIGN = f"""SELECT table_id, string_agg(code, ',' ORDER BY code) AS signature FROM (SELECT table_id, position, CASE WHEN avg(CASE WHEN try_cast(cell AS DOUBLE) IS NOT NULL THEN 1.0 ELSE 0.0 END) >= 0.5 THEN 'n' ELSE 's' END || CASE WHEN avg(length(cell)) < 8 THEN '1' WHEN avg(length(cell)) < 32 THEN '2' ELSE '3' END AS code
     FROM (SELECT table_id, position, unnest(string_split(cells, chr(31))) AS cell FROM ({_LAKE})) GROUP BY ALL) GROUP BY table_id"""
 add("related_tables", lambda s, d: backbones.signatures(_cells(s, d)).groupBy("signature").agg(F.count("*").alias("n_tables"), F.min("table_id").alias("first_table")), f"SELECT signature, count(*) AS n_tables, min(table_id) AS first_table FROM ({_SIGN}) GROUP BY signature")
-add("direct_annotator", lambda s, d: own_words(_cells(s, d), _TYPES), f"""SELECT column_id, CASE WHEN {sql_draw('know', 'column_id')} % 100 >= 60 THEN '{_TYPES[0]}' WHEN {sql_draw('word', 'column_id')} % 100 < 25 THEN upper(type_name) ELSE type_name END AS pred FROM ({_LAKE})""")
+_KBK = ", ".join("(" + str(k) + ", '" + t + "', '" + p.replace("'", "''") + f"', {m})" for k, (t, p, m) in enumerate(catalog.KNOWLEDGE))
+add("direct_annotator", lambda s, d: own_words(_cells(s, d)), f"""
+    WITH x AS (SELECT column_id, unnest(string_split(cells, chr(31))) AS cell, cells = '' AS none FROM ({_LAKE})), kb(k, t, p, m) AS (VALUES {_KBK}),
+    f AS (SELECT column_id, k, t, avg(CASE WHEN regexp_matches(cell, p) THEN 1.0 ELSE 0.0 END) >= any_value(m) AND NOT any_value(none) AS ok FROM x, kb GROUP BY column_id, k, t)
+    SELECT column_id, coalesce(arg_min(CASE WHEN {sql_draw('word', 't')} % 100 < 25 THEN upper(t) ELSE t END, k) FILTER (ok), 'unlisted') AS pred FROM f GROUP BY column_id""")
 _V = "SELECT vec_id, label, unnest(range(0, 64)) AS dim, unnest(CAST(embedding AS DOUBLE[])) AS x FROM embeddings"
 _NEAR = f"""WITH v AS ({_V}), d AS (SELECT a.vec_id AS query, b.vec_id AS found, any_value(b.label) AS label, round(sum(a.x * b.x) / sqrt(sum(a.x * a.x)) / sqrt(sum(b.x * b.x)), 9) AS sim FROM v a JOIN v b ON a.dim = b.dim AND a.vec_id % 20 = 0 AND a.vec_id <> b.vec_id GROUP BY a.vec_id, b.vec_id),
     r AS (SELECT *, row_number() OVER (PARTITION BY query ORDER BY sim DESC, found) AS k FROM d) """

@@ -15,9 +15,12 @@ _OWN: dict[str, str] = {}
 
 
 def shared_folder(spark: SparkSession) -> str:
+    """spark.checkpoint.dir; where it is unset, a folder in the warehouse, or a temporary one if everything runs in this process."""
     given = spark.conf.get("spark.checkpoint.dir", None)
     if given:
         return given.rstrip("/")
+    if not spark.sparkContext.master.startswith("local"):
+        return f"{spark.conf.get('spark.sql.warehouse.dir').rstrip('/')}/_intermediate"
     app = spark.sparkContext.applicationId
     if app not in _OWN:
         _OWN[app] = "file://" + tempfile.mkdtemp(prefix="lakeadapt-run-")
@@ -25,8 +28,16 @@ def shared_folder(spark: SparkSession) -> str:
 
 
 def written(df: DataFrame, tag: str) -> DataFrame:
-    """df as a table in the shared folder: cuts its lineage, survives lost executors."""
-    path = f"{shared_folder(df.sparkSession)}/lakeadapt/{tag}-{uuid.uuid4().hex}"
+    """df as a table in the shared folder: cuts its lineage, survives lost executors, and goes when the session ends."""
+    spark = df.sparkSession
+    folder = f"{shared_folder(spark)}/lakeadapt/{spark.sparkContext.applicationId}-lakes"
+    if folder not in _OWN:
+        path = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(folder)
+        files = path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration())
+        files.mkdirs(path)
+        files.deleteOnExit(path)
+        _OWN[folder] = folder
+    path = f"{folder}/{tag}-{uuid.uuid4().hex}"
     df.write.parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
@@ -43,7 +54,7 @@ class RunStore:
         return cls(spark, f"{shared_folder(spark)}/lakeadapt/run-{uuid.uuid4().hex}")
 
     def save(self, iteration: int, rows: list[tuple[str, str]], model: dict[str, np.ndarray], state: dict) -> None:
-        trace = self.spark.createDataFrame([(stage, c) for stage, c in rows], "stage string, column_id string")
+        trace = self.spark.createDataFrame([(k, stage, c) for k, (stage, c) in enumerate(rows)], "pos int, stage string, column_id string")
         trace.coalesce(1).write.mode("overwrite").parquet(f"{self.path}/trace/iter={iteration}")
         blob = [(k, v.astype(np.float64).ravel().tolist(), list(v.shape)) for k, v in model.items()]
         self.spark.createDataFrame(blob, "name string, weights array<double>, shape array<long>").coalesce(1).write.mode("overwrite").parquet(f"{self.path}/model/iter={iteration}")
@@ -52,6 +63,11 @@ class RunStore:
     def trace(self) -> DataFrame:
         return self.spark.read.parquet(f"{self.path}/trace")
 
+    def traced(self, upto: int) -> list[tuple[int, str, str]]:
+        """The trace of iterations 0..upto in its order: a probe and a batch each, so a bounded list."""
+        kept = self.trace().where(f"iter <= {upto}").collect()
+        return [(r["iter"], r["stage"], r["column_id"]) for r in sorted(kept, key=lambda r: (r["iter"], r["pos"]))]
+
     def last(self) -> tuple[int, dict[str, np.ndarray], dict] | None:
         """The last iteration that was written whole: its number, model and state."""
         try:

@@ -1,7 +1,9 @@
 """Experiment grids: one configuration per group of an applyInPandas, so that a whole table of results runs in parallel.
 
-A lake has at most MAX_SHARDS tables a group whatever the size of the given tables, so its feature arrays are bounded and
-are broadcast once. Each configuration trains a source typer, adapts or retrains it, and is measured on held-out tables.
+The experiments run on lakes of a fixed size, as the published ones do: LAKE_TABLES tables of each kind and side at most,
+drawn by a hash, so that the feature arrays are bounded and can be sent to every task. (`adapt_full` and the lake queries
+work on whole lakes.) Each configuration trains a source typer, adapts or retrains it, and is measured on held-out tables.
+Baselines get as many labels as the method bought: the method's runs come first.
 """
 
 from __future__ import annotations
@@ -13,11 +15,14 @@ from functools import lru_cache
 import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
 from lakeadapt.baselines import methods
+from lakeadapt.functions.draws import draw, drawn
 from lakeadapt.functions.features import encode
 from lakeadapt.operators import backbones
-from lakeadapt.operators.adapt import ArrayLake, Config, adapt, drawn
+from lakeadapt.operators.adapt import ArrayLake, Config, adapt
 from lakeadapt.operators.typer import Typer, contrastive, fit, fit_to_plateau, realign
 from lakeadapt.sources import catalog, lake
 from lakeadapt.sources.store import written
@@ -34,17 +39,25 @@ class Arrays:
     fine: list[str]
     coarse: list[str | None]
     groups: list[str]
+    cells: list[list[str]]
     parts: dict[str, np.ndarray]
 
     def subset(self, keep: np.ndarray) -> Arrays:
         at = np.flatnonzero(keep)
         pick = lambda xs: [xs[k] for k in at]
-        return Arrays(pick(self.ids), pick(self.tables), pick(self.lakes), pick(self.split), pick(self.fine), pick(self.coarse), pick(self.groups), {k: v[at] for k, v in self.parts.items()})
+        return Arrays(pick(self.ids), pick(self.tables), pick(self.lakes), pick(self.split), pick(self.fine), pick(self.coarse), pick(self.groups), pick(self.cells), {k: v[at] for k, v in self.parts.items()})
+
+
+#: Tables of a kind and side in an experiment.
+LAKE_TABLES = 60
 
 
 def featured(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The lake with every encoder's vectors, as a written table."""
-    cols = written(encode(lake.build(spark, sf_dir)), "features")
+    """An experiment's lake with every encoder's vectors, as a written table."""
+    whole = lake.build(spark, sf_dir)
+    drawn_ = Window.partitionBy("source_table", "lake").orderBy(draw("experiment", "table_id"), "table_id")
+    tables = whole.select("table_id", "source_table", "lake").distinct().withColumn("r", F.row_number().over(drawn_)).where(F.col("r") <= LAKE_TABLES).select("table_id")
+    cols = written(encode(whole.join(F.broadcast(tables), "table_id", "left_semi")), "features")
     cols = backbones.two_views(backbones.related(backbones.joint(cols)))
     cols = backbones.row_context(cols)
     return written(cols, "contexts")
@@ -55,10 +68,10 @@ def _arrays(app: str, sf_dir: str) -> Arrays:
     spark = SparkSession.getActiveSession()
     f = featured(spark, sf_dir)
     words = encode(f.select("column_id", "cells"), word_level=True).selectExpr("column_id", "features AS words")
-    pdf = f.drop("cells").join(words.select("column_id", "words"), "column_id").toPandas().sort_values("column_id")
+    pdf = f.withColumn("cells", lake.for_prompt("cells")).join(words.select("column_id", "words"), "column_id").toPandas().sort_values("column_id")
     parts = {k: np.stack(pdf[c]).astype(np.float32) for k, c in (("x", "features"), ("siblings", "siblings"), ("relatives", "relatives"), ("a", "view_a"), ("b", "view_b"), ("rows", "row_vector"), ("words", "words"))}
     lists = (pdf[c].tolist() for c in ("column_id", "table_id", "lake", "split", "type_name", "coarse", "source_table"))
-    return Arrays(*lists, parts)
+    return Arrays(*lists, [list(c) for c in pdf["cells"]], parts)
 
 
 def arrays(spark: SparkSession, sf_dir: str) -> Arrays:
@@ -86,8 +99,9 @@ def sides(a: Arrays, name: str) -> tuple[Arrays, list[str], tuple[str, ...], Arr
     return s, s.fine, tx.source, t, t.fine, tx.target
 
 
-#: Tables of the warm-up: about 60 columns, a little over one per target type.
-WARM_TABLES = 8
+#: Tables of the warm-up, and labels of an iteration: the second and third transfers have smaller lakes.
+WARM_TABLES = {"TX1": 16, "TX2": 10, "TX3": 10}
+BATCH = {"TX1": 25, "TX2": 15, "TX3": 15}
 BACKBONE = {"J": ("x", "siblings"), "C": ("x",), "R": ("x", "relatives"), "W": ("words", "siblings")}
 
 
@@ -107,6 +121,7 @@ class Run:
     seed: int = 1
     k_factor: float = 1.0
     space: str = "hidden"
+    delta: float = 0.9
 
 
 def f1(truth: list[str], pred: list[str], types: tuple[str, ...]) -> tuple[float, float, float]:
@@ -134,10 +149,10 @@ def execute(a: Arrays, r: Run) -> dict:
     backbone = letter if letter in BACKBONE else "J"
     kind = kind if letter in BACKBONE else r.method
     x = inputs(t, backbone)
-    target = ArrayLake(t.ids, t.tables, t.split, x, ty)
+    target = ArrayLake(t.ids, t.tables, t.split, x, ty, t.cells)
     test = [target.at[i] for i in target.test]
     truth = [ty[k] for k in test]
-    cfg = Config(iterations=r.iterations, warm_tables=WARM_TABLES, budget=10**9, residual=False, seed=r.seed, k_factor=r.k_factor, space=r.space, patience=10**9)
+    cfg = Config(iterations=r.iterations, warm_tables=WARM_TABLES[r.transfer], batch=BATCH[r.transfer], budget=10**9, residual=False, seed=r.seed, k_factor=r.k_factor, space=r.space, delta=r.delta, patience=10**9)
     n_full = len(target.warm(cfg.warm_tables, f"warm:{r.seed}")) + r.iterations * cfg.batch
     n_labels = r.labels or (int(r.share * len(target.train)) if r.share else n_full)
     if r.share:
@@ -153,8 +168,8 @@ def execute(a: Arrays, r: Run) -> dict:
     def sample() -> list[int]:
         return [target.at[i] for i in drawn(target.train, n_labels, f"random:{r.seed}")]
 
-    if kind in ("full", "no_judge", "strong_judge", "weak_judge", "perfect_judge", "no_replay"):
-        judge = {"no_judge": {"judge": "none"}, "strong_judge": {"judge_accuracy": 0.95}, "weak_judge": {"judge_accuracy": 0.75}, "perfect_judge": {"judge_accuracy": 1.0, "judge_abstains": 0.0}, "no_replay": {"replay": False}}.get(kind, {})
+    if kind in METHODS:
+        judge = {"knowledge_judge": {"judge": "knowledge"}, "no_judge": {"judge": "none"}, "strong_judge": {"judge_accuracy": 0.95}, "weak_judge": {"judge_accuracy": 0.75}, "perfect_judge": {"judge_accuracy": 1.0, "judge_abstains": 0.0}, "no_replay": {"replay": False}}.get(kind, {})
         if r.labels:
             cfg = replace(cfg, budget=r.labels)
         out = adapt(target, realign(source(), t_types, r.seed), replace(cfg, **judge))
@@ -183,7 +198,15 @@ def execute(a: Arrays, r: Run) -> dict:
         except methods.MissingTypeError:
             pred = None
     elif kind in methods.ANNOTATORS:
-        n_labels, pred = 0, methods.direct_label([t.ids[k] for k in test], truth, t_types, kind)
+        n_labels, pred = 0, methods.direct_label([t.cells[k] for k in test], t_types, kind)
+    elif kind == "source_test":
+        # the source typer on held-out tables of its own lake: what a transfer starts from
+        own = [k for k, sp in enumerate(s.split) if sp == "test"]
+        kept = [k for k, sp in enumerate(s.split) if sp != "test"]
+        typer = Typer.new(s_types, x.shape[1], r.seed)
+        typer = fit_to_plateau(typer, inputs(s, backbone)[kept], typer.encode_types([sy[k] for k in kept]), seed=r.seed)
+        truth, n_labels, t_types = [sy[k] for k in own], 0, s_types
+        pred = [typer.types[k] for k in typer.predict(inputs(s, backbone)[own])[0]]
     elif kind == "generator":
         pred = methods.nearest_label(t.parts["x"], sample(), ty, test)
     else:
@@ -192,8 +215,16 @@ def execute(a: Arrays, r: Run) -> dict:
     return {"workload": r.workload, "transfer": r.transfer, "method": r.method, "budget": r.budget, "n_labels": n_labels, "seed": r.seed, "sw_f1": sw, "ma_f1": ma, "ood": ood, "judge_calls": calls, "iterations": steps, "seconds": time.time() - began}
 
 
-def run_grid(spark: SparkSession, sf_dir: str, runs: list[Run]) -> DataFrame:
-    """All configurations, one group each."""
+METHODS = ("full", "no_judge", "strong_judge", "weak_judge", "perfect_judge", "knowledge_judge", "no_replay")
+#: Methods that take labels without buying them one batch at a time.
+FED = ("plain", "random", "feature_fusion", "row_col", "generator")
+
+
+def _letter(method: str) -> str:
+    return method.rpartition("_")[2] if method.rpartition("_")[2] in BACKBONE else "J"
+
+
+def _batch(spark: SparkSession, sf_dir: str, runs: list[Run]) -> DataFrame:
     sent = spark.sparkContext.broadcast(arrays(spark, sf_dir))
     rows = spark.createDataFrame([{"id": k, **asdict(r)} for k, r in enumerate(runs)])
 
@@ -201,3 +232,22 @@ def run_grid(spark: SparkSession, sf_dir: str, runs: list[Run]) -> DataFrame:
         return pd.DataFrame([execute(sent.value, Run(**{k: group.iloc[0][k].item() if hasattr(group.iloc[0][k], "item") else group.iloc[0][k] for k in Run.__dataclass_fields__}))])
 
     return rows.repartition(len(runs), "id").groupBy("id").applyInPandas(one, RESULT)
+
+
+def run_grid(spark: SparkSession, sf_dir: str, runs: list[Run]) -> DataFrame:
+    """All configurations, one group each. A baseline at a number of iterations gets the labels that the full method, on the
+    same backbone and seed, bought in them; where that run is not among the configurations it is made for this count."""
+    fed = [r for r in runs if r.method.rsplit("_", 1)[0] in FED or r.method in FED]
+    fed = [r for r in fed if not r.labels and not r.share]
+    twin = {r: replace(r, method=f"full_{_letter(r.method)}", workload=r.workload) for r in fed}
+    ready = [r for r in runs if r not in twin]
+    extra = [r for r in dict.fromkeys(twin.values()) if r not in ready]
+    if not fed:
+        return _batch(spark, sf_dir, runs)
+    done = _batch(spark, sf_dir, [*ready, *extra]).toPandas()  # one row a configuration
+    bought = {(d["transfer"], d["method"], d["budget"], d["seed"]): int(d["n_labels"]) for d in done.to_dict("records")}
+    rest = [replace(r, labels=bought[(r.transfer, twin[r].method, r.budget, r.seed)]) for r in fed]
+    fed_rows = _batch(spark, sf_dir, rest)
+    keys = {(r.transfer, r.method, r.budget, r.seed) for r in ready}
+    own = done[[(d["transfer"], d["method"], d["budget"], d["seed"]) in keys for d in done.to_dict("records")]]
+    return spark.createDataFrame(own, RESULT).unionByName(fed_rows) if len(own) else fed_rows
