@@ -74,6 +74,21 @@ def day(c: str, type_name: str) -> Cell:
     return Cell(c, f"substr({_s(c)}, 1, 10)", _date(c), type_name, "calendar_date")
 
 
+def span(c: str, pattern: str, type_name: str, group: int = 0) -> Cell:
+    """The first match in a text; rows without one have no cell."""
+    found = f"nullif(regexp_extract({c}, '{pattern}', {group}), '')"
+    return Cell(type_name, found, f"lower({found})", type_name)
+
+
+#: Spans of prose and of markup, as tables made by extraction have them.
+TEXT_SPANS = (
+    span("text", "[A-Za-z0-9._]+@[A-Za-z0-9.]+", "mail_address"), span("text", "[0-9]{1,3}[.][0-9]{1,3}[.][0-9]{1,3}[.][0-9]{1,3}", "network_address"),
+    span("text", "[0-9a-f]{40}", "secret_key"), span("text", "[0-9]{16}", "account_number"), span("text", "^[^ ]+", "first_word"), span("text", "(19|20)[0-9][0-9]", "year_mention"),
+)
+PAGE_SPANS = (
+    span("url", "://([^/?#]*)", "host_name", 1), span("url", "://[^/?#]*(/[^?#]*)", "url_path", 1), span("html", "<title>([^<]*)</title>", "page_title", 1),
+    span("html", "href=\"([^\"]*)\"", "link_target", 1), span("html", "<a [^>]*>([^<]*)</a>", "link_text", 1), span("html", "<h1>([^<]*)</h1>", "heading", 1),
+)
 GROUPS: tuple[Group, ...] = (
     Group("region", "region", "r_regionkey", (key("r_regionkey", "record_key"), text("r_name", "world_region", "world_region")), repeats=True),
     Group("nation", "nation", "n_nationkey", (key("n_nationkey", "record_key"), text("n_name", "nation_code", "nation_code")), repeats=True),
@@ -83,8 +98,8 @@ GROUPS: tuple[Group, ...] = (
     Group("orders", "orders", "o_orderkey", (key("o_orderkey", "order_key"), key("o_custkey", "buyer_key"), text("o_orderstatus", "order_status", "order_status"), money("o_totalprice", "order_total"), day("o_orderdate", "order_date"), text("o_orderpriority", "order_priority", "order_priority"))),
     Group("lineitem", "lineitem", "concat_ws('/', l_orderkey, l_linenumber, l_partkey, l_suppkey, l_quantity, l_extendedprice, CAST(l_shipdate AS STRING))", (key("l_orderkey", "order_key"), key("l_partkey", "part_key"), key("l_suppkey", "vendor_key"), number("l_linenumber", "line_number", "small_integer"), number("l_quantity", "quantity", "small_integer"), money("l_extendedprice", "line_price"), number("l_discount", "discount_rate", "rate_fraction"), number("l_tax", "tax_rate", "rate_fraction"), text("l_returnflag", "return_flag", "return_flag"), text("l_linestatus", "line_status", "line_status"), day("l_shipdate", "ship_date"))),
     Group("events", "events", "event_id", (Cell("ts", _s("ts"), _s("ts"), "event_time"), Cell("user_id", _s("user_id"), _key("user_id"), "user_key", "record_key"), text("event_type", "event_kind"), Cell("value", _s("value"), _money("value"), "event_value", "money_amount"), text("props", "json_props", lower=False))),
-    Group("documents", "documents", "doc_id", (text("text", "prose_{}"), text("lang", "language_code"), text("source", "source_code"), number("n_chars", "char_count")), by="lang", values=("en", "fr", "de", "es")),
-    Group("pages", "pages", "page_id", (text("url", "web_address", lower=False), Cell("html", "html", "html", "markup"))),
+    Group("documents", "documents", "doc_id", (text("text", "prose_{}"), text("lang", "language_code"), text("source", "source_code"), number("n_chars", "char_count"), *TEXT_SPANS), by="lang", values=("en", "fr", "de", "es")),
+    Group("pages", "pages", "page_id", (text("url", "web_address", lower=False), Cell("html", "html", "html", "markup"), *PAGE_SPANS)),
     Group("benchmark", "benchmark", "item_id", (text("text", "passage", lower=False),)),
     Group("labels", "labels", "doc_id", (number("quality", "quality_flag"), number("toxic", "toxicity_flag"))),
     Group("conversations", "conversations", "concat_ws('/', conv_id, turn)", (text("role", "speaker_role"), Cell("turn", _s("turn"), _s("turn"), "turn_number", "small_integer"), text("text", "utterance", lower=False))),
@@ -116,7 +131,11 @@ TX2 = Transfer(
     "TX2", tuple(coarse_types()),
     tuple(sorted({{"user_key": "record_key", "event_value": "money_amount", "turn_number": "small_integer"}.get(t, t) for t in _OTHER} | {"buyer_name", "vendor_name", "order_date", "ship_date"})),
 )
-TX3 = Transfer("TX3", tuple(sorted({*fine_types(STAR), *_EVENT})), tuple(sorted({t for t in _OTHER if t not in ("vector_literal", "cluster_code")})))
+#: Another provenance: what was cut out of texts and pages, and what tables of texts hold.
+TX3 = Transfer(
+    "TX3", tuple(sorted({*fine_types(STAR), *_EVENT})),
+    tuple(sorted({c.type_name for c in (*TEXT_SPANS, *PAGE_SPANS)} | {"web_address", "markup", "language_code", "source_code", "char_count", "speaker_role", "utterance", "passage", "turn_number", "quality_flag", "toxicity_flag", "event_kind", "event_time", "user_key", "json_props"})),
+)
 TRANSFERS = (TX1, TX2, TX3)
 
 #: Coarse star types and the finer ones they cover in the target.

@@ -3,7 +3,8 @@
 Every table is read once. A row goes to the shard that its hash names, and a shard is a small table: there are as many as
 the rows need (ROWS_A_SHARD each), so a lake holds every row and its tables stay short at any scale. A table shows about
 half of its columns, drawn by a hash, as the columns of real lakes are only partly annotated: its siblings then do not
-give a column away. Cells are whole; encoders and prompts take as many of them as they need.
+give a column away. Columns without any cell are left
+out. Cells are whole; encoders and prompts take as many of them as they need.
 """
 
 from __future__ import annotations
@@ -83,7 +84,7 @@ def build_group(spark: SparkSession, sf_dir: str, g: Group) -> DataFrame:
     return long.select(
         F.concat("table_id", F.lit("#"), F.col("e.position").cast("string")).alias("column_id"), "table_id", F.lit(g.name).alias("source_table"),
         "e.position", "n_rows", "e.cells", F.replace("e.type_name", F.lit("{}"), F.col("v")).alias("type_name"), "e.coarse",
-    ).where(shown("column_id", True))
+    ).where(shown("column_id", True)).where(F.size("cells") > 0)
 
 
 def build(spark: SparkSession, sf_dir: str, groups: tuple[Group, ...] = GROUPS) -> DataFrame:
@@ -121,7 +122,7 @@ def oracle_columns(groups: tuple[Group, ...] = GROUPS) -> str:
 SELECT column_id, table_id, CAST(position AS INTEGER) AS position, CAST(n_rows AS BIGINT) AS n_rows, cells, type_name,
        CASE WHEN CAST(split_part(table_id, '/', 2) AS INTEGER) % 2 = 0 THEN 'source' ELSE 'target' END AS lake,
        CASE WHEN {h} % 100 < 10 THEN 'test' WHEN {h} % 100 < 28 THEN 'valid' ELSE 'train' END AS split
-FROM (SELECT table_id || '#' || position AS column_id, * FROM ({" UNION ALL ".join(parts)})) WHERE {shown("column_id", False)}"""
+FROM (SELECT table_id || '#' || position AS column_id, * FROM ({" UNION ALL ".join(parts)})) WHERE cells <> '' AND {shown("column_id", False)}"""
 
 
 def flat(cols: DataFrame) -> DataFrame:
