@@ -6,7 +6,7 @@ from importlib import import_module
 
 from lakeadapt.session import REGISTRY, Registry
 
-MODULES = ("queries_lake", "queries_core", "queries_general", "queries_learned")
+MODULES = ("queries_lake", "queries_core", "queries_chain", "queries_general", "queries_learned")
 
 
 def registered() -> Registry:

@@ -17,7 +17,7 @@ from pyspark.sql import functions as F
 from lakeadapt.session import table
 from lakeadapt.sources.catalog import GROUPS, Group
 
-ROWS_A_SHARD, LEAST_SHARDS, SHOWN_PERCENT = 20, 12, 50
+ROWS_A_SHARD, LEAST_SHARDS, SHOWN_PERCENT = 10, 12, 50
 #: Cells that a prompt holds, and characters of each.
 PROMPT_CELLS, PROMPT_CHARS = 16, 200
 

@@ -49,7 +49,7 @@ class Arrays:
 
 
 #: Tables of a kind and side in an experiment.
-LAKE_TABLES = 60
+LAKE_TABLES = 300
 
 
 def featured(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -31,17 +31,31 @@ def test_scans_are_pruned_and_filters_pushed(spark):
         assert "CartesianProduct" not in plan_of(q[name](spark, SF))
 
 
-def test_lake_build_limits_groups_before_the_shuffle(spark):
-    group = next(g for g in catalog.GROUPS if g.name == "lineitem")
-    plan = plan_of(lake.shard_cells(spark, SF, group))
-    assert plan.count("WindowGroupLimit") >= 2  # once on each side of the exchange
-
-
-def test_lakes_share_no_rows_and_keep_shapes(spark):
-    cols = lake.build(spark, SF, tuple(g for g in catalog.GROUPS if g.name in ("customer", "pages", "embeddings")))
-    assert cols.where("size(cells) > 16 OR size(cells) = 0").count() == 0
+def test_lake_build_is_one_scan_and_one_shuffle_a_table(spark):
+    group = next(g for g in catalog.GROUPS if g.name == "documents")
+    plan = plan_of(lake.build_group(spark, SF, group))
+    assert plan.count("FileScan") == 1 and plan.count("Exchange hashpartitioning") == 1 and "Window" not in plan
+
+
+def test_lakes_hold_every_row_once_and_whole_cells(spark):
+    group = next(g for g in catalog.GROUPS if g.name == "customer")
+    rows = lake.shard_cells(spark, SF, group)
+    assert rows.count() == spark.read.parquet(f"{SF}/customer.parquet").count() == rows.select("tie").distinct().count()
+    cols = lake.build(spark, SF, tuple(g for g in catalog.GROUPS if g.name in ("customer", "documents")))
+    assert cols.where("size(cells) = 0").count() == 0
     keys = cols.where("source_table = 'customer' AND position = 1").select("lake", F.explode("cells").alias("c")).select("lake", F.lower("c").alias("c")).distinct()
     assert keys.groupBy("c").count().where("count > 1").count() == 0
+    longest = spark.read.parquet(f"{SF}/documents.parquet").agg(F.max(F.length("text"))).head()[0]
+    assert longest > 1000 and cols.where("type_name LIKE 'prose%'").select(F.max(F.array_max(F.transform("cells", F.length)))).head()[0] > 1000
+    shown = cols.where("source_table = 'customer'").groupBy("table_id").count().agg(F.avg("count")).head()[0]
+    assert 1 < shown < 3.2
+
+
+def test_shards_grow_with_the_rows():
+    import duckdb
+
+    n = [duckdb.sql(f"SELECT {lake.shards(str(rows))}").fetchall()[0][0] for rows in (5, 100, 10**4, 10**9)]
+    assert n == [12, 12, 1000, 10**8]
 
 
 def test_file_formats_round_trip(spark, tmp_path):
