@@ -9,7 +9,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 
 from lakeadapt.llm import bpe, jaccard, linededup, mixing, quality
-from lakeadapt.llm.common import materialize
+from lakeadapt.llm.common import discard, new_path, scratch, store
 
 #: op3's own query asks for four words and 85 %.
 NEAR = jaccard.JaccardParams(shingle=5, percent=80)
@@ -53,9 +53,15 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The stages one after another. What a stage writes on its way goes when its result is written, and that result goes
+    when the next one is."""
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
-    for k, (name, stage) in enumerate(STAGES):
-        docs = stage(spark, docs, sf_dir)
-        if k < len(STAGES) - 1:
-            docs = materialize(docs, f"stage-{name}")
-    return docs
+    *early, (_, last) = STAGES
+    for k, (name, stage) in enumerate(early):
+        path = new_path(spark, f"stage-{name}")
+        with scratch(spark, name):
+            kept = store(stage(spark, docs, sf_dir), path)
+        if k:
+            discard(docs)
+        docs = kept
+    return last(spark, docs, sf_dir)
