@@ -549,6 +549,30 @@ def test_pipeline_near_duplicates_take_five_words_and_80_percent(spark):
     assert {r["doc_id"] for r in out.collect()} == kept and len(kept) == 8
 
 
+def test_pipeline_runs_on_awkward_and_empty_tables(spark, tmp_path):
+    import corpus_pipeline as pipeline
+
+    awkward(spark).write.parquet(f"{tmp_path}/a/documents.parquet")
+    nothing(spark).write.parquet(f"{tmp_path}/b/documents.parquet")
+    out = pipeline.run(spark, f"{tmp_path}/a").collect()
+    assert {r["doc_id"] for r in out} <= {1, 2, 8, 9, 10, None} and all(r["n_tokens"] == len(r["ids"]) > 0 for r in out) and out
+    assert pipeline.run(spark, f"{tmp_path}/b").count() == 0
+    for stage in (pipeline.near_duplicates, pipeline.source_mixture):
+        assert stage(spark, nothing(spark), SF).count() == 0 and stage(spark, awkward(spark), SF).columns == awkward(spark).columns
+
+
+def test_scratch_is_deleted(spark):
+    from pathlib import Path
+
+    path = common.new_path(spark, "kept")
+    with common.scratch(spark, "inner"):
+        inner = common.materialize(spark.range(3).toDF("a"), "x")
+        kept = common.store(inner, path)
+    assert not Path(inner._stored_at.removeprefix("file://")).exists() and kept.count() == 3
+    common.discard(kept)
+    assert not Path(path.removeprefix("file://")).exists()
+
+
 def test_pipeline_stages_equal_plain_versions(spark):
     import corpus_pipeline as pipeline
 
