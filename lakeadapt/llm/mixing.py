@@ -17,16 +17,13 @@ empty table gives no rows; an unknown name has weight `default_weight`; whatever
 
 from __future__ import annotations
 
-from collections.abc import Iterator
 from dataclasses import dataclass, field
 
-import pyarrow as pa
-import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from lakeadapt.llm.common import materialize, of_type
+from lakeadapt.llm.common import SPACE, materialize, of_type
 
 
 @dataclass(frozen=True)
@@ -56,17 +53,12 @@ def _lookup(column: str, values: dict, default) -> Column:
 
 
 def counted(docs: DataFrame) -> DataFrame:
-    """documents -> doc_id, lang, source, n_tokens (words between ASCII white space), counted by Arrow a batch at a time."""
+    """documents -> doc_id, lang, source, n_tokens (words between ASCII white space)."""
     slim = of_type(docs, {"doc_id": "long", "lang": "string", "source": "string", "text": "string"})
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            trimmed = pc.ascii_trim_whitespace(pc.fill_null(batch.column("text"), ""))
-            words = pc.list_value_length(pc.ascii_split_whitespace(trimmed))
-            n = pc.if_else(pc.equal(pc.binary_length(trimmed), 0), 0, words).cast(pa.int64())
-            yield pa.RecordBatch.from_arrays([*batch.columns[:3], n], ["doc_id", "lang", "source", "n_tokens"])
-
-    return slim.mapInArrow(run, "doc_id long, lang string, source string, n_tokens long")
+    # a text that begins with white space has an empty first piece, one that ends with it an empty last one
+    pieces = F.split(F.coalesce("text", F.lit("")), SPACE)
+    n = F.size(pieces) - (F.get(pieces, F.lit(0)) == "").cast("int") - ((F.size(pieces) > 1) & (F.element_at(pieces, -1) == "")).cast("int")
+    return slim.select("doc_id", "lang", "source", n.cast("long").alias("n_tokens"))
 
 
 def _fill(nodes: DataFrame, parent: list[str], name: str, out: str) -> DataFrame:
