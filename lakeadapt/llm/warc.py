@@ -61,8 +61,9 @@ def _headers(kind, digest, target, n_bytes, when: str):
     return F.encode(text, "UTF-8")
 
 
-def write_archive(pages: DataFrame, min_bytes: int = 100, when: str = "2020-01-01T00:00:00Z") -> Archive:
-    """pages(page_id, url, html) -> an archive in the shared folder."""
+def write_archive(pages: DataFrame, min_bytes: int = 100, when: str = "2020-01-01T00:00:00Z", records_a_part: int = 4096) -> Archive:
+    """pages(page_id, url, html) -> an archive in the shared folder. Records that share a payload are dealt into parts of about
+    `records_a_part`, so that reading back meets a hot payload in many tasks."""
     spark = pages.sparkSession
     rows = of_type(pages, {"page_id": "long", "url": "string", "html": "string"})
     rows = rows.withColumn("payload", F.encode(F.coalesce("html", F.lit("")), "UTF-8")).select(
@@ -70,17 +71,19 @@ def write_archive(pages: DataFrame, min_bytes: int = 100, when: str = "2020-01-0
     )
     archive = Archive(spark, new_path(spark, "warc-records"), new_path(spark, "warc-payloads"))
     # one payload per digest: combined before the shuffle, so a hot group sends one copy per task
-    rows.groupBy("digest").agg(F.any_value("payload").alias("payload"), F.any_value("n_bytes").alias("n_bytes")).write.option(
+    parts = F.ceil(F.count("*") / records_a_part).cast("int").alias("parts")
+    rows.groupBy("digest").agg(F.any_value("payload").alias("payload"), F.any_value("n_bytes").alias("n_bytes"), parts).write.option(
         "compression", "zstd"
     ).parquet(archive.payloads_path)
     slim = rows.select("page_id", "url", "digest", "n_bytes")
-    first = slim.where(F.col("n_bytes") >= min_bytes).groupBy("digest").agg(F.min("page_id").alias("first_id"))
+    shared = slim.groupBy("digest").agg(F.when(F.any_value("n_bytes") >= min_bytes, F.min("page_id")).alias("first_id"), parts)
     records = (
-        slim.join(first, "digest", "left")
+        slim.join(shared, "digest")
+        .withColumn("part", F.expr("cast(pmod(xxhash64(page_id, url), parts) AS int)"))
         .withColumn("record_type", F.when(F.col("first_id").isNull() | F.col("page_id").eqNullSafe(F.col("first_id")), "response").otherwise("revisit"))
         .withColumn("refers_to", F.when(F.col("record_type") == "revisit", F.col("first_id")))
         .withColumn("header", _headers("record_type", "digest", "url", "n_bytes", when))
-        .select("page_id", "header", "digest", "record_type", "refers_to")
+        .select("page_id", "header", "digest", "part", "record_type", "refers_to")
     )
     records.write.option("compression", "zstd").parquet(archive.records_path)
     return archive
@@ -96,31 +99,37 @@ def _parsed(records: DataFrame) -> DataFrame:
     return records.select(
         "page_id",
         "header",
+        "part",
         F.regexp_replace(field("WARC-Payload-Digest"), "^sha256:", "").alias("digest"),
         field("WARC-Type").alias("record_type"),
         F.expr(r"try_cast(nullif(regexp_extract(decode(header, 'UTF-8'), 'WARC-Refers-To: <urn:lakeadapt:([^>]*)>', 1), '') AS bigint)").alias("refers_to"),
     )
 
 
-def read_measures(archive: Archive) -> DataFrame:
-    """Per record what its stored bytes give; payloads are hashed where they lie, so only digests are shuffled."""
-    stored = archive.payloads().select(
-        "digest", F.octet_length("payload").cast("long").alias("payload_bytes"), F.sha2("payload", 256).alias("payload_digest")
-    )
-    sound = stored.where(F.when(F.col("digest") == F.col("payload_digest"), True).otherwise(
-        F.raise_error(F.concat(F.lit("stored payload does not give its digest "), F.col("digest"))).cast("boolean")
-    ))
-    return _parsed(archive.records()).join(sound, "digest").select(
-        "page_id", "payload_bytes", "payload_digest", "record_type", "refers_to"
-    )
-
-
 def reconstruct(archive: Archive) -> DataFrame:
-    """page_id, record (exact bytes of the WARC record: header, body, two line ends), payload (full, for revisits too)."""
-    whole = _parsed(archive.records()).join(archive.payloads().select("digest", "payload"), "digest")
+    """page_id, header, digest, record (exact bytes of the WARC record: header, body, two line ends), payload (full, for revisits too)."""
+    stored = archive.payloads().select("digest", "payload", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)).alias("part"))
+    whole = _parsed(archive.records()).join(stored, ["digest", "part"])
     body = F.when(F.col("record_type") == "response", F.col("payload")).otherwise(F.lit(b""))
     end = F.encode(F.lit(CRLF + CRLF), "UTF-8")
-    return whole.select("page_id", "record_type", "refers_to", F.concat("header", body, end).alias("record"), "payload")
+    return whole.select("page_id", "header", "digest", "record_type", "refers_to", F.concat("header", body, end).alias("record"), "payload")
+
+
+def read_measures(archive: Archive) -> DataFrame:
+    """What each rebuilt record gives: the body that its Content-Length marks, for a revisit the payload it stands for, is hashed
+    again and must give the digest that the header names."""
+    size = F.regexp_extract(F.decode("header", "UTF-8"), r"\r\nContent-Length: (\d+)\r\n", 1).cast("int")
+    body = F.substring("record", F.octet_length("header") + 1, size)
+    read = reconstruct(archive).withColumn("payload", F.when(F.col("record_type") == "response", body).otherwise(F.col("payload")))
+    found = F.sha2("payload", 256)
+    wrong = F.raise_error(F.concat(F.lit("payload does not give the digest "), F.col("digest"))).cast("string")
+    return read.select(
+        "page_id",
+        F.octet_length("payload").cast("long").alias("payload_bytes"),
+        F.when(found == F.col("digest"), found).otherwise(wrong).alias("payload_digest"),
+        "record_type",
+        "refers_to",
+    )
 
 
 def op2_warc_archive(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -157,6 +157,26 @@ def test_warc_records_come_back_whole(spark):
     assert warc.read_measures(warc.write_archive(pages.limit(0))).count() == 0
 
 
+def test_warc_hot_and_long_payloads(spark):
+    rows = [(k, f"http://a/{k}", LONG) for k in range(40)] + [(100 + k, "u", None) for k in range(9)] + [(200, "u", "é🙂" * 100)]
+    pages = spark.createDataFrame(rows, "page_id long, url string, html string")
+    archive = warc.write_archive(pages, records_a_part=4)
+    assert archive.records().where(F.col("page_id") < 100).select("part").distinct().count() > 1
+    got = {r["page_id"]: r for r in warc.read_measures(archive).collect()}
+    assert len(got) == len(rows)
+    for k, _, html in rows:
+        raw = (html or "").encode()
+        assert (got[k]["payload_bytes"], got[k]["payload_digest"]) == (len(raw), hashlib.sha256(raw).hexdigest())
+        assert (got[k]["record_type"], got[k]["refers_to"]) == (("revisit", 0) if 0 < k < 40 else ("response", None))
+
+
+def test_warc_spoiled_payload_is_found(spark):
+    archive = warc.write_archive(spark.createDataFrame([(1, "u", "x" * 120), (2, "u", "x" * 120)], "page_id long, url string, html string"))
+    spoiled = common.materialize(archive.payloads().withColumn("payload", F.encode(F.lit("y" * 120), "UTF-8")), "spoiled")
+    with pytest.raises(Exception, match="does not give the digest"):
+        warc.read_measures(warc.Archive(spark, archive.records_path, spoiled._stored_at)).collect()
+
+
 # 3 -------------------------------------------------------------------------------------------------------------------
 def shingles(text):
     w = (text or "").encode().lower().split()
