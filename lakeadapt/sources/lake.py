@@ -69,22 +69,19 @@ def shown(column_id: str, spark: bool) -> str:
     return f"{hash8(f'concat({chr(39)}shown:{chr(39)}, {column_id})', spark)} % 100 < {SHOWN_PERCENT}"
 
 
-def _field(name: str):
-    return lambda e: e[name]
-
-
 def build_group(spark: SparkSession, sf_dir: str, g: Group) -> DataFrame:
+    """The columns of one group. The plan is given as SQL text: built call by call, 14 groups keep the driver busy for seconds."""
     names = [f"c{k}" for k in range(len(g.cells))]
-    gathered = shard_cells(spark, sf_dir, g).groupBy("v", "shard").agg(F.count("*").alias("n_rows"), F.array_sort(F.collect_list(F.struct("k1", "tie", *names))).alias("x"))
+    gathered = shard_cells(spark, sf_dir, g).groupBy("v", "shard").agg(F.count("*").alias("n_rows"), F.expr(f"array_sort(collect_list(struct(k1, tie, {', '.join(names)}))) AS x"))
     every = [
-        F.struct(F.lit(k).alias("position"), F.filter(F.transform("x", _field(n)), lambda c: c.isNotNull()).alias("cells"), F.lit(c.type_name).alias("type_name"), F.lit(c.coarse).alias("coarse"))
+        f"named_struct('position', {k}, 'cells', filter(transform(x, r -> r.{n}), c -> c IS NOT NULL), 'type_name', '{c.type_name}', 'coarse', {f"'{c.coarse}'" if c.coarse is not None else 'CAST(NULL AS STRING)'})"
         for k, (n, c) in enumerate(zip(names, g.cells))
     ]
-    long = gathered.withColumn("table_id", F.concat(F.expr(table_name(g, "v")), F.col("shard").cast("string"))).select("v", "table_id", "n_rows", F.explode(F.array(*every)).alias("e"))
-    return long.select(
-        F.concat("table_id", F.lit("#"), F.col("e.position").cast("string")).alias("column_id"), "table_id", F.lit(g.name).alias("source_table"),
-        "e.position", "n_rows", "e.cells", F.replace("e.type_name", F.lit("{}"), F.col("v")).alias("type_name"), "e.coarse",
-    ).where(shown("column_id", True)).where(F.size("cells") > 0)
+    long = gathered.selectExpr("v", f"concat({table_name(g, 'v')}, CAST(shard AS STRING)) AS table_id", "n_rows", f"explode(array({', '.join(every)})) AS e")
+    return long.selectExpr(
+        "concat(table_id, '#', CAST(e.position AS STRING)) AS column_id", "table_id", f"'{g.name}' AS source_table", "e.position", "n_rows", "e.cells",
+        "replace(e.type_name, '{}', v) AS type_name", "e.coarse",
+    ).where(f"size(cells) > 0 AND {shown('column_id', True)}")
 
 
 def build(spark: SparkSession, sf_dir: str, groups: tuple[Group, ...] = GROUPS) -> DataFrame:

@@ -1,6 +1,7 @@
 """Worked cases and invariants of the method."""
 
 import hashlib
+from collections import Counter
 from dataclasses import replace
 
 import numpy as np
@@ -9,7 +10,7 @@ from pyspark.sql import functions as F
 
 from lakeadapt.baselines import methods
 from lakeadapt.functions.draws import draw
-from lakeadapt.functions.features import WIDTH, encode, vector_of
+from lakeadapt.functions.features import WIDTH, encode, gram_buckets, vector_of
 from lakeadapt.functions.vectors import phi
 from lakeadapt.operators import cost, gap, head, metrics, process, typesets, weak
 from lakeadapt.operators.judge import ClientJudge, KnowledgeJudge, NoisyJudge, Proposal, prompt_text
@@ -391,3 +392,11 @@ def test_distributed_training_is_full_batch_adam(spark):
         adam.update(want.weights(), gradients(want, x, y))
     got = fit_distributed(cols.repartition(3), start, steps=3)
     assert all(np.allclose(a, b, atol=1e-9) for a, b in zip(got.weights().values(), want.weights().values()))
+
+
+def test_grams_are_whole_characters(spark):
+    cells = ["a🙂b\n🙂c", "xy", "z", "", "ab" * 30_000]
+    cols = spark.createDataFrame([("t#0", cells)], "column_id string, cells array<string>")
+    for n in (2, 3):
+        want = Counter(int(hashlib.md5(c[i : i + n].encode()).hexdigest()[:8], 16) % 256 for c in cells for i in range(len(c) - n + 1))
+        assert {r["bucket"]: r["n"] for r in gram_buckets(cols, n, 256).collect()} == dict(want)
